@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phrasework.llm import media, packing, simhash, url_filter
+from phrasework.llm import language_id, media, packing, simhash, substring_dedup, toxicity, url_filter
 
 
 def _table(spark: SparkSession, folder: str, name: str) -> DataFrame:
@@ -17,6 +17,31 @@ def op1_url_filter(spark: SparkSession, folder: str) -> DataFrame:
     return url_filter.filter_urls(_table(spark, folder, "pages"), rules)
 
 
+def op4_substring_dedup(spark: SparkSession, folder: str) -> DataFrame:
+    return substring_dedup.removed_spans(_table(spark, folder, "documents"), width=35).withColumnRenamed("id", "doc_id")
+
+
+def op5_toxicity(spark: SparkSession, folder: str) -> DataFrame:
+    docs = _table(spark, folder, "documents")
+    field = toxicity.fit_on(docs, _table(spark, folder, "labels"))
+    return toxicity.score_texts(docs, field).select(
+        F.col("id").alias("doc_id"),
+        toxicity.held_out(F.col("id"), 3, 1).alias("held_out"),
+        "score",
+        (F.col("score") >= toxicity.THRESHOLD).cast("int").alias("predicted"),
+        "toxic_words",
+        F.size("spans").alias("n_spans"),
+    )
+
+
+def op6_language_id(spark: SparkSession, folder: str) -> DataFrame:
+    docs = _table(spark, folder, "documents")
+    model = language_id.fit_on(docs)
+    return language_id.predict(docs, model).select(
+        F.col("id").alias("doc_id"), language_id.held_out(F.col("id"), 4, 2).alias("held_out"), "lang_pred", "score"
+    )
+
+
 def op7_simhash_near_dedup(spark: SparkSession, folder: str) -> DataFrame:
     found = simhash.near_duplicates(_table(spark, folder, "documents"), radius=2, shingle=3, seed=42)
     return found.select(F.col("id").alias("doc_id"), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
@@ -30,7 +55,7 @@ def op10_media_columns(spark: SparkSession, folder: str) -> DataFrame:
     return media.clip_digests(_table(spark, folder, "documents")).withColumnRenamed("id", "doc_id")
 
 
-QUERIES = {f.__name__: f for f in (op1_url_filter, op7_simhash_near_dedup, op9_packing, op10_media_columns)}
+QUERIES = {f.__name__: f for f in (op1_url_filter, op4_substring_dedup, op5_toxicity, op6_language_id, op7_simhash_near_dedup, op9_packing, op10_media_columns)}
 
 ORACLES = {
     "op1_url_filter": r"""

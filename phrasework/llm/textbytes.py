@@ -113,7 +113,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 def span_hashes(groups: np.ndarray, starts: np.ndarray, ends: np.ndarray, seed: int) -> np.ndarray:
     """A 64-bit hash of each byte span; not a published one, used inside this package only."""
     size = ends - starts
-    out = mix(size.astype(U64) + U64(seed) * PRIME_1)
+    out = mix(size.astype(U64) + U64(seed * int(PRIME_1) & ((1 << 64) - 1)))
     live = np.arange(len(starts))
     at, left = starts.copy(), size.copy()
     while len(live):
