@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phrasework.llm import language_id, media, packing, simhash, substring_dedup, toxicity, url_filter
+from phrasework.llm import hamming_topk, language_id, license_scan, media, packing, piece_codec, simhash, substring_dedup, toxicity, url_filter
 
 
 def _table(spark: SparkSession, folder: str, name: str) -> DataFrame:
@@ -17,6 +17,15 @@ def op1_url_filter(spark: SparkSession, folder: str) -> DataFrame:
     return url_filter.filter_urls(_table(spark, folder, "pages"), rules)
 
 
+def op2_exact_topk(spark: SparkSession, folder: str) -> DataFrame:
+    codes = _table(spark, folder, "embeddings").select(F.col("vec_id").alias("id"), hamming_topk.sign_code(F.col("embedding")).alias("code"))
+    return hamming_topk.nearest_codes(codes, codes.where("id % 20 = 0"), k=10)
+
+
+def op3_sentencepiece(spark: SparkSession, folder: str) -> DataFrame:
+    return piece_codec.codec_digests(_table(spark, folder, "documents")).withColumnRenamed("id", "doc_id")
+
+
 def op4_substring_dedup(spark: SparkSession, folder: str) -> DataFrame:
     return substring_dedup.removed_spans(_table(spark, folder, "documents"), width=35).withColumnRenamed("id", "doc_id")
 
@@ -47,6 +56,10 @@ def op7_simhash_near_dedup(spark: SparkSession, folder: str) -> DataFrame:
     return found.select(F.col("id").alias("doc_id"), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def op8_license_scan(spark: SparkSession, folder: str) -> DataFrame:
+    return license_scan.scan_licenses(_table(spark, folder, "documents"), license_scan.known_frame(spark)).withColumnRenamed("id", "doc_id")
+
+
 def op9_packing(spark: SparkSession, folder: str) -> DataFrame:
     return packing.pack_documents(_table(spark, folder, "documents")).withColumnRenamed("id", "doc_id")
 
@@ -55,9 +68,22 @@ def op10_media_columns(spark: SparkSession, folder: str) -> DataFrame:
     return media.clip_digests(_table(spark, folder, "documents")).withColumnRenamed("id", "doc_id")
 
 
-QUERIES = {f.__name__: f for f in (op1_url_filter, op4_substring_dedup, op5_toxicity, op6_language_id, op7_simhash_near_dedup, op9_packing, op10_media_columns)}
+QUERIES = {f.__name__: f for f in (op1_url_filter, op2_exact_topk, op3_sentencepiece, op4_substring_dedup, op5_toxicity, op6_language_id, op7_simhash_near_dedup, op8_license_scan, op9_packing, op10_media_columns)}
 
 ORACLES = {
+    "op2_exact_topk": """
+WITH codes AS (
+  SELECT vec_id, list_reduce(list_prepend(0::HUGEINT, list_transform(embedding, lambda x, i: CASE WHEN x > 0 THEN 1::HUGEINT << (i - 1)::INT ELSE 0::HUGEINT END)), lambda a, b: a + b) AS code
+  FROM embeddings WHERE embedding IS NOT NULL AND vec_id IS NOT NULL
+), pairs AS (
+  SELECT q.vec_id AS query_id, r.vec_id AS neighbor_id, CAST(bit_count(xor(q.code::UBIGINT, r.code::UBIGINT)) AS INT) AS distance
+  FROM codes q, codes r WHERE q.vec_id % 20 = 0
+), ranked AS (
+  SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY distance, neighbor_id) AS INT) AS rank FROM pairs
+)
+SELECT query_id, rank, neighbor_id, distance FROM ranked WHERE rank <= 10
+""",
+    "op8_license_scan": license_scan.oracle_sql(),
     "op1_url_filter": r"""
 WITH cut AS (
   SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages
