@@ -308,3 +308,22 @@ def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
                 yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(names[best], pa.string()), pa.array(score), pa.array(n)], names=["id", "lang_pred", "score", "words"])
 
     return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id bigint, lang_pred string, score double, words bigint")
+
+
+def keep_identified(docs: DataFrame, model: Model, least_score: float = 0.5, text_col: str = "text") -> DataFrame:
+    """``docs`` without rows of undetermined language or a score below ``least_score``; columns as before."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = shared.value
+        memory = WordMemory(len(model.languages))
+        for whole in batches:
+            for batch in slices(whole, at):
+                total, n = batch_scores(model, *utf8(batch.column(at)), memory)
+                keep = n > 0
+                if len(model.languages):
+                    keep &= 1 / np.exp(total - total.max(axis=1, keepdims=True)).sum(axis=1) >= least_score
+                yield batch.filter(pa.array(keep & (len(model.languages) > 0)))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -291,3 +291,20 @@ def score_texts(docs: DataFrame, field: Field, id_col: str = "doc_id", text_col:
                 yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(field.score(largest, total)), pa.array(total), spans], names=["id", "score", "toxic_words", "spans"])
 
     return docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, SCORES)
+
+
+def keep_clean(docs: DataFrame, field: Field, threshold: float = THRESHOLD, text_col: str = "text") -> DataFrame:
+    """``docs`` without rows whose text scores ``threshold`` or more; columns as before."""
+    model = docs.sparkSession.sparkContext.broadcast(field)
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        field = model.value
+        for whole in batches:
+            for batch in slices(whole, at, 2 << 20):
+                words = Words(*utf8(batch.column(at)))
+                opens = words.rows[:-1][words.counts > 0]
+                p = field.marginals(field.emission(word_features(words)), opens)[0] if len(words) else np.zeros(0)
+                yield batch.filter(pa.array(field.score(*document_sums(p, words.rows)) < threshold))
+
+    return docs.mapInArrow(run, docs.schema)
