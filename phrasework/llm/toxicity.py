@@ -23,7 +23,9 @@ from pyspark.sql import functions as F
 from phrasework.llm.textbytes import LOW_BYTES, U64, Words, mix, slices, span_hashes, utf8
 
 #: Labelled documents that the model is fitted on, by label; of more a hash picks about so many.
-FIT_TOXIC, FIT_CLEAN = 2500, 4000
+FIT_TOXIC, FIT_CLEAN = 1500, 2500
+#: Bytes of text that the fit passes through at a time.
+FIT_CHUNK = 1 << 20
 LOG2_WEIGHTS = 18
 BEGINNINGS, ENDINGS = (3, 4, 5, 6, 7, 8), (4, 5, 6)
 #: A marking feature's odds against its odds in clean documents.
@@ -165,23 +167,63 @@ def document_sums(p: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return largest, total
 
 
-def mark_features(features: np.ndarray, row_of: np.ndarray, toxic_rows: np.ndarray) -> np.ndarray:
-    """Which feature numbers mark toxic rows beyond chance, by an exact-tail bound over all features."""
-    size = 1 << LOG2_WEIGHTS
-    toxic, clean = np.zeros(size), np.zeros(size)
-    for f in features:
-        pair = np.unique(row_of * np.int64(size) + f)
-        of_toxic = toxic_rows[pair // size]
-        toxic += np.bincount(pair[of_toxic] % size, minlength=size)
-        clean += np.bincount(pair[~of_toxic] % size, minlength=size)
-    a, b = max(1, int(toxic_rows.sum())), max(1, int((~toxic_rows).sum()))
-    base, n = a / (a + b), toxic + clean
-    share = np.clip(toxic / np.maximum(n, 1), 1e-9, 1 - 1e-9)
-    gain = n * (share * np.log(share / base) + (1 - share) * np.log((1 - share) / (1 - base)))
-    tested = max(1, int((n > 0).sum()))
-    marks = (gain > np.log(2 * tested)) & (toxic / a > LEAST_ODDS * (clean + 0.5) / b)
-    marks[0] = False
-    return marks
+class MarkCounts:
+    """In how many toxic and clean documents each feature stands."""
+
+    def __init__(self):
+        self.toxic, self.clean = np.zeros(1 << LOG2_WEIGHTS), np.zeros(1 << LOG2_WEIGHTS)
+
+    def add(self, features: np.ndarray, row_of: np.ndarray, toxic_rows: np.ndarray) -> None:
+        size = 1 << LOG2_WEIGHTS
+        for f in features:
+            pair = np.unique(row_of * np.int64(size) + f)
+            of_toxic = toxic_rows[pair >> LOG2_WEIGHTS]
+            self.toxic += np.bincount(pair[of_toxic] & (size - 1), minlength=size)
+            self.clean += np.bincount(pair[~of_toxic] & (size - 1), minlength=size)
+
+    def marks(self, toxic_rows: int, clean_rows: int) -> np.ndarray:
+        """Features that mark toxic documents beyond chance, by an exact-tail bound over all features."""
+        a, b = max(1, toxic_rows), max(1, clean_rows)
+        base, n = a / (a + b), self.toxic + self.clean
+        share = np.clip(self.toxic / np.maximum(n, 1), 1e-9, 1 - 1e-9)
+        gain = n * (share * np.log(share / base) + (1 - share) * np.log((1 - share) / (1 - base)))
+        marks = (gain > np.log(2 * max(1, int((n > 0).sum())))) & (self.toxic / a > LEAST_ODDS * (self.clean + 0.5) / b)
+        marks[0] = False
+        return marks
+
+
+@dataclass
+class Chunk:
+    """Some texts of the fit: features of their words, row boundaries, word labels."""
+
+    features: np.ndarray
+    rows: np.ndarray
+    label: np.ndarray
+
+    @property
+    def opens(self) -> np.ndarray:
+        return self.rows[:-1][np.diff(self.rows) > 0]
+
+    @property
+    def inner(self) -> np.ndarray:
+        inner = np.ones(self.features.shape[1], bool)
+        inner[self.opens] = False
+        return np.flatnonzero(inner)
+
+
+def _chunks(texts: list[str], y: np.ndarray) -> list[Chunk]:
+    """Cut the texts into chunks and label their words by marking features."""
+    sizes = np.cumsum([len(t.encode()) for t in texts])
+    chunks, counts = [], MarkCounts()
+    for part in np.split(np.arange(len(texts)), np.flatnonzero(np.diff(sizes // FIT_CHUNK)) + 1):
+        words = Words(*utf8(pa.array([texts[i] for i in part], pa.large_string())))
+        features = word_features(words)
+        counts.add(features, np.repeat(np.arange(len(part)), words.counts), y[part])
+        chunks.append(Chunk(features, words.rows, np.repeat(y[part], words.counts)))
+    marks = counts.marks(int(y.sum()), int((~y).sum()))
+    for chunk in chunks:
+        chunk.label &= marks[chunk.features].any(axis=0)
+    return chunks
 
 
 def fit(texts: list[str], labels: list[int]) -> Field:
@@ -190,43 +232,38 @@ def fit(texts: list[str], labels: list[int]) -> Field:
     y = np.array(labels, np.int64) == 1
     if not len(y) or y.all() or not y.any():
         return field
-    words = Words(*utf8(pa.array(texts, pa.large_string())))
-    features = word_features(words)
-    row_of = np.repeat(np.arange(len(y)), words.counts)
-    marks = mark_features(features, row_of, y)
-    label = y[row_of] & marks[features].any(axis=0)
-    opens = words.rows[:-1][words.counts > 0]
-    inner = np.ones(len(words), bool)
-    inner[opens] = False
-    inner = np.flatnonzero(inner)
+    chunks = _chunks(texts, y)
+    n_words = sum(c.features.shape[1] for c in chunks)
     weights, seen = np.zeros(1 << LOG2_WEIGHTS), np.full(1 << LOG2_WEIGHTS, 1e-6)
     other, other_seen = np.concatenate([field.moves.ravel(), field.first]), np.full(6, 1e-6)
-    true_moves = np.array([np.count_nonzero((label[inner - 1] == i) & (label[inner] == j)) for i in (0, 1) for j in (0, 1)], float)
-    true_first = np.array([np.count_nonzero(label[opens] == i) for i in (0, 1)], float)
     for _ in range(EPOCHS):
         field.weights = weights.astype(np.float32)
         field.moves, field.first = other[:4].reshape(2, 2), other[4:]
-        p, m, ahead, back = field.marginals(field.emission(features), opens)
-        gap = label - p
-        slope = sum(np.bincount(f, gap, minlength=len(weights)) for f in features) - DECAY * len(words) * weights
+        slope, other_slope = -DECAY * n_words * weights, np.zeros(6)
+        for c in chunks:
+            opens, inner, label = c.opens, c.inner, c.label
+            p, m, ahead, back = field.marginals(field.emission(c.features), opens)
+            for f in c.features:
+                slope += np.bincount(f, label - p, minlength=len(weights))
+            pair = ahead[:, None, inner - 1] * m[:, :, inner] * back[None, :, inner]
+            pair = (pair / pair.sum(axis=(0, 1))).sum(axis=2).ravel()
+            before, after = label[inner - 1], label[inner]
+            moves = np.array([np.count_nonzero((before == i) & (after == j)) for i in (0, 1) for j in (0, 1)])
+            first = np.array([np.count_nonzero(label[opens] == i) for i in (0, 1)])
+            other_slope += np.concatenate([moves - pair, first - [(1 - p[opens]).sum(), p[opens].sum()]])
         slope[0] = 0
         seen += slope * slope
         weights += RATE * slope / np.sqrt(seen)
-        pair = ahead[:, None, inner - 1] * m[:, :, inner] * back[None, :, inner]
-        pair = (pair / pair.sum(axis=(0, 1))).sum(axis=2).ravel()
-        begin = np.array([(1 - p[opens]).sum(), p[opens].sum()])
-        slope = np.concatenate([true_moves - pair, true_first - begin])
-        other_seen += slope * slope
-        other = other + 0.3 * slope / np.sqrt(other_seen)
-    p, *_ = field.marginals(field.emission(features), opens)
-    largest, total = document_sums(p, words.rows)
+        other_seen += other_slope * other_slope
+        other = other + 0.3 * other_slope / np.sqrt(other_seen)
+    sums = [document_sums(field.marginals(field.emission(c.features), c.opens)[0], c.rows) for c in chunks]
+    largest, total = (np.concatenate(x) for x in zip(*sums))
     x = np.stack([np.ones(len(y)), _logit(largest), np.log1p(total)])
     beta = prior = np.array([0.0, 1.0, 0.0])
-    weight = np.where(y, 0.5 / y.sum(), 0.5 / (~y).sum()) * len(y)
     for _ in range(40):  # Newton steps of a logistic fit with a unit prior, none longer than one
         q = 1 / (1 + np.exp(-np.clip(beta @ x, -30, 30)))
-        hessian = (x * (weight * q * (1 - q))) @ x.T + np.eye(3)
-        step = np.linalg.solve(hessian, x @ (weight * (y - q)) - (beta - prior))
+        hessian = (x * (q * (1 - q))) @ x.T + np.eye(3)
+        step = np.linalg.solve(hessian, x @ (y - q) - (beta - prior))
         beta = beta + step / max(1.0, float(np.linalg.norm(step)))
         beta[1:] = np.maximum(beta[1:], 0)
     field.scale = tuple(float(v) for v in beta)
