@@ -145,7 +145,7 @@ def _texts(docs: DataFrame, filter_) -> DataFrame:
 
 
 def _fork_windows(found: DataFrame, width: int) -> DataFrame:
-    """Every window of the runs to be compared: (w1, w2, k1, k2, pos)."""
+    """Every window of the runs to be compared: (w1, w2, k1, k2, pos, place), ``place`` hashing the coordinates."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -159,13 +159,14 @@ def _fork_windows(found: DataFrame, width: int) -> DataFrame:
                 pos = np.repeat(s - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
                 owner = np.repeat(owner, n)
                 start = words.rows[owner] + pos
-                names = ["w1", "w2", "k1", "k2", "pos"]
+                names = ["w1", "w2", "k1", "k2", "pos", "place"]
                 keys = [batch.column(k).to_numpy()[owner] for k in ("k1", "k2")]
-                arrays = [rolling.of(0, start, start + width).view(np.int64), rolling.of(1, start, start + width).view(np.int64), *keys, pos.astype(np.int32)]
+                place = mix(keys[0].view(U64) + mix(keys[1].view(U64) + pos.astype(U64)))
+                arrays = [rolling.of(0, start, start + width).view(np.int64), rolling.of(1, start, start + width).view(np.int64), *keys, pos.astype(np.int32), place.view(np.int64)]
                 for k in range(0, len(pos), 1 << 18):
                     yield pa.RecordBatch.from_arrays([pa.array(a[k : k + (1 << 18)]) for a in arrays], names=names)
 
-    return found.where("size(asked) > 0").select("k1", "k2", "text", "asked").mapInArrow(run, "w1 bigint, w2 bigint, k1 bigint, k2 bigint, pos int")
+    return found.where("size(asked) > 0").select("k1", "k2", "text", "asked").mapInArrow(run, "w1 bigint, w2 bigint, k1 bigint, k2 bigint, pos int, place bigint")
 
 
 def _cut(found: DataFrame, width: int) -> DataFrame:
@@ -225,14 +226,18 @@ class RepeatedSpans:
             "coordinates",
         )
         self.touched = bloom.build(by_text, "k1")
-        found = materialize(_texts(docs, self.touched).join(by_text, ["k1", "k2"]), "texts")
+        texts = _texts(docs, self.touched).groupBy("k1", "k2").agg(F.first("text").alias("text"))
+        found = materialize(texts.join(by_text, ["k1", "k2"]), "texts")
         windows = _fork_windows(found, width)
-        place = F.struct("k1", "k2", "pos")
-        again = windows.groupBy("w1", "w2").agg(F.min(place).alias("a"), F.max(place).alias("b")).where("a <> b").select("w1", "w2")
-        hits = windows.join(again, ["w1", "w2"]).select("k1", "k2", "pos").distinct().groupBy("k1", "k2").agg(F.collect_list("pos").alias("hits"))
+        again = materialize(
+            windows.groupBy("w1", "w2").agg(F.min("place").alias("a"), F.max("place").alias("b")).where("a <> b").select("w1", "w2"),
+            "windows",
+        )
+        likely = bloom.thin(windows.select("w1", "w2", "k1", "k2", "pos"), "w1", bloom.build(again, "w1"))
+        hits = likely.join(again, ["w1", "w2"]).select("k1", "k2", "pos").groupBy("k1", "k2").agg(F.collect_list("pos").alias("hits"))
         cut = _cut(found.join(hits, ["k1", "k2"], "left").where("size(sure) > 0 or hits is not null"), width)
         #: One row for each text that loses words.
-        self.changed = materialize(cut, "changed").dropDuplicates(["k1", "k2"])
+        self.changed = materialize(cut, "changed")
 
 
 def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
