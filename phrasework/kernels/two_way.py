@@ -101,7 +101,10 @@ class TwoWay:
         self.phrases: list[tuple[int, int, int]] = []
         self.at = 0
         self.next_len: list[int] | None = None
-        if options.floor and options.sides != "left" and options.search == "pruned" and options.max_candidates is None or options.floor and options.max_candidates is not None:
+        # Among later places of the floor's length only the rightmost is known at once; other tie rules
+        # use the floor only where the stream is cut short anyway.
+        exact = options.tie == "rightmost" and options.search == "pruned"
+        if options.floor and options.sides != "left" and (exact or options.max_candidates is not None):
             lengths, refs = factor(self.index, later=True)
             if options.tie == "rightmost":
                 refs = np.where(lengths > 0, rightmost_next(self.index, np.maximum(lengths, 1)), -1)

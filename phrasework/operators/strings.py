@@ -18,7 +18,7 @@ def strings(df: DataFrame, id_col: str = "string_id", text_col: str = "text", pr
 def chars(S: DataFrame) -> DataFrame:
     """CHARS: one row a character, ``ch`` its code point; null and empty texts have none."""
     split = F.filter(F.split("text", ""), lambda c: c != "")
-    return S.select("string_id", F.posexplode(split).alias("p", "c")).select("string_id", (F.col("p") + 1).cast("bigint").alias("pos"), F.unicode_point("c").alias("ch") if hasattr(F, "unicode_point") else F.conv(F.hex(F.encode("c", "UTF-32BE")), 16, 10).cast("int").alias("ch"))
+    return S.select("string_id", F.posexplode(split).alias("p", "c")).select("string_id", (F.col("p") + 1).cast("bigint").alias("pos"), F.ascii("c").alias("ch"))
 
 
 def reversed_strings(S: DataFrame) -> DataFrame:
