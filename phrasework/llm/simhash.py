@@ -236,4 +236,5 @@ def near_duplicates(docs: DataFrame, radius: int = 2, shingle: int = 3, seed: in
     parts = materialize(connected_components(fingerprint_links(distinct, radius)), "components")
     named = parts.join(distinct, parts.node == distinct.fp).groupBy("root").agg(F.min("least").alias("name"))
     of_print = distinct.join(parts.join(named, "root").select(F.col("node").alias("fp"), "name"), "fp", "left").select("fp", F.coalesce("name", "least").alias("component_id"))
+    of_print = materialize(of_print, "names")  # a plain table, so that a join with it can split a fingerprint that many share
     return prints.join(of_print, "fp").select("id", "fp", "component_id")
