@@ -7,12 +7,15 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import IntegerType, LongType, StringType, StructField, StructType
 
 from phrasework.kernels.suffix import SuffixIndex, codes_of
 from phrasework.kernels.two_way import Options
 from phrasework.operators.parse import METHODS, _phrase_rows
 
-PHRASE_ROWS = "phrase_no int, start bigint, length bigint, ref bigint, literal string, side string"
+PHRASE_ROWS = StructType(
+    [StructField("phrase_no", IntegerType()), *(StructField(c, LongType()) for c in ("start", "length", "ref")), *(StructField(c, StringType()) for c in ("literal", "side"))]
+)
 
 
 def _count(text: str | None, method: str) -> int | None:
@@ -22,17 +25,17 @@ def _count(text: str | None, method: str) -> int | None:
     return len(METHODS[method](codes, SuffixIndex(codes), Options()))
 
 
-@pandas_udf("bigint")
+@pandas_udf(LongType())
 def two_way_count(text: pd.Series) -> pd.Series:
     return text.map(lambda t: _count(t, "two_way"), na_action=None).astype("Int64")
 
 
-@pandas_udf("bigint")
+@pandas_udf(LongType())
 def lz77_count(text: pd.Series) -> pd.Series:
     return text.map(lambda t: _count(t, "lz77"), na_action=None).astype("Int64")
 
 
-@pandas_udf("bigint")
+@pandas_udf(LongType())
 def lex_count(text: pd.Series) -> pd.Series:
     return text.map(lambda t: _count(t, "lex"), na_action=None).astype("Int64")
 
@@ -61,4 +64,4 @@ def register(spark: SparkSession) -> None:
         spark.udf.register(f.__name__, f)
     for method in ("two_way", "lz77", "lex", "lz_next"):
         spark.udtf.register(f"{method}_phrases", _table_function(method))
-    spark.udtf.register("suffix_rows", udtf(_SuffixRows, returnType="rank bigint, pos bigint, lcp bigint"))
+    spark.udtf.register("suffix_rows", udtf(_SuffixRows, returnType=StructType([StructField(c, LongType()) for c in ("rank", "pos", "lcp")])))

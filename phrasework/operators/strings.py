@@ -47,7 +47,7 @@ def occurrences(S: DataFrame, patterns: DataFrame, broadcast_rows: int = BROADCA
     if wanted.limit(broadcast_rows + 1).count() <= broadcast_rows:
         hit = S.join(F.broadcast(wanted), F.contains("text", "pattern"))
         starts = F.filter(F.sequence(F.lit(1), F.length(text) - size + 1), lambda p: F.substring(text, p, size) == F.col("pattern"))
-        return hit.select("string_id", "pattern", F.explode(starts).cast("bigint").alias("pos"))
+        return hit.select("string_id", "pattern", F.explode(starts).alias("pos")).withColumn("pos", F.col("pos").cast("bigint"))
     head = wanted.agg(F.min(F.length("pattern"))).first()[0]
     starts = F.explode(F.sequence(F.lit(1), F.length(text) - head + 1)).alias("pos")
     grams = S.where(F.length("text") >= head).select("string_id", "text", starts).withColumn("gram", F.substring("text", F.col("pos"), F.lit(head)))

@@ -32,7 +32,9 @@ def read_events(spark: SparkSession, path: str, files_per_trigger: int = 1) -> D
     """The events table as a stream of its files."""
     schema = spark.read.parquet(path).schema
     reader = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger)
-    return reader.parquet(path) if path.endswith("/") else reader.option("pathGlobFilter", path.rsplit("/", 1)[1]).option("recursiveFileLookup", True).parquet(path.rsplit("/", 1)[0])
+    folder, name = path.rstrip("/").rsplit("/", 1)
+    stream = reader.option("pathGlobFilter", name).parquet(folder) if spark.read.parquet(path).inputFiles()[0].rstrip("/").endswith(f"/{name}") else reader.parquet(path)
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))  # a watermark needs an instant
 
 
 def sequences(events: DataFrame, window: Column) -> DataFrame:
