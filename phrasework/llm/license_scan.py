@@ -1,9 +1,12 @@
 """License scan: canonical digests of entire texts, joined with digests of known licenses.
 
-A unit, a document's whole text or one of its lines, becomes canonical: copyright lines go,
-A-Z count as lower case, punctuation and white space become single spaces, and equivalent
+A unit, a document's whole text or one of its lines, becomes canonical: letters become lower
+case, copyright lines go, punctuation and white space become single spaces, and equivalent
 spellings become one. Its SHA-256 is then looked up among those of known licenses and notices
 by a hash join. DataFrame functions only.
+
+Spellings change a text's length within known limits, so units whose length can't become that
+of any known text are left out before they are respelled and hashed.
 """
 
 from __future__ import annotations
@@ -13,16 +16,17 @@ from pyspark.sql import functions as F
 
 #: A list of known texts of at most this many rows is broadcast.
 BROADCAST_KNOWN = 100_000
-UPPER, LOWERED = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 COPYRIGHT_LINE = r"(?md)^[ \t]*(?:copyright|\(c\)|©)[^\n]*$"
-PUNCTUATION = r"[^a-z0-9\x{80}-\x{A8}\x{AA}-\x{10FFFF}]+"
+#: Characters other than a-z, 0-9 and non-ASCII ones, the copyright sign among them; one space alone stays as it is.
+_OTHER = r"a-z0-9\x{80}-\x{A8}\x{AA}-\x{10FFFF}"
+PUNCTUATION = rf" *[^{_OTHER} \n][^{_OTHER}\n]*| {{2,}}"
 
 # Equivalent spellings, between words of a canonical text.
 SPELLINGS = [
     ("licence", "license"), ("licences", "licenses"), ("licenced", "licensed"), ("sub license", "sublicense"), ("sub licence", "sublicense"),
     ("non infringement", "noninfringement"), ("merchantibility", "merchantability"), ("organisation", "organization"),
     ("acknowledgement", "acknowledgment"), ("favour", "favor"), ("whilst", "while"), ("per cent", "percent"), ("copyright holder", "copyright owner"),
-    ("copyright holders", "copyright owners"), ("ver", "version"), ("v2 0", "version 2 0"), ("v3", "version 3"), ("https", "http"),
+    ("copyright holders", "copyright owners"), ("https", "http"),
 ]
 
 # Public license texts and the notices that stand for longer ones.
@@ -96,17 +100,45 @@ KNOWN = [
 ]
 
 
+def _plain(text: Column) -> Column:
+    """Lower case without copyright lines and punctuation; line ends stay."""
+    text = F.lower(text)
+    marked = F.contains(text, F.lit("copyright")) | F.contains(text, F.lit("(c)")) | F.contains(text, F.lit("©"))
+    return F.regexp_replace(F.when(marked, F.regexp_replace(text, COPYRIGHT_LINE, "")).otherwise(text), PUNCTUATION, " ")
+
+
+def _lines(plain: Column) -> Column:
+    return F.transform(F.split(plain, "\n"), F.trim)
+
+
+def _joined(lines: Column) -> Column:
+    return F.array_join(F.filter(lines, lambda x: x != ""), " ")
+
+
+def _respelled(unit: Column) -> Column:
+    unit = F.concat(F.lit(" "), unit, F.lit(" "))
+    for other, chosen in SPELLINGS:
+        unit = F.replace(unit, F.lit(f" {other} "), F.lit(f" {chosen} "))
+    return F.trim(unit)
+
+
 def canonical(text: Column) -> Column:
     """A text in canonical form; null stays null."""
-    text = F.regexp_replace(F.translate(text, UPPER, LOWERED), COPYRIGHT_LINE, " ")
-    text = F.concat(F.lit(" "), F.regexp_replace(text, PUNCTUATION, " "), F.lit(" "))
-    for other, chosen in SPELLINGS:
-        text = F.replace(text, F.lit(f" {other} "), F.lit(f" {chosen} "))
-    return F.trim(text)
+    return _respelled(_joined(_lines(_plain(text))))
 
 
-def digest(text: Column) -> Column:
-    return F.sha2(canonical(text), 256)
+def _length_ranges(sizes: list[int]) -> list[tuple[int, int]]:
+    """Lengths before respelling from which some known length can come, as few ranges."""
+    shrink = min(1.0, *(len(b) / len(a) for a, b in SPELLINGS))
+    grow = max(1.0, *(len(b) / len(a) for a, b in SPELLINGS))
+    ranges: list[tuple[int, int]] = []
+    for k in sorted(sizes):
+        low, high = int(k / grow), int(k / shrink) + 1
+        if ranges and low <= ranges[-1][1]:
+            ranges[-1] = (ranges[-1][0], max(high, ranges[-1][1]))
+        else:
+            ranges.append((low, high))
+    return ranges
 
 
 def known_frame(spark: SparkSession, known: list[tuple[str, str]] | None = None) -> DataFrame:
@@ -126,12 +158,22 @@ def scan_licenses(docs: DataFrame, known: DataFrame, id_col: str = "doc_id", tex
     """
     if known.limit(broadcast_known + 1).count() <= broadcast_known:
         known = F.broadcast(known)
-    key, text = F.sha2(F.col(text_col), 256).alias("key"), F.col(text_col)
-    units = docs.select(key, F.posexplode(F.concat(F.array(text), F.split(text, "\n"))).alias("line", "unit"))
+    key = F.sha2(F.col(text_col), 256).alias("key")
+    ranges = _length_ranges([r[0] for r in known.select("size").distinct().collect()])
+
+    def possible(unit: Column) -> Column:
+        n, any_range = F.length(unit), F.lit(False)
+        for low, high in ranges:
+            any_range = any_range | n.between(low, high)
+        return any_range
+
+    lines = docs.select(key, _lines(_plain(F.col(text_col))).alias("lines"))
+    units = F.concat(F.array(_joined(F.col("lines"))), F.col("lines"))
+    numbered = F.transform(units, lambda x, i: F.struct(i.alias("line"), x.alias("unit")))
     found = (
-        units.select("key", "line", canonical(F.col("unit")).alias("unit"))
+        lines.select("key", F.inline(F.filter(numbered, lambda u: possible(u["unit"]))))
         .where("unit <> ''")
-        .select("key", "line", F.sha2("unit", 256).alias("digest"))
+        .select("key", "line", F.sha2(_respelled(F.col("unit")), 256).alias("digest"))
         .join(known.select("digest", "license"), "digest")
         .select("key", "line", "license")
         .distinct()
@@ -152,10 +194,15 @@ def scan_licenses(docs: DataFrame, known: DataFrame, id_col: str = "doc_id", tex
 def oracle_sql() -> str:
     """The same scan of ``documents`` as DuckDB SQL."""
 
-    def form(text: str) -> str:
-        text = f"translate({text}, '{UPPER}', '{LOWERED}')"
-        text = f"regexp_replace({text}, '{COPYRIGHT_LINE.replace('(?md)', '(?m)')}', ' ', 'g')"
-        text = f"' ' || regexp_replace({text}, '{PUNCTUATION}', ' ', 'g') || ' '"
+    def lines(text: str) -> str:
+        text = f"regexp_replace(lower({text}), '{COPYRIGHT_LINE.replace('(?md)', '(?m)')}', '', 'g')"
+        return f"list_transform(string_split(regexp_replace({text}, '{PUNCTUATION}', ' ', 'g'), chr(10)), lambda x: trim(x, ' '))"
+
+    def joined(lines: str) -> str:
+        return f"array_to_string(list_filter({lines}, lambda x: x <> ''), ' ')"
+
+    def respelled(text: str) -> str:
+        text = f"' ' || {text} || ' '"
         for other, chosen in SPELLINGS:
             text = f"replace({text}, ' {other} ', ' {chosen} ')"
         return f"trim({text}, ' ')"
@@ -163,14 +210,14 @@ def oracle_sql() -> str:
     values = ", ".join("('{}', '{}')".format(a, b.replace("'", "''")) for a, b in KNOWN)
     return f"""
 WITH listed(license, text) AS (VALUES {values}),
-known AS (SELECT sha256({form("text")}) AS digest, min(license) AS license FROM listed GROUP BY 1),
-rows AS (SELECT row_number() OVER () AS k, doc_id, text FROM documents),
+known AS (SELECT sha256({respelled(joined(lines("text")))}) AS digest, min(license) AS license FROM listed GROUP BY 1),
+rows AS (SELECT row_number() OVER () AS k, doc_id, {lines("text")} AS lines FROM documents),
 units AS (
-  SELECT k, 0 AS line, text AS unit FROM rows
+  SELECT k, 0 AS line, {joined("lines")} AS unit FROM rows
   UNION ALL
-  SELECT k, unnest(range(1, len(string_split(text, chr(10))) + 1)) AS line, unnest(string_split(text, chr(10))) AS unit FROM rows
+  SELECT k, unnest(range(1, len(lines) + 1)) AS line, unnest(lines) AS unit FROM rows
 ),
-forms AS (SELECT k, line, {form("unit")} AS unit FROM units WHERE unit IS NOT NULL),
+forms AS (SELECT k, line, {respelled("unit")} AS unit FROM units WHERE unit IS NOT NULL),
 hits AS (SELECT k, line, license FROM forms JOIN known ON sha256(unit) = digest WHERE unit <> ''),
 sums AS (
   SELECT k, max(CASE WHEN line = 0 THEN license END) AS license,
