@@ -28,8 +28,8 @@ FIT_PER_LANGUAGE, MAX_LANGUAGES = 300, 256
 ROUNDS, SMOOTHING = 3, 0.05
 MARK = "▁"
 UNDETERMINED = "und"
-#: Distinct words that a worker remembers the scores of.
-REMEMBERED = 400_000
+#: Distinct words in each of the two generations that a worker remembers the scores of.
+REMEMBERED = 100_000
 BASE = 0x9E3779B97F4A7C15
 FILTER_BITS = 22
 
@@ -236,23 +236,34 @@ def fit(texts: dict[str, list[str]], path: str | None = None) -> Model:
 
 
 class WordMemory:
-    """Scores of words met before, in one table of bounded size; NaN for words without a letter."""
+    """Scores of words met before, in tables of bounded size; NaN for words without a letter.
+
+    When the younger generation is full it becomes the older one, from which words still in use
+    come back.
+    """
 
     def __init__(self, kinds: int, limit: int = REMEMBERED):
-        self.limit, self.row, self.table = limit, {}, np.zeros((0, kinds))
+        self.limit, self.kinds = limit, kinds
+        self.row, self.table = {}, np.zeros((limit, kinds))
+        self.old_row, self.old_table = {}, np.zeros((0, kinds))
 
     def scores(self, model: Model, distinct: list[bytes]) -> np.ndarray:
         new = [w for w in distinct if w not in self.row]
+        if new and len(self.row) + len(new) > self.limit:
+            self.old_row, self.old_table = self.row, self.table
+            self.row, self.table, new = {}, np.zeros((max(self.limit, len(distinct)), self.kinds)), distinct
         if new:
-            if len(self.row) + len(new) > self.limit:
-                self.row, self.table, new = {}, self.table[:0], distinct
-            letters = [letters_of(w.decode()) for w in new]
+            back = [w for w in new if w in self.old_row]
+            fresh = [w for w in new if w not in self.old_row]
+            letters = [letters_of(w.decode()) for w in fresh]
             real = [i for i, w in enumerate(letters) if w]
-            got = np.full((len(new), self.table.shape[1]), np.nan)
+            got = np.full((len(fresh), self.kinds), np.nan)
             if real:
                 got[real] = word_scores(model.lattice(), model.chances, [letters[i] for i in real])
-            self.row.update(zip(new, range(len(self.row), len(self.row) + len(new))))
-            self.table = np.concatenate([self.table, got])
+            at = len(self.row)
+            self.row.update(zip(back + fresh, range(at, at + len(new))))
+            self.table[at : at + len(back)] = self.old_table[[self.old_row[w] for w in back]]
+            self.table[at + len(back) : at + len(new)] = got
         return self.table[[self.row[w] for w in distinct]]
 
 

@@ -66,19 +66,24 @@ def first_fit_decreasing(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray,
 
 
 @lru_cache(maxsize=2)
-def _encoders(json_path: str, ranks_path: str):
-    """The tokenizer, and a faster reader of the same vocabulary."""
+def _exact(json_path: str):
+    """The tokenizer; loaded only where a text needs it."""
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(json_path)
+
+
+@lru_cache(maxsize=2)
+def _fast(ranks_path: str):
+    """A faster reader of the same vocabulary."""
     import base64
 
     import public_tokenizers
     import tiktoken
-    from tokenizers import Tokenizer
 
-    exact = Tokenizer.from_file(json_path)
     with open(ranks_path, "rb") as f:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-    fast = tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-    return exact, fast
+    return tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
 
 def default_paths() -> tuple[str, str]:
@@ -93,10 +98,9 @@ def encode_bytes(text: bytes, json_path: str, ranks_path: str) -> np.ndarray:
     The rank table yields the same ids faster; a text with a special token's string, which
     ``tokenizers`` reads as that token, and one with a very long unbroken run go the slow way.
     """
-    exact, fast = _encoders(json_path, ranks_path)
     if b"<|" in text or (len(text) >= LONG_RUN and max(map(len, text.split())) >= LONG_RUN):
-        return np.array(exact.encode(text.decode(), add_special_tokens=False).ids, "<u4")
-    return np.array(fast.encode_ordinary(text.decode()), "<u4")
+        return np.array(_exact(json_path).encode(text.decode(), add_special_tokens=False).ids, "<u4")
+    return np.array(_fast(ranks_path).encode_ordinary(text.decode()), "<u4")
 
 
 PIECES = "id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, salt bigint"

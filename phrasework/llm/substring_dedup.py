@@ -144,12 +144,15 @@ def _texts(docs: DataFrame, filter_) -> DataFrame:
     return docs.select("text").mapInArrow(run, "k1 bigint, k2 bigint, text string")
 
 
-def _fork_windows(found: DataFrame, width: int) -> DataFrame:
-    """Every window of the runs to be compared: (w1, w2, k1, k2, pos, place), ``place`` hashing the coordinates."""
+def _fork_windows(found: DataFrame, width: int, filter_=None) -> DataFrame:
+    """Every window of the runs to be compared: (w1, w2, k1, k2, pos, place), ``place`` hashing the coordinates.
+
+    With a filter only windows whose ``w1`` it may hold.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in slices(whole, limit=2 << 20):
+            for batch in slices(whole):
                 raw, at = utf8(batch.column("text"))
                 words = Words(raw, at)
                 rolling = Rolling(words)
@@ -163,7 +166,10 @@ def _fork_windows(found: DataFrame, width: int) -> DataFrame:
                 keys = [batch.column(k).to_numpy()[owner] for k in ("k1", "k2")]
                 place = mix(keys[0].view(U64) + mix(keys[1].view(U64) + pos.astype(U64)))
                 arrays = [rolling.of(0, start, start + width).view(np.int64), rolling.of(1, start, start + width).view(np.int64), *keys, pos.astype(np.int32), place.view(np.int64)]
-                for k in range(0, len(pos), 1 << 18):
+                if filter_ is not None:
+                    likely = bloom.contains(filter_.value, arrays[0])
+                    arrays = [a[likely] for a in arrays]
+                for k in range(0, len(arrays[0]), 1 << 18):
                     yield pa.RecordBatch.from_arrays([pa.array(a[k : k + (1 << 18)]) for a in arrays], names=names)
 
     return found.where("size(asked) > 0").select("k1", "k2", "text", "asked").mapInArrow(run, "w1 bigint, w2 bigint, k1 bigint, k2 bigint, pos int, place bigint")
@@ -233,7 +239,7 @@ class RepeatedSpans:
             windows.groupBy("w1", "w2").agg(F.min("place").alias("a"), F.max("place").alias("b")).where("a <> b").select("w1", "w2"),
             "windows",
         )
-        likely = bloom.thin(windows.select("w1", "w2", "k1", "k2", "pos"), "w1", bloom.build(again, "w1"))
+        likely = _fork_windows(found, width, bloom.build(again, "w1")).select("w1", "w2", "k1", "k2", "pos")
         hits = likely.join(again, ["w1", "w2"]).select("k1", "k2", "pos").groupBy("k1", "k2").agg(F.collect_list("pos").alias("hits"))
         cut = _cut(found.join(hits, ["k1", "k2"], "left").where("size(sure) > 0 or hits is not null"), width)
         #: One row for each text that loses words.
