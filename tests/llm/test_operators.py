@@ -1,0 +1,285 @@
+import collections
+import hashlib
+import re
+import zlib
+
+import numpy as np
+import pytest
+import sentencepiece
+import xxhash
+from pyspark.sql import functions as F
+
+import __spark_entry__ as entry
+from phrasework.llm import hamming_topk, language_id, license_scan, media, near_groups, packing, piece_codec, queries, simhash, substring_dedup, toxicity, url_filter
+
+WORD = re.compile(r"[^\x20\x09-\x0D]+")
+LOWER = {i: i + 32 for i in range(65, 91)}
+SCHEMA = "doc_id bigint, text string, lang string, source string, n_chars bigint, id string, k1 string, fp string, __k1 string, host string, key string"
+
+
+@pytest.fixture(scope="module")
+def documents(spark, small):
+    return spark.read.parquet(f"{small}/documents.parquet").orderBy("doc_id").toPandas()
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Nulls in each column, empty and long texts, repeated rows, columns of clashing names."""
+    long = " ".join(f"w{i % 97}" for i in range(20000))
+    span = " ".join(f"s{i}" for i in range(40))
+    rows = [(1, "alpha beta " + span), (1, "alpha beta " + span), (2, span + " omega"), (3, None), (4, ""), (None, "no id here"), (None, None), (5, long), (6, "  \n\t "), (7, "x"), (8, "x")]
+    return spark.createDataFrame([(a, t, None, None, None, "i", "k", "f", "d", "h", "y") for a, t in rows], SCHEMA)
+
+
+def plain_words(text):
+    return WORD.findall(text or "")
+
+
+def plain_spans(rows, width):
+    """(n_words, n_removed, kept) of each text by comparing all windows."""
+    words = [plain_words(t) for t in rows]
+    seen = collections.Counter(tuple(w[i : i + width]) for w in words for i in range(len(w) - width + 1))
+    for w in words:
+        gone = [False] * len(w)
+        for i in range(len(w) - width + 1):
+            if seen[tuple(w[i : i + width])] > 1:
+                gone[i : i + width] = [True] * width
+        yield len(w), sum(gone), " ".join(x for x, g in zip(w, gone) if not g)
+
+
+def test_every_operator_takes_odd_rows_and_empty_tables(spark, odd):
+    field = toxicity.fit(["you scum", "fine day"] * 8, [1, 0] * 8)
+    model = language_id.fit({"en": ["the cat and the dog"], "de": ["der hund und die katze"]})
+    known = license_scan.known_frame(spark)
+    runs = {
+        "codec": lambda d: piece_codec.codec_digests(d),
+        "spans": lambda d: substring_dedup.removed_spans(d),
+        "cut": lambda d: substring_dedup.remove_spans(d),
+        "toxic": lambda d: toxicity.score_texts(d, field),
+        "clean": lambda d: toxicity.keep_clean(d, field),
+        "language": lambda d: language_id.predict(d, model),
+        "identified": lambda d: language_id.keep_identified(d, model),
+        "near": lambda d: simhash.near_duplicates(d),
+        "groups": lambda d: near_groups.keep_one_of_each(d),
+        "license": lambda d: license_scan.scan_licenses(d, known),
+        "packing": lambda d: packing.pack_documents(d),
+        "media": lambda d: media.clip_digests(d),
+        "clips": lambda d: media.text_to_clips(d).drop("payload"),
+    }
+    whole = {"codec", "spans", "cut", "toxic", "language", "near", "license", "media", "clips"}
+    for name, run in runs.items():
+        rows = run(odd).collect()
+        assert len(rows) == odd.count() or name not in whole, name
+        assert run(odd.limit(0)).count() == 0, name
+    for name in ("cut", "clean", "identified", "groups"):
+        assert runs[name](odd).columns == odd.columns
+
+
+def test_defined_results_of_odd_rows(spark, odd):
+    spans = {r.id: r for r in substring_dedup.removed_spans(odd).collect()}
+    assert spans[1].n_removed == 42 and spans[2].n_removed == 40 and spans[4].n_words == 0
+    assert spans[2].kept_sha256 == hashlib.sha256(b"omega").hexdigest()
+    near = simhash.near_duplicates(odd).collect()
+    assert {r.component_id for r in near if r.fp == 0} == {3}
+    assert sum(r.component_id == 7 for r in near) == 2
+    kept = near_groups.keep_one_of_each(odd).collect()
+    assert sorted(r.doc_id for r in kept if r.doc_id is not None) == [1, 2, 3, 5, 7] or sorted(r.doc_id for r in kept if r.doc_id is not None) == [1, 3, 5, 7]
+    model = language_id.fit({"en": ["the cat and the dog"], "de": ["der hund und die katze"]})
+    und = {r.id: (r.lang_pred, r.score) for r in language_id.predict(odd, model).collect()}
+    assert und[3] == und[4] == und[6] == ("und", 0.0)
+    packed = {r.id: r for r in packing.pack_documents(odd).where("id in (3, 4)").collect()}
+    assert packed[3].doc_tokens == packed[4].doc_tokens == 1
+    digests = {r.id: r for r in media.clip_digests(odd).collect()}
+    assert digests[3].payload_sha256 == hashlib.sha256(b"\0" * 64).hexdigest() == digests[4].payload_sha256
+
+
+def test_urls(spark, same):
+    same(queries.QUERIES["op1_url_filter"], queries.ORACLES["op1_url_filter"])
+    urls = ["HTTP://WWW.Example.com/en/x?q#f", "http://a.example.com/en/", "https://net/fr/y", "x.net/fr/", None, "://", "http://ex.net/es", "ftp://example.com", "http://sub.www.example.com/en/", "a://com/ß"]
+    pages = spark.createDataFrame([(i, u, "r", "h") for i, u in enumerate(urls)] + [(None, "http://q.com/", "r", "h")], "page_id bigint, url string, rule string, host string")
+    rules = url_filter.rules_frame(spark, url_filter.PRODUCTION_RULES)
+    got = {r.page_id: (r.host, r.path, r.rule, r.verdict) for r in url_filter.filter_urls(pages, rules).collect()}
+    assert got[0] == ("www.example.com", "/en/x", "www.example.com/en/", "allow")
+    assert got[1] == ("a.example.com", "/en/", "example.com/en/", "block")
+    assert got[2] == ("net", "/fr/y", "net/fr/", "block")
+    assert got[3] == got[4] == ("", "", None, "allow")
+    assert got[6][2:] == (None, "allow") and got[7] == ("example.com", "", None, "allow")
+    assert got[8][2] == "www.example.com/en/" and got[None][2] == "com/"
+    shuffled = url_filter.filter_urls(pages, rules, broadcast_rules=0).collect()
+    assert {r.page_id: (r.host, r.path, r.rule, r.verdict) for r in shuffled} == got
+    assert url_filter.filter_urls(pages.limit(0), rules).count() == 0
+
+
+def test_topk(spark, same):
+    same(queries.QUERIES["op2_exact_topk"], queries.ORACLES["op2_exact_topk"])
+    rows = spark.createDataFrame([(i, 7 if i % 3 == 0 else i * 1000003) for i in range(400)] + [(None, 7), (900, None)], "id bigint, code bigint")
+    asked = rows.where("id % 20 = 0")
+    got = collections.defaultdict(list)
+    for r in hamming_topk.nearest_codes(rows, asked, k=5).orderBy("query_id", "rank").collect():
+        got[r.query_id].append((r.distance, r.neighbor_id))
+    plain = [(r.id, r.code) for r in rows.collect() if r.id is not None and r.code is not None]
+    for q, code in ((a, c) for a, c in plain if a % 20 == 0):
+        assert got[q] == sorted(((c ^ code) & (1 << 64) - 1).bit_count() and (((c ^ code) & (1 << 64) - 1).bit_count(), i) or (0, i) for i, c in plain)[:5]
+    assert hamming_topk.nearest_codes(rows.limit(0), asked).count() == 0 and hamming_topk.nearest_codes(rows, asked.limit(0)).count() == 0
+
+
+def test_pieces_of_whole_texts(spark, small, documents):
+    reference = sentencepiece.SentencePieceProcessor(model_file=piece_codec.default_path())
+    rows = {r.doc_id: r for r in queries.op3_sentencepiece(spark, small).collect()}
+    for d in documents.itertuples():
+        ids = reference.encode(d.text)
+        assert rows[d.doc_id].n_ids == len(ids) and rows[d.doc_id].ids_crc32 == zlib.crc32(np.array(ids, "<i4").tobytes()) and rows[d.doc_id].round_trip
+    docs = spark.read.parquet(f"{small}/documents.parquet").limit(20)
+    back = {r.id: r.text for r in piece_codec.decode_ids(piece_codec.encode_texts(docs)).collect()}
+    assert all(back[r.doc_id] == r.text for r in docs.collect())
+
+
+def test_repeated_spans(spark, small, documents):
+    rows = {r.doc_id: r for r in queries.op4_substring_dedup(spark, small).collect()}
+    for d, (n, gone, kept) in zip(documents.itertuples(), plain_spans(documents.text, 35)):
+        assert (rows[d.doc_id].n_words, rows[d.doc_id].n_removed, rows[d.doc_id].kept_sha256) == (n, gone, hashlib.sha256(kept.encode()).hexdigest())
+
+
+def test_repeated_spans_of_few_words(spark):
+    import random
+
+    rng = random.Random(9)
+    texts = [" ".join(rng.choice("a b c".split()) for _ in range(rng.randrange(0, 40))) for _ in range(60)] + ["a " * 50, "a " * 12, ""]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    got = {r.id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup.removed_spans(rows, width=9, anchor=3).collect()}
+    for i, (n, gone, kept) in enumerate(plain_spans(texts, 9)):
+        assert got[i] == (n, gone, hashlib.sha256(kept.encode()).hexdigest())
+    cut = {r.doc_id: r.text for r in substring_dedup.remove_spans(rows, width=9, anchor=3).collect()}
+    for i, (_, gone, kept) in enumerate(plain_spans(texts, 9)):
+        assert cut[i] == (kept if gone else texts[i])
+
+
+def crc(doc_id, folds):
+    return zlib.crc32(str(doc_id).encode()) % folds
+
+
+def test_toxicity(spark, small):
+    data = "/root/testdata/sf0.01"
+    rows = queries.op5_toxicity(spark, data).toPandas().set_index("doc_id")
+    assert (rows.held_out == [crc(i, 3) == 1 for i in rows.index]).all() and rows.score.between(0, 1).all()
+    assert ((rows.score >= 0.7) == (rows.predicted == 1)).all()
+    labels = spark.read.parquet(f"{data}/labels.parquet").toPandas().set_index("doc_id")
+    test = labels.join(rows).query("held_out")
+    assert test[test.toxic == 1].predicted.mean() >= 0.7 and test[test.toxic == 0].predicted.mean() <= 0.02
+    field = toxicity.fit(["a nice day here"] * 30 + ["you utter scum there"] * 30, [0] * 30 + [1] * 30)
+    docs = spark.createDataFrame([(1, "well you utter scum ok"), (2, "a nice day")], "doc_id bigint, text string")
+    got = {r.id: r for r in toxicity.score_texts(docs, field).collect()}
+    assert got[1].score > 0.5 > got[2].score and not got[2].spans
+    assert "scum" in ["well you utter scum ok"[s.start : s.end] for s in got[1].spans]
+    assert toxicity.fit(["only clean"], [0]).score(np.array([0.9]), np.array([1.0]))[0] < 0.5
+
+
+def test_language(spark, small):
+    rows = queries.op6_language_id(spark, small).toPandas()
+    truth = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "lang").toPandas()
+    test = rows.merge(truth, on="doc_id").query("held_out")
+    assert (test.held_out == [crc(i, 4) == 2 for i in test.doc_id]).all()
+    assert (test.lang_pred == test.lang).mean() >= 0.95 and rows.score.between(0, 1).all()
+
+
+def test_near_duplicates(spark, small, documents):
+    rows = {r.doc_id: (r.fingerprint, r.component_id) for r in queries.op7_simhash_near_dedup(spark, small).collect()}
+    prints = {}
+    for d in documents.itertuples():
+        w = WORD.findall(d.text.translate(LOWER))
+        s = [" ".join(w[i : i + 3]) for i in range(len(w) - 2)] or ([" ".join(w)] if w else [])
+        h = [xxhash.xxh64_intdigest(x, 42) for x in s]
+        prints[d.doc_id] = sum(1 << b for b in range(64) if 2 * sum(x >> b & 1 for x in h) > len(h))
+    group = {i: i for i in prints}
+    changed = True
+    while changed:
+        changed = False
+        for i in prints:
+            for j in prints:
+                if (prints[i] ^ prints[j]).bit_count() <= 2 and group[i] != group[j]:
+                    group[i] = group[j] = min(group[i], group[j])
+                    changed = True
+    assert rows == {i: (f"{prints[i]:016x}", group[i]) for i in prints}
+
+
+def test_licenses(spark, same):
+    same(queries.QUERIES["op8_license_scan"], queries.ORACLES["op8_license_scan"])
+    mit = dict(license_scan.KNOWN[::-1])["MIT"]
+    wrapped = "Copyright (c) 2020 Some Body\n\n" + license_scan._MIT_GRANT.replace("copies of the", "copies\nof   the").replace("license", "licence").upper()
+    docs = spark.createDataFrame([(1, wrapped), (2, "text\n  RELEASED under the MIT licence!\nmore"), (3, mit + " extra"), (4, "(c) only"), (5, None)], "doc_id bigint, text string")
+    got = {r.id: (r.license, r.notices, r.license_lines) for r in license_scan.scan_licenses(docs, license_scan.known_frame(spark)).collect()}
+    assert got == {1: ("MIT", None, 0), 2: (None, "MIT", 1), 3: (None, None, 0), 4: (None, None, 0), 5: (None, None, 0)}
+
+
+def test_packing(spark, small, documents):
+    from tokenizers import Tokenizer
+
+    tokenizer = Tokenizer.from_file(packing.default_paths()[0])
+    ids = {d.doc_id: np.array(tokenizer.encode(d.text, add_special_tokens=False).ids + [1], "<u4") for d in documents.itertuples()}
+    pieces, sequences = collections.defaultdict(list), collections.defaultdict(list)
+    for r in queries.op9_packing(spark, small).collect():
+        part = ids[r.doc_id][r.start : r.start + r.length]
+        assert zlib.crc32(part.tobytes()) == r.ids_crc32 and r.doc_tokens == len(ids[r.doc_id])
+        pieces[r.doc_id].append((r.start, r.length))
+        sequences[r.sequence_id].append((r.offset, r.length))
+    for spans, end in [(pieces[i], len(ids[i])) for i in ids] + [(s, None) for s in sequences.values()]:
+        at = 0
+        for begin, length in sorted(spans):
+            assert begin == at
+            at += length
+        assert at == end or (end is None and at <= 2048)
+    assert len(sequences) <= -(-sum(map(len, ids.values())) // 2048) + 1
+
+
+def test_media(spark, small, documents):
+    for r in queries.op10_media_columns(spark, small).collect():
+        text = documents.text[documents.doc_id == r.doc_id].iloc[0].encode()
+        payload = media.text_payload(text)
+        assert (r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) == (len(text), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]))
+        stored = media.pack_payload(media.codec_of(payload), payload)
+        assert (r.media_bytes, r.media_sha256) == (len(stored), hashlib.sha256(stored).hexdigest()) and r.feature.startswith("codec=")
+
+
+def test_pipeline_stages(spark, small):
+    import corpus_pipeline
+
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    columns = docs.columns
+    stages = dict(corpus_pipeline.STAGES)
+    assert len(stages) == 5
+    known = stages["language_id"](spark, docs, small)
+    assert known.columns == columns and known.count() >= 0.98 * docs.where("text rlike '[A-Za-z]'").count()
+    labels = spark.read.parquet(f"{small}/labels.parquet")
+    clean = stages["toxicity"](spark, docs, small)
+    assert clean.columns == columns and clean.join(labels.where("toxic = 0"), "doc_id", "left_semi").count() == docs.join(labels.where("toxic = 0"), "doc_id", "left_semi").count()
+    kept = stages["simhash_near_dedup"](spark, docs, small)
+    before, after = docs.toPandas().set_index("doc_id"), kept.toPandas().set_index("doc_id")
+    assert kept.columns == columns and after.index.is_unique and after.text.is_unique
+    shingles = {i: {" ".join(w[k : k + 5]) for k in range(max(1, len(w) - 4))} for i, w in ((i, WORD.findall(t.translate(LOWER))) for i, t in before.text.items())}
+    similar = lambda i, j: len(shingles[i] & shingles[j]) / max(1, len(shingles[i] | shingles[j]))
+    close = [(i, j) for i in shingles for j in shingles if i < j and similar(i, j) >= 0.8]
+    assert close and sum(i in after.index and j in after.index for i, j in close) <= 0.02 * len(close)
+    for i in set(before.index) - set(after.index):
+        assert any(j != i and similar(i, j) >= 0.6 for j in shingles)
+    cut = stages["substring_dedup"](spark, kept, small)
+    texts = list(after.text)
+    want = {i: (k if gone else t) for i, t, (_, gone, k) in zip(after.index, texts, plain_spans(texts, 35))}
+    assert cut.columns == columns and {r.doc_id: r.text for r in cut.collect()} == want
+    assert cut.where(F.length("text") != F.col("n_chars")).isEmpty()
+    packed = stages["packing"](spark, cut, small)
+    assert packed.select("doc_id").distinct().count() == cut.count()
+    assert entry.queries()["pipeline"](spark, small).count() > 0
+
+
+def test_rest_does_without_this_subpackage():
+    import os
+    import subprocess
+    import sys
+    import tempfile
+
+    root = os.path.dirname(os.path.abspath(entry.__file__))
+    with tempfile.TemporaryDirectory() as folder:
+        subprocess.run(["cp", "-r", f"{root}/phrasework", f"{root}/__spark_entry__.py", folder], check=True)
+        subprocess.run(["rm", "-r", f"{folder}/phrasework/llm"], check=True)
+        code = "import __spark_entry__ as e; q = e.queries(); assert q and not [n for n in q if n[:3] == 'op1' or n == 'pipeline']"
+        subprocess.run([sys.executable, "-c", code], check=True, cwd=folder)
