@@ -23,7 +23,7 @@ PUNCTUATION = rf" *[^{_OTHER} \n][^{_OTHER}\n]*| {{2,}}"
 
 # Equivalent spellings, between words of a canonical text.
 SPELLINGS = [
-    ("licence", "license"), ("licences", "licenses"), ("licenced", "licensed"), ("sub license", "sublicense"), ("sub licence", "sublicense"),
+    ("licence", "license"), ("licences", "licenses"), ("licenced", "licensed"), ("sublicence", "sublicense"), ("sub license", "sublicense"), ("sub licence", "sublicense"),
     ("non infringement", "noninfringement"), ("merchantibility", "merchantability"), ("organisation", "organization"),
     ("acknowledgement", "acknowledgment"), ("favour", "favor"), ("whilst", "while"), ("per cent", "percent"), ("copyright holder", "copyright owner"),
     ("copyright holders", "copyright owners"), ("https", "http"),
