@@ -16,7 +16,6 @@ import re
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -26,8 +25,12 @@ from pyspark.sql import functions as F
 from phrasework.llm.textbytes import slices
 
 MARK = "▁"
-#: Distinct words, and pairs of pieces, that a worker remembers.
+#: Distinct words in each of the two generations that a worker remembers, and pairs of pieces.
 REMEMBERED, PAIRS = 300_000, 1_000_000
+#: Bytes of text whose words share a trie.
+TOGETHER = 6 << 20
+#: Characters of neighbouring words that are compared for their shared prefix.
+SHARED = 24
 #: Added to the lowest score for a character outside the vocabulary.
 UNKNOWN_PENALTY = 10.0
 
@@ -79,7 +82,6 @@ class Merges:
     def __init__(self, scores: dict[str, float]):
         self.scores = scores
         self.history: dict[str, list[tuple[float, str | None, str | None]] | None] = {}
-        self.pairs: dict[tuple[str, str], bool] = {}
 
     def encode(self, text: str) -> tuple[list[str], list[tuple[float, str | None, str | None]]]:
         """Merge the best-scored neighbours, leftmost first, until none is a piece.
@@ -111,14 +113,6 @@ class Merges:
 
         Both sides merge as they do alone until a merge over the border is the best on offer.
         """
-        known = self.pairs.get((a, b))
-        if known is None:
-            if len(self.pairs) >= PAIRS:
-                self.pairs.clear()
-            known = self.pairs[a, b] = self._apart(a, b)
-        return known
-
-    def _apart(self, a: str, b: str) -> bool:
         left, right = self.made(a), self.made(b)
         if left is None or right is None:
             return False
@@ -171,7 +165,11 @@ class PieceCodec:
         joined = {c for p in self.ids if len(p) > 1 for c in p}
         alone = "".join(re.escape(c) for c in "\n\t\r" if c not in joined)
         self.words = re.compile(f"{MARK}+[^{MARK}{alone}]*|[^{MARK}{alone}]+" + (f"|[{alone}]" if alone else ""))
-        self.memory: dict[str, tuple[int, ...]] = {}
+        self.memory: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+        self.pairs: dict[int, bool] = {}
+        self.sizes = list(map(len, self.pieces))
+        self.codes = [i.to_bytes(4, "little") for i in range(size)]
         self.surface = np.array([b"" if special[i] and i not in self.bytes.values() else p.replace(MARK, " ").encode() for i, p in enumerate(self.pieces)], object)
         for value, i in self.bytes.items():
             self.surface[i] = bytes([value])
@@ -181,24 +179,30 @@ class PieceCodec:
         """Marked words of a text."""
         return self.words.findall(MARK + text.replace(" ", MARK)) if text else []
 
-    def encode_words(self, words: list[str]) -> dict[str, tuple[int, ...]]:
-        """Ids of distinct words, depth-first over their trie."""
-        out = {}
-        before = ""
-        last: list[str] = [""]
+    def encode_words(self, words: list[str]) -> dict[str, bytes]:
+        """Ids of distinct words as little-endian 32-bit numbers, depth-first over their trie."""
+        words = sorted(words)
+        heads = np.array(words, dtype=f"U{SHARED}").view(np.uint32).reshape(len(words), SHARED)
+        same = (heads[1:] == heads[:-1]) & (heads[1:] != 0)
+        shared = [0, *np.logical_and.accumulate(same, axis=1).sum(axis=1).tolist()]
+        out, codes, sizes = {}, self.codes, self.sizes
+        last: list[int] = [0]
         best: list[float] = [0.0]
-        for word in sorted(words):
-            shared, most = 0, min(len(before), len(word))
-            while shared < most and before[shared] == word[shared]:
-                shared += 1
-            del last[shared + 1 :], best[shared + 1 :]
-            (self._merge_steps if self.merges else self._score_steps)(word, shared, last, best)
+        steps = self._merge_steps if self.merges else self._score_steps
+        for word, n in zip(words, shared):
+            del last[n + 1 :], best[n + 1 :]
+            steps(word, n, last, best)
             found, at = [], len(word)
             while at:
-                found.append(last[at])
-                at -= len(last[at])
-            out[word] = tuple(chain.from_iterable(self._piece_ids(p) for p in reversed(found)))
-            before = word
+                own = last[at]
+                if own < 0:
+                    at -= 1
+                    found.append(self._unknown_code(word[at]))
+                else:
+                    at -= sizes[own]
+                    found.append(codes[own])
+            found.reverse()
+            out[word] = b"".join(found)
         return out
 
     def _endings(self, word: str, end: int) -> Iterator[int]:
@@ -209,33 +213,40 @@ class PieceCodec:
                     if (n == size or size == 3) and n <= end:
                         yield end - n
 
-    def _merge_steps(self, word: str, start: int, last: list[str], best: list[float]) -> None:
-        ids, lengths, apart, made = self.ids, self.lengths, self.merges.apart, self.merges.made
-        pairs = self.merges.pairs
+    def _merge_steps(self, word: str, start: int, last: list[int], best: list[float]) -> None:
+        ids, lengths, pairs = self.ids.get, self.lengths.get, self.pairs.get
         for end in range(start + 1, len(word) + 1):
             choice = None
             if end > 2:
-                for n in lengths.get(word[end - 3 : end], ()):
-                    if n <= end:
-                        begin = end - n
-                        piece = word[begin:end]
-                        if piece in ids:
-                            if begin:
-                                known = pairs.get((last[begin], piece))
-                                if known or (known is None and apart(last[begin], piece)):
-                                    choice = piece
-                                    break
-                            elif made(piece) is not None:
+                for n in lengths(word[end - 3 : end], ()):
+                    begin = end - n
+                    if begin >= 0:
+                        piece = ids(word[begin:end])
+                        if piece is not None:
+                            before = last[begin] if begin else -1
+                            known = pairs((before << 20) | piece)
+                            if known or (known is None and self._apart(before, piece)):
                                 choice = piece
                                 break
             if choice is None and end > 1:
-                piece = word[end - 2 : end]
-                if piece in ids and (apart(last[end - 2], piece) if end > 2 else made(piece) is not None):
+                piece = ids(word[end - 2 : end])
+                if piece is not None and self._apart(last[end - 2] if end > 2 else -1, piece):
                     choice = piece
-            last.append(choice or word[end - 1])
+            last.append(ids(word[end - 1], -1) if choice is None else choice)
+
+    def _apart(self, before: int, piece: int) -> bool:
+        """Whether a piece can follow another one, or (-1) a border that nothing merges over."""
+        key = (before << 20) | piece
+        known = self.pairs.get(key)
+        if known is None:
+            if len(self.pairs) >= PAIRS:
+                self.pairs.clear()
+            text = self.pieces[piece]
+            known = self.pairs[key] = self.merges.made(text) is not None if before < 0 else self.merges.apart(self.pieces[before], text)
+        return known
 
-    def _score_steps(self, word: str, start: int, last: list[str], best: list[float]) -> None:
-        scores = self.scores
+    def _score_steps(self, word: str, start: int, last: list[int], best: list[float]) -> None:
+        scores, ids = self.scores, self.ids
         for end in range(start + 1, len(word) + 1):
             choice = word[end - 1]
             top = best[end - 1] + scores.get(choice, self.floor)
@@ -243,28 +254,34 @@ class PieceCodec:
                 score = scores.get(word[begin:end])
                 if score is not None and best[begin] + score > top:
                     choice, top = word[begin:end], best[begin] + score
-            last.append(choice)
+            last.append(ids.get(choice, -1))
             best.append(top)
 
-    def _piece_ids(self, piece: str) -> tuple[int, ...]:
-        own = self.ids.get(piece)
-        if own is not None:
-            return (own,)
+    def _unknown_code(self, char: str) -> bytes:
+        """Code of a character outside the vocabulary: its bytes' pieces, or the unknown piece."""
         if len(self.bytes) == 256:
-            return tuple(self.bytes[b] for b in piece.encode())
-        return (self.unknown,)
+            return b"".join(self.codes[self.bytes[b]] for b in char.encode())
+        return self.codes[self.unknown]
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        """Ids of each text; words met before come from memory."""
+        """Ids of each text; words met before come from memory.
+
+        Memory has two generations: when the younger is full it becomes the older, and words
+        still in use come back from there.
+        """
         split = [self.split(t) for t in texts]
-        new = {w for words in split for w in words if w not in self.memory}
+        words = set().union(*split)
+        new = words.difference(self.memory)
+        if len(self.memory) + len(new) > REMEMBERED:
+            self.older, self.memory, new = self.memory, {}, words
+        older = self.older
+        known = new.intersection(older) if older else set()
+        self.memory.update((w, older[w]) for w in known)
+        new = new.difference(known)
         if new:
-            if len(self.memory) + len(new) > REMEMBERED:
-                self.memory.clear()
-                new = {w for words in split for w in words}
             self.memory.update(self.encode_words(list(new)))
         get = self.memory.__getitem__
-        return [np.fromiter(chain.from_iterable(map(get, words)), np.int32) for words in split]
+        return [np.frombuffer(b"".join(map(get, words)), "<i4") for words in split]
 
     def decode(self, ids: np.ndarray) -> str:
         """The text of ids; byte pieces join to characters, the mark before the first word goes."""
@@ -293,7 +310,7 @@ def encode_texts(docs: DataFrame, raw: bytes | None = None, id_col: str = "doc_i
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(model.value)
         for whole in batches:
-            for batch in slices(whole):
+            for batch in slices(whole, limit=TOGETHER):
                 ids = own.encode([t or "" for t in batch.column("text").to_pylist()])
                 yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(ids, pa.list_(pa.int32()))], names=["id", "ids"])
 
@@ -327,7 +344,7 @@ def codec_digests(docs: DataFrame, raw: bytes | None = None, id_col: str = "doc_
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(model.value)
         for whole in batches:
-            for batch in slices(whole):
+            for batch in slices(whole, limit=TOGETHER):
                 texts = [t or "" for t in batch.column("text").to_pylist()]
                 ids = own.encode(texts)
                 back = [own.decode(x) for x in ids]
