@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -34,8 +35,10 @@ def rank_of(suffixes: DataFrame) -> DataFrame:
     return suffixes.select("string_id", "pos", "rank")
 
 
-def factor_table(S: DataFrame, unit: str = "codepoint") -> DataFrame:
+def factor_table(S: DataFrame, unit: str = "codepoint", tier: str = "kernel") -> DataFrame:
     """FACTOR: longest earlier and later occurrence of what starts at each position."""
+    if tier == "distributed":
+        return distributed_factor_table(S)
 
     def rows(key: str, text: str):
         index = K.SuffixIndex(K.codes_of(text, unit))
@@ -90,30 +93,97 @@ def _dense_ranks(rows: DataFrame, keys: list[str]) -> DataFrame:
     return placed.withColumn("own", F.rank().over(local)).join(F.broadcast(offsets), ["string_id", "part"]).withColumn("rank", F.col("own") + F.col("offset")).drop("part", "own", "offset")
 
 
-def distributed_suffix_table(S: DataFrame) -> DataFrame:
-    """SUFFIX of huge strings without a kernel: ranks by doubling, LCPs by descent over its levels."""
+def rank_levels(S: DataFrame) -> list[DataFrame]:
+    """(string_id, pos, rank) of the substrings of length 1, 2, 4, ... until all ranks differ.
+
+    Each round joins a position with the one ``2**t`` further on, by an equi-join on unique keys.
+    """
     characters = materialize(chars(S), "chars")
     levels = [materialize(_dense_ranks(characters.select("string_id", "pos", F.col("ch").cast("bigint").alias("a")), ["a"]).select("string_id", "pos", "rank"), "level")]
     for t in range(MAX_ROUNDS):
         now = levels[-1]
         spread = now.groupBy("string_id").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("rank").alias("d"))
         if spread.where("n <> d").isEmpty():
-            break
+            return levels
         ahead = now.select("string_id", (F.col("pos") - (1 << t)).alias("pos"), F.col("rank").alias("b"))
         pairs = now.withColumnRenamed("rank", "a").join(ahead, ["string_id", "pos"], "left").withColumn("b", F.coalesce("b", F.lit(0)))
         levels.append(materialize(_dense_ranks(pairs, ["a", "b"]).select("string_id", "pos", "rank"), "level"))
-    final = levels[-1]
-    above = final.select("string_id", (F.col("rank") + 1).alias("rank"), F.col("pos").alias("j"))
-    n = final.groupBy("string_id").agg(F.count(F.lit(1)).alias("n"))
-    pairs = final.join(above, ["string_id", "rank"], "left").join(n, "string_id").withColumn("done", F.lit(0).cast("bigint"))
+    raise RuntimeError("ranks not settled")
+
+
+def lce_by_levels(pairs: DataFrame, levels: list[DataFrame]) -> DataFrame:
+    """``pairs`` (string_id, pos, j, ...) with ``lce``: a descent over rank levels, two equi-joins each.
+
+    A null ``j`` gives 0.
+    """
+    n = levels[-1].groupBy("string_id").agg(F.count(F.lit(1)).alias("n"))
+    names = pairs.columns
+    pairs = pairs.join(n, "string_id").withColumn("lce", F.lit(0).cast("bigint"))
     for t in range(len(levels) - 1, -1, -1):
         level, size = levels[t], 1 << t
         x = level.select("string_id", F.col("pos").alias("x"), F.col("rank").alias("rx"))
         y = level.select("string_id", F.col("pos").alias("y"), F.col("rank").alias("ry"))
-        pairs = pairs.withColumn("x", F.col("pos") + F.col("done")).withColumn("y", F.col("j") + F.col("done"))
+        pairs = pairs.withColumn("x", F.col("pos") + F.col("lce")).withColumn("y", F.col("j") + F.col("lce"))
         pairs = pairs.join(x, ["string_id", "x"], "left").join(y, ["string_id", "y"], "left")
         grow = (F.col("rx") == F.col("ry")) & (F.greatest("x", "y") + size <= F.col("n") + 1)
-        pairs = pairs.withColumn("done", F.col("done") + F.when(grow, size).otherwise(0)).drop("x", "y", "rx", "ry")
+        pairs = pairs.withColumn("lce", F.col("lce") + F.when(grow, size).otherwise(0)).drop("x", "y", "rx", "ry")
         if t % 4 == 0:
             pairs = materialize(pairs, "descent")
-    return pairs.select("string_id", "rank", "pos", F.when(F.col("j").isNull(), 0).otherwise(F.col("done")).cast("bigint").alias("lcp"))
+    return pairs.select(*names, "lce")
+
+
+def distributed_suffix_table(S: DataFrame, levels: list[DataFrame] | None = None) -> DataFrame:
+    """SUFFIX of huge strings without a kernel: ranks by doubling, LCPs by descent over its levels."""
+    levels = levels or rank_levels(S)
+    above = levels[-1].select("string_id", (F.col("rank") + 1).alias("rank"), F.col("pos").alias("j"))
+    pairs = levels[-1].join(above, ["string_id", "rank"], "left").select("string_id", "rank", "pos", "j")
+    return lce_by_levels(pairs, levels).select("string_id", "rank", "pos", F.col("lce").alias("lcp"))
+
+
+def _nearest_by_rank(ranks: DataFrame, larger: bool, upward: bool, block: int) -> DataFrame:
+    """(string_id, pos, j): the nearest suffix in rank order, one way, that starts further right (or left).
+
+    Each block of ranks answers what it can by a stack. What is left over and has an answer at
+    all, as the running extreme of later blocks tells, meets the staircase of the one block
+    that answers it: the rows that no row behind them hides. Only those travel.
+    """
+    sign = 1 if larger else -1
+    order = F.col("rank") if not upward else -F.col("rank")
+    rows = ranks.select("string_id", "pos", order.alias("at"), F.floor(order / block).alias("block"), (F.col("pos") * sign).alias("value"))
+
+    def inside(key, table):
+        at = np.argsort(table.column("at").to_numpy())
+        pos, value = table.column("pos").to_numpy()[at].tolist(), table.column("value").to_numpy()[at].tolist()
+        stack: list[int] = []
+        found: list[int | None] = []
+        for k, v in enumerate(value):
+            while stack and value[stack[-1]] < v:
+                stack.pop()
+            found.append(pos[stack[-1]] if stack else None)
+            stack.append(k)
+        stair = set(stack)
+        return pa.table({"string_id": pa.array([key[0].as_py()] * len(pos)), "block": pa.array([key[1].as_py()] * len(pos), pa.int64()), "pos": pos, "value": value, "j": pa.array(found, pa.int64()), "stair": [k in stair for k in range(len(pos))]})
+
+    done = materialize(rows.groupBy("string_id", "block").applyInArrow(inside, "string_id string, block bigint, pos bigint, value bigint, j bigint, stair boolean"), "blocks")
+    tops = done.groupBy("string_id", "block").agg(F.max("value").alias("top"))
+    before = Window.partitionBy("string_id").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    reach = tops.withColumn("reach", F.max("top").over(before)).select("string_id", "block", "reach")
+    open_rows = done.where("j is null").join(reach, ["string_id", "block"]).where("reach > value").select("string_id", "block", "pos", "value")
+    # The nearest earlier block whose top is higher, and in it the nearest stair that is higher.
+    target = open_rows.join(tops.select("string_id", F.col("block").alias("other"), "top"), "string_id").where("other < block and top > value")
+    target = target.groupBy("string_id", "pos", "value").agg(F.max("other").alias("block"))
+    stairs = done.where("stair").select("string_id", "block", F.col("pos").alias("p"), F.col("value").alias("v"))
+    answer = target.join(stairs, ["string_id", "block"]).where("v > value").groupBy("string_id", "pos").agg(F.min_by("p", "v").alias("far"))
+    return done.join(answer, ["string_id", "pos"], "left").select("string_id", "pos", F.coalesce("j", "far").alias("j"))
+
+
+def distributed_factor_table(S: DataFrame, block: int = 1 << 16) -> DataFrame:
+    """FACTOR of huge strings: nearest places along rank order by blocks, lengths by rank levels."""
+    levels = rank_levels(S)
+    sides = {}
+    for name, larger in (("prev", False), ("next", True)):
+        both = [lce_by_levels(_nearest_by_rank(levels[-1], larger, upward, block), levels).select("string_id", "pos", F.col("j").alias(f"j{k}"), F.col("lce").alias(f"l{k}")) for k, upward in enumerate((False, True))]
+        one = both[0].join(both[1], ["string_id", "pos"])
+        size = F.greatest("l0", "l1")
+        sides[name] = one.select("string_id", "pos", size.alias(f"{name}_len"), F.when(size > 0, F.when(F.col("l0") >= F.col("l1"), F.col("j0")).otherwise(F.col("j1"))).alias(f"{name}_ref"))
+    return sides["prev"].join(sides["next"], ["string_id", "pos"])

@@ -114,6 +114,15 @@ def next_factor_benchmark(spark, folder):
     return X.next_factor(W.benchmark(spark, folder)).select("string_id", "pos", "next_len")
 
 
+FEW_BENCHMARK = O.SHORT_BENCHMARK + " WHERE item_id < 12"
+
+
+@query(f"WITH {O.factors(FEW_BENCHMARK)} SELECT string_id, pos, prev_len, next_len FROM fac")
+def factors_distributed(spark, folder):
+    S = W.benchmark(spark, folder).where("cast(string_id as int) < 12")
+    return X.distributed_factor_table(S, block=16).select("string_id", "pos", "prev_len", "next_len")
+
+
 @query(f"WITH {O.factors(O.SHORT_BENCHMARK)} SELECT string_id, i, j, lce FROM ext")
 def lce_diagonals(spark, folder):
     return T.lce_matrix(W.benchmark(spark, folder))

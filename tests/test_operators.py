@@ -59,6 +59,8 @@ def test_tiers_agree(spark):
     S = strings(spark, ("a", text), ("b", "banana"))
     kernel = sorted(map(tuple, X.suffix_table(S).collect()))
     assert kernel == sorted(map(tuple, X.suffix_table(S, tier="distributed").collect()))
+    plain = {(r.string_id, r.pos): (r.prev_len, r.next_len) for r in X.factor_table(S).collect()}
+    assert plain == {(r.string_id, r.pos): (r.prev_len, r.next_len) for r in X.distributed_factor_table(S, block=7).collect()}
     one = P.two_way_parse(S).count()
     assert two_way_parse_sharded(S, 1000).count() == one
     routed = two_way_any_size(S, kernel_chars=50, shard_chars=64)
