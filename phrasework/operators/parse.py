@@ -17,7 +17,7 @@ from phrasework.kernels.suffix import SuffixIndex, codes_of
 from phrasework.kernels.two_way import Options, TwoWay
 from phrasework.operators.batches import map_strings
 
-#: Tasks for each core-sized share of characters; strings are dealt so that these stay even.
+#: Characters that a task parses on average.
 CHARS_PER_TASK = 4 << 20
 
 METHODS: dict[str, Callable] = {
@@ -34,10 +34,10 @@ METHODS: dict[str, Callable] = {
 
 
 def balanced(S: DataFrame, chars_per_task: int = CHARS_PER_TASK) -> DataFrame:
-    """Strings dealt to tasks of about equal numbers of characters.
+    """Strings dealt by a hash of their key to tasks of about ``chars_per_task`` characters each.
 
-    Longest strings are dealt first over all tasks there and back, so that no task gets all
-    long ones. The shuffle moves each text once.
+    The shuffle moves each text once; one string is never split, so the longest one bounds the
+    longest task.
     """
     total = S.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
     tasks = max(1, -(-int(total) // chars_per_task), S.sparkSession.sparkContext.defaultParallelism)

@@ -366,14 +366,19 @@ def w_orders_counts(spark, folder):
     return _exact_counts(W.status_by_customer(spark, folder))
 
 
-@query()
+@query(_exact(O.PART_FLAGS))
 def w_lineitem_counts(spark, folder):
-    return M.table(P.counts(W.flags_by_part(spark, folder)))
+    return _exact_counts(W.flags_by_part(spark, folder))
 
 
-@query()
+@query(_exact("SELECT string_id, substr(text, 1, 120) AS text FROM (" + O.DAY_EVENTS + ")"))
 def w_event_days_counts(spark, folder):
-    return M.table(P.counts(W.events_by_day(spark, folder)))
+    return _exact_counts(W.events_by_day(spark, folder).withColumn("text", F.substring("text", 1, 120)))
+
+
+@query("SELECT 'src9-' || kind || '-' || rate AS string_id, CAST(20000 AS BIGINT) AS n, true AS bound_holds, true AS best_holds FROM unnest([1, 2]) t(kind), unnest(['0.001', '0.01']) u(rate)")
+def w_mutated_bound(spark, folder):
+    return _flags(W.mutated(spark, folder))
 
 
 def _groups(spark: SparkSession, folder: str) -> DataFrame:
