@@ -109,6 +109,9 @@ class TwoWay:
             if options.tie == "rightmost":
                 refs = np.where(lengths > 0, rightmost_next(self.index, np.maximum(lengths, 1)), -1)
             self.next_len, self.next_ref = lengths.tolist(), refs.tolist()
+            # The largest LCE of a position with any other: above the floor only left candidates are left.
+            beside = np.append(self.index.lcp, 0)
+            self.top = np.maximum(beside[self.index.rank], beside[self.index.rank + 1]).tolist()
 
     def extension(self, i: int, j: int, lce: int) -> int:
         """Longest copy of j at i, up to ``lce``, that leaves every chain of references finite."""
@@ -121,12 +124,26 @@ class TwoWay:
         return self._extension_with_undo(i, j, lce)
 
     def _extension_on_overlay(self, i: int, j: int, lce: int) -> int:
-        over = Overlay(self.sources)
+        if self.sources.label is not None:
+            over = Overlay(self.sources)
+            for k in range(lce):
+                target = over.source(j + k)
+                if target == i + k:
+                    return k
+                over.merge(i + k, target)
+            return lce
+        up, merged = self.sources.up, {}  # the same steps without calls
         for k in range(lce):
-            target = over.source(j + k)
-            if target == i + k:
+            x = j + k
+            while up[x] != x:
+                up[x] = x = up[up[x]]
+            while x in merged:
+                x = merged[x]
+            if x == i + k:
+                self.sources.finds += k + 1
                 return k
-            over.merge(i + k, target)
+            merged[i + k] = x
+        self.sources.finds += lce
         return lce
 
     def _extension_with_undo(self, i: int, j: int, lce: int) -> int:
@@ -191,6 +208,9 @@ class TwoWay:
         floor, floor_ref = 0, -1
         if self.next_len is not None and o.sides != "left":
             floor, floor_ref = self.next_len[i], self.next_ref[i]
+            if floor == self.top[i]:
+                trace.candidates += floor > 0
+                return floor, floor_ref
         stream = walk(self.sa, self.rank, self.lcp, i, o.tie == "walk_upper")
         for lce, group in ordered(stream, i, o.tie, floor):
             trace.groups += 1
