@@ -142,6 +142,27 @@ def source_classes(found: DataFrame) -> DataFrame:
     return found.where("source is not null").groupBy("string_id", "source").agg(F.sort_array(F.collect_list("pos")).alias("members"))
 
 
+def can_extend(prefix: DataFrame, S: DataFrame, ref: int, size: int) -> DataFrame:
+    """(string_id, valid): may the copy of ``ref`` behind each prefix grow from ``size - 1`` to ``size``?
+
+    It may if the two characters are equal and, the shorter copy being appended, the two
+    positions have different sources.
+    """
+    ends = S.select("string_id", "text").join(prefix.groupBy("string_id").agg(F.max(F.col("start") + F.col("length")).alias("at"), F.max("phrase_no").alias("last")), "string_id", "left")
+    ends = ends.select("string_id", "text", F.coalesce("at", F.lit(1)).cast("bigint").alias("at"), F.coalesce("last", F.lit(0)).alias("last"))
+    grown = prefix.select(*schemas.names(schemas.PHRASES))
+    if size > 1:
+        shorter = ends.select("string_id", (F.col("last") + 1).cast("int").alias("phrase_no"), F.col("at").alias("start"), F.lit(size - 1).cast("bigint").alias("length"), F.lit(ref).cast("bigint").alias("ref"), F.lit(None).cast("string").alias("literal"), F.when(F.col("at") > ref, "left").otherwise("right").alias("side"))
+        grown = grown.unionByName(shorter)
+    found = source_of(grown, S).select("string_id", "pos", "source")
+    new, old = (F.col("at") + size - 1).cast("int"), F.lit(ref + size - 1)
+    same = F.substring("text", new, F.lit(1)) == F.substring("text", old, F.lit(1))
+    a = found.select("string_id", F.col("pos").alias("p"), F.col("source").alias("a"))
+    b = found.where(F.col("pos") == ref + size - 1).select("string_id", F.col("source").alias("b"))
+    rows = ends.withColumn("p", new).join(a, ["string_id", "p"], "left").join(b, "string_id", "left")
+    return rows.select("string_id", F.coalesce(same & (F.col("a") != F.col("b")), F.lit(False)).alias("valid"))
+
+
 def covering(phrases: DataFrame, positions: DataFrame, block: int = BLOCK) -> DataFrame:
     """Each (string_id, pos) with the phrase that covers it, by an equi-join on blocks of positions."""
 

@@ -117,3 +117,12 @@ def test_online_left_parse(spark, small):
     for r in W.events_by_user(spark, small).collect():
         state = last.loc[int(r.string_id)]
         assert state.closed + (state.open_length > 0) == len(left_parse(codes_of(r.text)))
+
+
+def test_growing_a_copy_by_classes(spark):
+    S = strings(spark, ("x", "abababaababa"))
+    prefix = spark.createDataFrame([("x", 1, 1, 5, 3, None, "right")], schemas.PHRASES)
+    profile = {r.j: r.length for r in P.extension_profile(S, [(5, 3)]).collect()}
+    for ref in (2, 4, 9, 11):
+        grows = [R.can_extend(prefix, S, ref, size).first().valid for size in (1, 2)]
+        assert sum(grows) == profile[ref]
