@@ -20,6 +20,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BooleanType, LongType, StructField, StructType
 
 from phrasework.llm import bloom
 from phrasework.llm.textbytes import U64, Words, mix, slices, span_hashes, utf8
@@ -265,6 +266,30 @@ def removed_spans(docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR, id_
     )
 
 
+def mark_texts(docs: DataFrame, text_col: str, filter_) -> tuple[DataFrame, list[str]]:
+    """``docs`` with its texts' keys and whether the filter may hold them, in new columns.
+
+    Returns five column names that ``docs`` doesn't have, whatever else it has: of the key's
+    halves, of the filter's answer, and two to spare.
+    """
+    names, taken = docs.columns, {c.lower() for c in docs.columns}
+    fresh = []
+    for name in ("__k1", "__k2", "__there", "__first", "__second"):
+        while name in taken:
+            name += "_"
+        fresh.append(name)
+    at = names.index(text_col)
+
+    def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            k1, k2 = text_keys(*utf8(batch.column(at)))
+            there = bloom.contains(filter_.value, k1)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(k1), pa.array(k2), pa.array(there)], names=[*names, *fresh[:3]])
+
+    added = [StructField(n, t) for n, t in zip(fresh, (LongType(), LongType(), BooleanType()))]
+    return docs.mapInArrow(mark, StructType([*docs.schema.fields, *added])), fresh
+
+
 def remove_spans(docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR, text_col: str = "text") -> DataFrame:
     """``docs`` with repeated spans taken out of ``text_col``; a text that loses nothing stays as it is.
 
@@ -272,19 +297,8 @@ def remove_spans(docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR, text
     stay, null texts too.
     """
     found = RepeatedSpans(docs.select(F.lit(None).cast("bigint").alias("id"), F.col(text_col).alias("text")), width, anchor)
-    touched = found.touched
-    names = docs.columns
-
-    def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            k1, k2 = text_keys(*utf8(batch.column(names.index(text_col))))
-            there = bloom.contains(touched.value, k1)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(k1), pa.array(k2), pa.array(there)], names=[*names, "__k1", "__k2", "__there"])
-
-    schema = docs.schema
-    marked = docs.mapInArrow(mark, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in schema), "__k1 bigint, __k2 bigint, __there boolean"]))
-    changed = found.changed.select(F.col("k1").alias("__k1"), F.col("k2").alias("__k2"), F.col("kept").alias("__kept"))
-    some = marked.where("__there").join(changed, ["__k1", "__k2"], "left")
-    new = F.when(F.col("__kept").isNotNull(), F.col("__kept")).otherwise(F.col(text_col))
-    after = some.select(*(new.alias(c) if c == text_col else F.col(c) for c in names))
-    return marked.where("not __there").select(*names).unionByName(after)
+    marked, (k1, k2, there, kept, _) = mark_texts(docs, text_col, found.touched)
+    changed = found.changed.select(F.col("k1").alias(k1), F.col("k2").alias(k2), F.col("kept").alias(kept))
+    some = marked.where(F.col(there)).join(changed, [k1, k2], "left")
+    after = some.select(*(F.coalesce(kept, F.col(c)).alias(c) if c == text_col else F.col(c) for c in docs.columns))
+    return marked.where(~F.col(there)).select(*docs.columns).unionByName(after)
