@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import os
+import shutil
 import tempfile
 import uuid
 
@@ -11,6 +13,19 @@ from pyspark.sql import DataFrame, SparkSession
 _written: list[tuple[SparkSession, str]] = []
 
 
+_shipped: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Let Python workers import this package, whatever their path; once for each application."""
+    application = spark.sparkContext.applicationId
+    if application not in _shipped:
+        _shipped.add(application)
+        root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+        folder = tempfile.mkdtemp(prefix="phrasework-")
+        spark.sparkContext.addPyFile(shutil.make_archive(f"{folder}/phrasework", "zip", root, "phrasework"))
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder named by ``spark.checkpoint.dir``; a local one only where that setting is absent."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
@@ -30,15 +45,17 @@ def remove(spark: SparkSession, path: str) -> None:
     hadoop_path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop_path, True)
 
 
-def _remove_all() -> None:
+def remove_all() -> None:
+    """Delete all materialised tables; runs by itself when Python ends, too late for a stopped session."""
     for spark, path in _written:
         try:
             remove(spark, path)
         except Exception:  # the session may be gone by now
             pass
+    _written.clear()
 
 
-atexit.register(_remove_all)
+atexit.register(remove_all)
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
@@ -51,7 +68,17 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     _written.append((spark, path))
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    table = spark.read.schema(df.schema).parquet(path)
+    table._materialized_at = path
+    return table
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete materialised tables that nothing reads any more, later lazy reads included."""
+    for table in tables:
+        spark, path = table.sparkSession, table._materialized_at
+        remove(spark, path)
+        _written.remove((spark, path))
 
 
 def ensure_checkpoints(spark: SparkSession) -> None:

@@ -18,6 +18,9 @@ def spark():
     )
     session.sparkContext.setLogLevel("OFF")
     yield session
+    from phrasework.shared import remove_all
+
+    remove_all()
     session.stop()
 
 
