@@ -31,8 +31,9 @@ PRODUCTION_RULES = [
 
 
 def rules_frame(spark: SparkSession, rules: list[tuple[str, str, str]]) -> DataFrame:
-    """A rule list given as (action, host, path) tuples."""
-    return spark.createDataFrame(rules, "action string, host string, path string")
+    """A rule list given as (action, host, path) tuples, as a table of literals."""
+    rows = [F.struct(*(F.lit(x).cast("string").alias(c) for c, x in zip(("action", "host", "path"), rule))) for rule in rules]
+    return spark.range(1).select(F.inline(F.array(*rows)))
 
 
 def split_url(url):
