@@ -16,33 +16,52 @@ def codes_of(text: str | bytes, unit: str = "codepoint") -> np.ndarray:
     return np.frombuffer(text, np.uint8).astype(np.int64)
 
 
+def _group_starts(first: np.ndarray) -> np.ndarray:
+    """For each slot the slot that begins its group, given where groups begin."""
+    return np.maximum.accumulate(np.where(first, np.arange(len(first)), 0))
+
+
+def _shared(first: np.ndarray) -> np.ndarray:
+    """Slots whose group has more than one member."""
+    follows = np.append(~first[1:], False) if len(first) else first
+    return np.flatnonzero(~first | follows)
+
+
 class SuffixIndex:
     """Suffix array, its inverse and LCP array by prefix doubling.
 
-    ``levels[t]`` ranks the substrings of length ``2**t`` (shorter at the end), so the longest
-    common extension of many pairs is a descent over levels for all of them together.
+    ``levels[t]`` ranks the substrings of length ``2**t`` (shorter at the end) by the first slot of
+    their group in the order, so the longest common extension of many pairs is a descent over
+    levels for all of them together. A round sorts only suffixes that still share their rank.
     """
 
     def __init__(self, codes: np.ndarray):
         n = self.n = len(codes)
-        _, rank = np.unique(codes, return_inverse=True)
-        rank = rank.reshape(-1).astype(np.int64)
+        order = np.argsort(codes, kind="stable")
+        ordered = codes[order]
+        first = np.ones(n, bool)
+        first[1:] = ordered[1:] != ordered[:-1]
+        rank = np.empty(n, np.int32 if n < 1 << 31 else np.int64)
+        rank[order] = _group_starts(first)
         self.levels = [rank]
+        live = _shared(first)
         step = 1
-        while n and rank.max() < n - 1:
-            key = rank * (n + 1)
-            key[: n - step] += rank[step:] + 1
-            order = np.argsort(key, kind="stable")
-            fresh = np.ones(n, np.int64)
-            fresh[0] = 0
-            fresh[1:] = key[order[1:]] != key[order[:-1]]
-            rank = np.empty(n, np.int64)
-            rank[order] = np.cumsum(fresh)
+        while len(live):  # slots of the order whose group has more than one suffix
+            at = order[live]
+            own = rank[at].astype(np.int64)
+            behind = np.where(at + step < n, rank[np.minimum(at + step, n - 1)].astype(np.int64) + 1, 0)
+            key = own * (n + 1) + behind
+            by_key = np.argsort(key)
+            at, key = at[by_key], key[by_key]
+            order[live] = at
+            first = np.ones(len(live), bool)
+            first[1:] = key[1:] != key[:-1]
+            rank = rank.copy()
+            rank[at] = live[_group_starts(first)]
             self.levels.append(rank)
+            live = live[_shared(first)]
             step *= 2
-        self.rank = rank
-        self.sa = np.empty(n, np.int64)
-        self.sa[rank] = np.arange(n)
+        self.rank, self.sa = rank.astype(np.int64), order
         self.lcp = np.zeros(n, np.int64)
         if n > 1:
             self.lcp[1:] = self.lce(self.sa[:-1], self.sa[1:])
@@ -64,16 +83,42 @@ class SuffixIndex:
         return out
 
 
+#: Rounds of pointer jumping before a stack takes over.
+JUMP_ROUNDS = 64
+
+
 def nearest(order: np.ndarray, larger: bool) -> np.ndarray:
-    """For each text position, the nearest earlier entry of ``order`` that is smaller (or larger); -1 if none."""
-    out = [-1] * len(order)
-    stack: list[int] = []
-    for p in order.tolist():
-        while stack and (stack[-1] < p if larger else stack[-1] > p):
+    """For each text position, the nearest earlier entry of ``order`` that is smaller (or larger); -1 if none.
+
+    All slots jump together: what lies between a slot and the one it points to is too large, and
+    so is what lies between that one and where it points. Few orders need many rounds; those
+    are left to a stack.
+    """
+    value = -order if larger else order
+    n = len(order)
+    to = np.arange(n) - 1
+    live = np.arange(1, n)
+    for _ in range(JUMP_ROUNDS):
+        live = live[value[to[live]] > value[live]]
+        if not len(live):
+            break
+        to[live] = to[to[live]]
+        live = live[to[live] >= 0]
+    else:
+        to = _nearest_by_stack(value)
+    out = np.full(n, -1, np.int64)
+    out[order] = np.where(to >= 0, order[np.maximum(to, 0)], -1)
+    return out
+
+
+def _nearest_by_stack(value: np.ndarray) -> np.ndarray:
+    out, stack = [], []
+    value = value.tolist()
+    for k, v in enumerate(value):
+        while stack and value[stack[-1]] > v:
             stack.pop()
-        if stack:
-            out[p] = stack[-1]
-        stack.append(p)
+        out.append(stack[-1] if stack else -1)
+        stack.append(k)
     return np.array(out, np.int64)
 
 

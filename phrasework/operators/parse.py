@@ -19,6 +19,8 @@ from phrasework.operators.batches import map_strings
 
 #: Characters that a task parses on average.
 CHARS_PER_TASK = 4 << 20
+#: Least number of tasks for each core, so that a few long strings rarely share one.
+TASKS_PER_CORE = 16
 
 METHODS: dict[str, Callable] = {
     "two_way": lambda codes, index, o: TwoWay(codes, o, index).run().phrases,
@@ -40,7 +42,7 @@ def balanced(S: DataFrame, chars_per_task: int = CHARS_PER_TASK) -> DataFrame:
     longest task.
     """
     total = S.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
-    tasks = max(1, -(-int(total) // chars_per_task), S.sparkSession.sparkContext.defaultParallelism)
+    tasks = max(-(-int(total) // chars_per_task), TASKS_PER_CORE * S.sparkSession.sparkContext.defaultParallelism)
     return S.repartition(tasks, F.xxhash64("string_id"))
 
 

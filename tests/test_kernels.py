@@ -8,7 +8,7 @@ from hypothesis import strategies as st
 from phrasework.kernels import extras as E
 from phrasework.kernels.greedy import backward_parse, decode, left_parse, lex_parse, literal_parse, map_back, references, resolve, right_parse
 from phrasework.kernels.sources import Overlay, Sources
-from phrasework.kernels.suffix import SuffixIndex, codes_of, factor, rightmost_next
+from phrasework.kernels.suffix import SuffixIndex, codes_of, factor, nearest, rightmost_next
 from phrasework.kernels.two_way import TIES, Options, TwoWay, ordered, two_way, walk
 
 words = st.text(alphabet="abc", max_size=24)
@@ -62,6 +62,16 @@ def test_candidate_stream_is_complete_and_sorted(text, tie):
         assert [x for x, _ in got] == sorted((x for x, _ in got), reverse=True)
 
 
+def test_nearest_by_jumps_and_by_stack():
+    rng = np.random.default_rng(1)
+    for order in (rng.permutation(500), np.arange(300), np.arange(300)[::-1], np.append(np.arange(1, 300), 0), np.zeros(0, np.int64)):
+        for larger in (False, True):
+            value = (-order if larger else order).tolist()
+            want = [next((int(order[j]) for j in range(k - 1, -1, -1) if value[j] < value[k]), -1) for k in range(len(order))]
+            assert [int(nearest(order, larger)[p]) for p in order] == want
+    assert len(left_parse(codes_of("ab" * 3000))) == 3 and len(two_way(codes_of("a" * 3000))) == 2
+
+
 def test_goldens():
     parse = lambda s, t: shown(two_way(codes_of(s), Options(tie=t)))
     assert parse("abababaababa", "leftmost") == [(1, 5, 3), (6, 2, 9), (8, 3, 10), (11, 1, 0), (12, 1, 0)]
