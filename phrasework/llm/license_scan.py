@@ -143,7 +143,8 @@ def _length_ranges(sizes: list[int]) -> list[tuple[int, int]]:
 
 def known_frame(spark: SparkSession, known: list[tuple[str, str]] | None = None) -> DataFrame:
     """Known licenses as (license, digest, size), one license a digest."""
-    rows = spark.createDataFrame(known or KNOWN, "license string, text string").select("license", canonical(F.col("text")).alias("text"))
+    listed = F.array(*(F.struct(F.lit(name).alias("license"), F.lit(text).alias("text")) for name, text in known or KNOWN))
+    rows = spark.range(1).select(F.inline(listed)).select("license", canonical(F.col("text")).alias("text"))
     return rows.where("text <> ''").select("license", F.sha2("text", 256).alias("digest"), F.length("text").alias("size")).groupBy("digest", "size").agg(F.min("license").alias("license"))
 
 
