@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from phrasework.llm.textbytes import U64
-from phrasework.shared import materialize
+from phrasework.shared import materialize, release
 
 BITS, SEGMENTS = 64, 4
 WIDTH = BITS // SEGMENTS
@@ -164,4 +164,5 @@ def nearest_codes(rows: DataFrame, queries: DataFrame, k: int = 10, id_col: str
     found = left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInArrow(run, "query_code bigint, distance int, neighbor_id bigint")
     best = Window.partitionBy("query_code").orderBy("distance", "neighbor_id")
     top = materialize(found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k), "top")
+    release(entries, distinct)
     return asked.join(top, "query_code").select("query_id", "rank", "neighbor_id", "distance")

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from phrasework.llm.components import connected_components
 from phrasework.llm.textbytes import U64, Words, slices, utf8, xxh64
-from phrasework.shared import materialize
+from phrasework.shared import materialize, release
 
 #: Fingerprints a shard should have at home, and the largest sample the shard tree is fitted on.
 SHARD, SAMPLE = 4096, 1 << 16
@@ -237,4 +237,5 @@ def near_duplicates(docs: DataFrame, radius: int = 2, shingle: int = 3, seed: in
     named = parts.join(distinct, parts.node == distinct.fp).groupBy("root").agg(F.min("least").alias("name"))
     of_print = distinct.join(parts.join(named, "root").select(F.col("node").alias("fp"), "name"), "fp", "left").select("fp", F.coalesce("name", "least").alias("component_id"))
     of_print = materialize(of_print, "names")  # a plain table, so that a join with it can split a fingerprint that many share
+    release(distinct, parts)
     return prints.join(of_print, "fp").select("id", "fp", "component_id")

@@ -24,7 +24,7 @@ from pyspark.sql.types import BooleanType, LongType, StructField, StructType
 
 from phrasework.llm import bloom
 from phrasework.llm.textbytes import U64, Words, mix, slices, span_hashes, utf8
-from phrasework.shared import materialize
+from phrasework.shared import materialize, release
 
 WIDTH, ANCHOR = 35, 6
 #: Texts that a map task remembers having sent on.
@@ -217,7 +217,8 @@ class RepeatedSpans:
         self.scan = materialize(_scan(docs, width, anchor), "runs")
         runs = self.scan.select("k1", "k2", F.inline("runs"))
         repeated = runs.groupBy("m").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("m")
-        candidates = bloom.thin(runs, "m", bloom.build(materialize(repeated, "anchors"), "m"))
+        repeated = materialize(repeated, "anchors")
+        candidates = bloom.thin(runs, "m", bloom.build(repeated, "m"))
         paths = materialize(
             candidates.groupBy("m", "r").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("k1", "k2", "s", "n")).alias("one")),
             "paths",
@@ -245,6 +246,7 @@ class RepeatedSpans:
         cut = _cut(found.join(hits, ["k1", "k2"], "left").where("size(sure) > 0 or hits is not null"), width)
         #: One row for each text that loses words.
         self.changed = materialize(cut, "changed")
+        release(repeated, paths, by_text, found, again)
 
 
 def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:

@@ -283,3 +283,21 @@ def test_rest_does_without_this_subpackage():
         subprocess.run(["rm", "-r", f"{folder}/phrasework/llm"], check=True)
         code = "import __spark_entry__ as e; q = e.queries(); assert q and not [n for n in q if n[:3] == 'op1' or n == 'pipeline']"
         subprocess.run([sys.executable, "-c", code], check=True, cwd=folder)
+
+
+def test_split_shards_link_the_same_texts(spark, small):
+    from phrasework.llm.components import connected_components
+
+    docs = spark.read.parquet(f"{small}/documents.parquet").where("doc_id < 120").select(F.col("doc_id").alias("id"), "text")
+    texts = near_groups._sketch(docs).dropDuplicates(["k1", "k2"]).withColumn("node", F.col("id")).cache()
+    groups = [{(r.node, r.root) for r in connected_components(near_groups.text_links(texts, shard=n)).collect()} for n in (4096, 2)]
+    assert groups[0] and groups[0] == groups[1]
+
+
+def test_components_of_chains_and_stars(spark):
+    from phrasework.llm.components import connected_components
+
+    pairs = [(i, i + 1) for i in range(40)] + [(100, 100 + i) for i in range(1, 30)] + [(7, 7), (None, 3), (200, 201), (201, 200)]
+    got = {r.node: r.root for r in connected_components(spark.createDataFrame(pairs, "u bigint, v bigint")).collect()}
+    assert got == {**{i: 0 for i in range(41)}, **{100 + i: 100 for i in range(30)}, 200: 200, 201: 200}
+    assert connected_components(spark.createDataFrame([], "u bigint, v bigint")).count() == 0
