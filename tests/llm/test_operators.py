@@ -294,6 +294,28 @@ def test_split_shards_link_the_same_texts(spark, small):
     assert groups[0] and groups[0] == groups[1]
 
 
+def test_near_groups_at_exactly_the_threshold(spark):
+    """Pairs of similarity 40/50, below it 39/51, and pages of one template at 35/55 to each other."""
+    texts = []
+    for i in range(150):
+        base = [f"p{i}w{k}" for k in range(49)]
+        texts += [base, base[:44] + [f"n{i}w{k}" for k in range(5)]]
+        base = [f"q{i}w{k}" for k in range(49)]
+        texts += [base, base[:43] + [f"m{i}w{k}" for k in range(6)]]
+    template = [f"t{k}" for k in range(39)]
+    texts += [template + [f"page{i}w{k}" for k in range(10)] for i in range(60)]
+    shingles = [{tuple(t[k : k + 5]) for k in range(len(t) - 4)} for t in texts]
+    gone = {j for i in range(0, 600, 2) for j in (i + 1,) if 5 * len(shingles[i] & shingles[j]) >= 4 * len(shingles[i] | shingles[j])}
+    assert len(gone) == 150
+    docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id bigint, text string").repartition(3)
+    assert {r.doc_id for r in near_groups.keep_one_of_each(docs).collect()} == set(range(len(texts))) - gone
+    rows = docs.withColumnRenamed("doc_id", "id")
+    members = near_groups._sketch(rows).drop("anchors").select(F.lit(0).cast("bigint").alias("root"), F.col("id").alias("node"), F.col("id").alias("least"), "*")
+    for shard, part_shingles in ((4096, 1 << 21), (100, 1 << 21), (4096, 5000)):
+        links = near_groups.confirmed_links(rows, members, shard=shard, part_shingles=part_shingles).collect()
+        assert {max(r.u, r.v) for r in links} == gone and all(abs(r.u - r.v) == 1 for r in links)
+
+
 def test_components_of_chains_and_stars(spark):
     from phrasework.llm.components import connected_components
 
