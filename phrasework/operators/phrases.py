@@ -175,7 +175,11 @@ def covering(phrases: DataFrame, positions: DataFrame, block: int = BLOCK) -> Da
 
 
 def char_at(phrases: DataFrame, positions: DataFrame, max_hops: int = 64) -> DataFrame:
-    """(string_id, pos, ch) without decoding the rest: positions hop through covering phrases."""
+    """(string_id, pos, ch) without decoding the rest: positions hop through covering phrases.
+
+    Chains may be as long as their string; what ``max_hops`` leave open is resolved by pointer
+    doubling over the strings concerned. Null only where a chain never ends.
+    """
     rows = positions.select("string_id", "pos", F.col("pos").alias("at"), F.lit(None).cast("string").alias("ch"))
     for _ in range(max_hops):
         open_rows = rows.where("ch is null")
@@ -183,8 +187,11 @@ def char_at(phrases: DataFrame, positions: DataFrame, max_hops: int = 64) -> Dat
         moved = open_rows.drop("ch").join(hop, ["string_id", "at"]).select("string_id", "pos", F.coalesce("to", "at").alias("at"), F.when(F.col("to").isNull(), F.col("got")).alias("ch"))
         rows = materialize(rows.where("ch is not null").unionByName(moved), "hops")
         if rows.where("ch is null").isEmpty():
-            break
-    return rows.select("string_id", "pos", "ch")
+            return rows.select("string_id", "pos", "ch")
+    open_rows = rows.where("ch is null").select("string_id", "pos", "at")
+    graph = reference_graph(phrases.join(open_rows.select("string_id").distinct(), "string_id", "left_semi"))
+    found = sources(graph).select("string_id", F.col("pos").alias("at"), F.col("literal").alias("ch"))
+    return rows.where("ch is not null").select("string_id", "pos", "ch").unionByName(open_rows.join(found, ["string_id", "at"], "left").select("string_id", "pos", "ch"))
 
 
 def write_phrases(phrases: DataFrame, path: str, fmt: str = "parquet", partition_by: str | None = None) -> None:

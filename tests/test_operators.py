@@ -119,6 +119,16 @@ def test_online_left_parse(spark, small):
         assert state.closed + (state.open_length > 0) == len(left_parse(codes_of(r.text)))
 
 
+def test_random_access_through_long_chains(spark):
+    """A run is one copy and a literal, so a chain is as long as the run."""
+    texts = {"run": "a" * 200, "two": "ab" * 150, "word": "abracadabra"}
+    phrases = P.two_way_parse(strings(spark, *texts.items())).cache()
+    asked = spark.createDataFrame([(k, p) for k, t in texts.items() for p in {1, 2, len(t) // 2, len(t)}], "string_id string, pos bigint")
+    for hops in (0, 3, 64):
+        got = {(r.string_id, r.pos): r.ch for r in R.char_at(phrases, asked, hops).collect()}
+        assert got == {(r.string_id, r.pos): texts[r.string_id][r.pos - 1] for r in asked.collect()}
+
+
 def test_growing_a_copy_by_classes(spark):
     S = strings(spark, ("x", "abababaababa"))
     prefix = spark.createDataFrame([("x", 1, 1, 5, 3, None, "right")], schemas.PHRASES)
