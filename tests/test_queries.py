@@ -37,3 +37,20 @@ def test_approximate_counts(spark, small):
     exact = {r.source: r.texts for r in QUERIES["op_agg_distinct"](spark, small).collect()}
     for r in QUERIES["op_agg_approx"](spark, small).collect():
         assert abs(r.texts - exact[r.source]) <= max(1, 0.1 * exact[r.source])
+
+
+@pytest.mark.parametrize("name", ["tie_rules_benchmark", "ablations_benchmark"])
+def test_whole_benchmark_texts_are_parsed(name, spark, small, monkeypatch):
+    from phrasework.operators import parse
+
+    whole = max(len(r.text) for r in spark.read.parquet(f"{small}/benchmark.parquet").collect())
+    longest = []
+    for f in ("two_way_parse", "two_way_count"):
+
+        def seen(S, *args, original=getattr(parse, f), **options):
+            longest.append(max(len(r.text) for r in S.collect()))
+            return original(S, *args, **options)
+
+        monkeypatch.setattr(parse, f, seen)
+    QUERIES[name](spark, small)
+    assert longest and set(longest) == {whole}
