@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import numpy as np
 
+from phrasework.kernels.sources import machine
 from phrasework.kernels.suffix import SuffixIndex, factor
 
 Phrases = list[tuple[int, int, int]]
@@ -14,7 +15,7 @@ Phrases = list[tuple[int, int, int]]
 
 def jump(lengths: np.ndarray, refs: np.ndarray) -> Phrases:
     """Walk from the start, by each position's length or one character where that is zero."""
-    lengths, refs = lengths.tolist(), refs.tolist()
+    lengths, refs = machine(lengths), machine(refs)
     out, i = [], 0
     while i < len(lengths):
         size = lengths[i]

@@ -2,6 +2,24 @@
 
 from __future__ import annotations
 
+from array import array
+
+import numpy as np
+
+#: Length from which the chains of a run are followed together.
+LONG_RUN = 64
+#: Targets times length up to which all targets are tested together.
+MOST_CELLS = 1 << 22
+#: Links of the whole string that could be followed in the time of one step of many positions together.
+STEP_COST = 64
+
+
+def machine(values: np.ndarray) -> array:
+    """The values as machine integers that Python code reads one by one."""
+    out = array("i" if values.dtype.itemsize == 4 else "q")
+    out.frombytes(np.ascontiguousarray(values).data.cast("B") if len(values) else b"")
+    return out
+
 
 class Sources:
     """Disjoint sets whose representative is the literal at the end of every member's chain.
@@ -13,10 +31,10 @@ class Sources:
     def __init__(self, n: int = 0, link: str = "directed"):
         if link not in ("directed", "by_size"):
             raise ValueError(f"unknown link rule {link!r}")
-        self.up = list(range(n))
-        self.size = [1] * n if link == "by_size" else None
-        self.label = list(range(n)) if link == "by_size" else None
-        self.finds = self.unions = 0
+        self.up = machine(np.arange(n, dtype=np.int32 if n < 1 << 31 else np.int64))
+        self.size = array(self.up.typecode, [1]) * n if link == "by_size" else None
+        self.label = self.up[:] if link == "by_size" else None
+        self.finds = self.unions = self.steps = 0
 
     def add(self) -> int:
         """A new position in a set of its own."""
@@ -54,6 +72,103 @@ class Sources:
         self.size[b] += self.size[a]
         self.label[b] = label
 
+    def merge_run(self, new: int, target: int, length: int) -> None:
+        """``merge`` of ``length`` positions in a row, none of which closes a cycle.
+
+        With directed links a new position takes over what its target points to, one copy of a slice.
+        """
+        if self.size is not None:
+            for k in range(length):
+                self.merge(new + k, target + k)
+            return
+        self.unions += length
+        self.up[new : new + length] = self.up[target : target + length]
+
+    def acyclic(self, new: int, target: int, length: int) -> int:
+        """How many positions from ``new`` can refer to those from ``target`` before a chain closes.
+
+        Merges made on the way are kept aside and forgotten. Needs directed links.
+        """
+        up = self.up
+        if length >= LONG_RUN:
+            roots = self._roots(target, length)
+            inside = (roots >= new) & (roots < new + length)
+            if not inside.any():
+                return length
+        merged: dict[int, int] = {}
+        for k in range(length):
+            x = target + k
+            above = up[x]
+            while above != x:
+                top = up[above]
+                if top == above:
+                    x = above
+                    break
+                up[x] = top
+                x = top
+                above = up[x]
+            if x >= new:
+                while x in merged:
+                    x = merged[x]
+                if x == new + k:
+                    return k
+            merged[new + k] = x
+        return length
+
+    def acyclic_many(self, new: int, targets: np.ndarray, length: int) -> np.ndarray:
+        """``acyclic`` for each of many targets, character by character for those still open."""
+        up = np.frombuffer(self.up, self.up.typecode)
+        out = np.full(len(targets), length, np.int64)
+        rows = np.arange(len(targets))
+        merged = np.empty((len(targets), length), up.dtype) if length * len(targets) <= MOST_CELLS else None
+        if merged is None:
+            return np.array([self.acyclic(new, j, length) for j in targets.tolist()], np.int64)
+        for k in range(length):
+            at = targets[rows] + k
+            up[at] = x = self._follow(at)
+            while k:
+                inside = np.flatnonzero((x >= new) & (x < new + k))
+                if not len(inside):
+                    break
+                x[inside] = merged[rows[inside], x[inside] - new]
+            merged[rows, k] = x
+            closed = x == new + k
+            if closed.any():
+                out[rows[closed]] = k
+                rows = rows[~closed]
+                if not len(rows):
+                    break
+        return out
+
+    def _roots(self, start: int, length: int) -> np.ndarray:
+        """Sources of a run of positions, whose links are shortened to them."""
+        up = np.frombuffer(self.up, self.up.typecode)
+        up[start : start + length] = at = self._follow(np.arange(start, start + length))
+        return at
+
+    def _follow(self, at: np.ndarray) -> np.ndarray:
+        """Roots of many positions, all links on the way halved.
+
+        Chains can be as long as the string; once steps taken make up a good part of its length, every
+        link of the string is brought to its root by doubling.
+        """
+        up = np.frombuffer(self.up, self.up.typecode)
+        while True:
+            above = up[at]
+            if (above == at).all():
+                return above
+            at_next = up[above]
+            up[at] = at_next
+            at = at_next
+            self.steps += 1
+            if self.steps * STEP_COST > len(up):
+                self.steps = 0
+                while True:
+                    above = up[up]
+                    if (above == up).all():
+                        break
+                    up[:] = above
+
 
 class Overlay:
     """Merges on top of ``Sources`` that are forgotten together; holds only what it touches."""

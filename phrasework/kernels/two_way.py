@@ -5,13 +5,14 @@ Phrases are (start, length, reference) with reference -1 for a literal.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from array import array
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass, field
 
 import numpy as np
 
 from phrasework.kernels.suffix import SuffixIndex, factor, rightmost_next
-from phrasework.kernels.sources import Overlay, Sources
+from phrasework.kernels.sources import Overlay, Sources, machine
 
 TIES = ("rightmost", "leftmost", "walk_lower", "walk_upper", "nearest_right", "nearest_left")
 SIDES = ("both", "left", "right")
@@ -38,6 +39,12 @@ class Options:
             raise ValueError("max_candidates must be positive")
 
 
+#: The rules for which the search has a loop of its own.
+PLAIN = Options()
+#: Places of equal LCE from which they are tested together, and the most of them at once.
+MANY, MOST = 32, 4096
+
+
 @dataclass
 class Trace:
     """Work of one phrase search."""
@@ -56,9 +63,9 @@ class Parse:
     traces: list[Trace] = field(default_factory=list)
 
 
-def walk(sa: list[int], rank: list[int], lcp: list[int], i: int, upper_first: bool = False) -> Iterator[tuple[int, int]]:
+def walk(sa: Sequence[int], rank: Sequence[int], lcp: Sequence[int], i: int, upper_first: bool = False) -> Iterator[tuple[int, int]]:
     """(LCE with i, position) of the other suffixes, largest LCE first, by two cursors from i's rank."""
-    n = len(sa)
+    n = len(sa)  # ``lcp`` may have a last 0 more
     low, high = rank[i] - 1, rank[i] + 1
     below = lcp[rank[i]] if low >= 0 else 0
     above = lcp[high] if high < n else 0
@@ -90,28 +97,32 @@ def ordered(stream: Iterator[tuple[int, int]], i: int, tie: str, least: int = 0)
 
 
 class TwoWay:
-    """State of a parse: suffix data, classes of positions with one source, phrases so far."""
+    """State of a parse: suffix data, classes of positions with one source, phrases so far.
+
+    All arrays hold machine integers, so a parse takes a fixed number of bytes a character.
+    """
 
     def __init__(self, codes: np.ndarray, options: Options = Options(), index: SuffixIndex | None = None):
         self.codes, self.options = codes, options
         self.index = index or SuffixIndex(codes)
         self.n = self.index.n
-        self.sa, self.rank, self.lcp = self.index.sa.tolist(), self.index.rank.tolist(), self.index.lcp.tolist()
-        self.sources = Sources(self.n, options.link)
-        self.phrases: list[tuple[int, int, int]] = []
-        self.at = 0
-        self.next_len: list[int] | None = None
+        self.next_len: array | None = None
         # Among later places of the floor's length only the rightmost is known at once; other tie rules
         # use the floor only where the stream is cut short anyway.
         exact = options.tie == "rightmost" and options.search == "pruned"
         if options.floor and options.sides != "left" and (exact or options.max_candidates is not None):
             lengths, refs = factor(self.index, later=True)
             if options.tie == "rightmost":
-                refs = np.where(lengths > 0, rightmost_next(self.index, np.maximum(lengths, 1)), -1)
-            self.next_len, self.next_ref = lengths.tolist(), refs.tolist()
+                refs = np.where(lengths > 0, rightmost_next(self.index, lengths, refs), refs)
+            self.next_len, self.next_ref = machine(lengths), machine(refs)
             # The largest LCE of a position with any other: above the floor only left candidates are left.
-            beside = np.append(self.index.lcp, 0)
-            self.top = np.maximum(beside[self.index.rank], beside[self.index.rank + 1]).tolist()
+            beside = np.append(self.index.lcp, self.index.lcp[:0].dtype.type(0))
+            self.top = machine(np.maximum(beside[self.index.rank], beside[self.index.rank + 1]))
+        self.sa, self.rank = machine(self.index.sa), machine(self.index.rank)
+        self.lcp = machine(np.append(self.index.lcp, self.index.lcp.dtype.type(0)))
+        self.sources = Sources(self.n, options.link)
+        self.phrases: list[tuple[int, int, int]] = []
+        self.at = 0
 
     def extension(self, i: int, j: int, lce: int) -> int:
         """Longest copy of j at i, up to ``lce``, that leaves every chain of references finite."""
@@ -132,19 +143,9 @@ class TwoWay:
                     return k
                 over.merge(i + k, target)
             return lce
-        up, merged = self.sources.up, {}  # the same steps without calls
-        for k in range(lce):
-            x = j + k
-            while up[x] != x:
-                up[x] = x = up[up[x]]
-            while x in merged:
-                x = merged[x]
-            if x == i + k:
-                self.sources.finds += k + 1
-                return k
-            merged[i + k] = x
-        self.sources.finds += lce
-        return lce
+        got = self.sources.acyclic(i, j, lce)
+        self.sources.finds += got + (got < lce)
+        return got
 
     def _extension_with_undo(self, i: int, j: int, lce: int) -> int:
         """Merge for real, without shortening paths, and take the merges back."""
@@ -160,7 +161,7 @@ class TwoWay:
                 break
             up[i + k] = target
             size += 1
-        up[i : i + size] = range(i, i + size)
+        up[i : i + size] = array(up.typecode, range(i, i + size))
         return size
 
     def _extension_by_graph(self, i: int, j: int, lce: int) -> int:
@@ -211,6 +212,8 @@ class TwoWay:
             if floor == self.top[i]:
                 trace.candidates += floor > 0
                 return floor, floor_ref
+            if o == PLAIN:
+                return self._longest_left(i, floor, floor_ref, trace)
         stream = walk(self.sa, self.rank, self.lcp, i, o.tie == "walk_upper")
         for lce, group in ordered(stream, i, o.tie, floor):
             trace.groups += 1
@@ -236,18 +239,142 @@ class TwoWay:
         trace.finds += self.sources.finds - before
         return best, ref
 
+    def _longest_left(self, i: int, floor: int, floor_ref: int, trace: Trace) -> tuple[int, int]:
+        """The default rules above a floor: only places to the left can be longer, rightmost first.
+
+        ``walk``, ``ordered`` and the test without calls or generators.
+        """
+        sa, lcp, up, acyclic = self.sa, self.lcp, self.sources.up, self.sources.acyclic
+        low = self.rank[i]
+        high = low + 1
+        below, above = lcp[low], lcp[high]
+        best, ref = 0, -1
+        tested = chars = 0
+        while True:
+            now = below if below >= above else above
+            if now <= floor or now <= best:
+                break
+            trace.groups += 1
+            group = []
+            while below == now:
+                low -= 1
+                group.append(sa[low])
+                if lcp[low] < below:
+                    below = lcp[low]
+                elif len(group) > MANY:
+                    end, low = low, self._run_end(low, now, -1)
+                    group.extend(sa[low:end])
+                    below = lcp[low]
+            while above == now:
+                group.append(sa[high])
+                high += 1
+                if lcp[high] < above:
+                    above = lcp[high]
+                elif len(group) > MANY:
+                    end, high = high, self._run_end(high, now, 1)
+                    group.extend(sa[end:high])
+                    above = lcp[high]
+            if len(group) > MANY:
+                count, work, got, j = self._first_longest(i, group, now, best)
+                tested += count
+                chars += work
+                if j >= 0:
+                    best, ref = got, j
+            else:
+                if len(group) > 1:
+                    group.sort(reverse=True)
+                for j in group:
+                    tested += 1
+                    x = j
+                    while up[x] != x:
+                        up[x] = x = up[up[x]]
+                    if x == i:  # most fail at once
+                        chars += 1
+                        continue
+                    got = acyclic(i, j, now)
+                    chars += got + (got < now)
+                    if got > best:
+                        best, ref = got, j
+                        if got == now:
+                            break
+            if best == now:
+                break
+        trace.candidates += tested + (floor > best)
+        trace.tests += tested
+        trace.finds += chars
+        trace.stop_lce = now
+        self.sources.finds += chars
+        return (floor, floor_ref) if floor > best else (best, ref)
+
+    def _run_end(self, start: int, least: int, way: int) -> int:
+        """Where the walk from ``start`` first meets an LCP below ``least``; it lies one before that, downwards."""
+        lcp, block = np.frombuffer(self.lcp, self.lcp.typecode), 256
+        while True:
+            part = lcp[max(start - block + 1, 0) : start + 1][::-1] if way < 0 else lcp[start : start + block]
+            short = part < least
+            if short.any():
+                return start + way * int(short.argmax())
+            start += way * len(part)
+            block *= 2
+
+    def _first_longest(self, i: int, group: list[int], length: int, best: int) -> tuple[int, int, int, int]:
+        """(places tested, characters tested, length, place) of the first longest copy beyond ``best``.
+
+        The group's places are tested together, rightmost first, in blocks that grow; -1: none.
+        """
+        places = np.sort(np.array(group, self.index.kind))[::-1]
+        tested = chars = done = 0
+        found, size = -1, MANY
+        while done < len(places):
+            part = places[done : done + size]
+            got = self.sources.acyclic_many(i, part, length)
+            full = np.flatnonzero(got == length)
+            used = int(full[0]) + 1 if len(full) else len(part)
+            tested += used
+            chars += int((got[:used] + (got[:used] < length)).sum())
+            k = int(got[:used].argmax())
+            if got[k] > best:
+                best, found = int(got[k]), int(part[k])
+            if len(full):
+                break
+            done += len(part)
+            size = min(2 * size, MOST)
+        return tested, chars, best, found
+
     def _allowed(self, i: int, j: int) -> bool:
         return self.options.sides == "both" or (j < i) == (self.options.sides == "left")
 
     def commit(self, length: int, ref: int) -> None:
         """Append a phrase and merge its positions with what they refer to."""
         if length:
-            for k in range(length):
-                self.sources.merge(self.at + k, ref + k)
+            self.sources.merge_run(self.at, ref, length)
         self.phrases.append((self.at, max(1, length), ref if length else -1))
         self.at += max(1, length)
 
+    def _run_plain(self) -> Parse:
+        """The whole parse under the default rules; where the floor can't be beaten, no search at all."""
+        at, n, up, out = self.at, self.n, self.sources.up, self.phrases
+        lengths, refs, top, search = self.next_len, self.next_ref, self.top, self._longest_left
+        trace, covered = Trace(), 0
+        while at < n:
+            size, ref = lengths[at], refs[at]
+            if size != top[at]:
+                size, ref = search(at, size, ref, trace)
+            if size:
+                up[at : at + size] = up[ref : ref + size]
+                covered += size
+                out.append((at, size, ref))
+                at += size
+            else:
+                out.append((at, 1, -1))
+                at += 1
+        self.at = at
+        self.sources.unions += covered
+        return Parse(out, [])
+
     def run(self, traced: bool = False) -> Parse:
+        if self.options == PLAIN and not traced:
+            return self._run_plain()
         traces = []
         while self.at < self.n:
             trace = Trace()

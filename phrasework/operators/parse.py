@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+import tracemalloc
 from collections.abc import Callable
 from dataclasses import replace
 
@@ -146,10 +147,21 @@ def smallest_attractor(S: DataFrame) -> DataFrame:
     return map_strings(S, "string_id string, size bigint", lambda key, text: [(key, len(extras.smallest_attractor(codes_of(text))))])
 
 
-def counts(S: DataFrame, methods: tuple[str, ...] = ("lz77", "lex", "two_way"), directions: tuple[str, ...] = ("forward", "reverse"), unit: str = "codepoint", **options) -> DataFrame:
+def _peak_bytes(codes: np.ndarray, method: str, options: Options) -> int:
+    """Most memory that a method, its index included, takes at once, as the allocators report it."""
+    tracemalloc.start()
+    try:
+        METHODS[method](codes, SuffixIndex(codes), options)
+        return tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+
+
+def counts(S: DataFrame, methods: tuple[str, ...] = ("lz77", "lex", "two_way"), directions: tuple[str, ...] = ("forward", "reverse"), unit: str = "codepoint", memory: bool = False, **options) -> DataFrame:
     """COUNTS by method and direction without phrase rows; one suffix index a direction.
 
-    ``seconds`` holds the method's own time with its index, ``bytes`` what its arrays take.
+    ``seconds`` holds the method's own time with its index. With ``memory`` each method runs once
+    more, alone and traced, and ``bytes`` holds its measured peak beyond the string; else it is null.
     """
     chosen = Options(**options)
     schema = "string_id string, method string, direction string, " + schemas.COUNTS.split(", ", 1)[1]
@@ -167,8 +179,8 @@ def counts(S: DataFrame, methods: tuple[str, ...] = ("lz77", "lex", "two_way"),
                 took = time.perf_counter() - began + shared
                 start, _, ref = np.array(found, np.int64).reshape(-1, 3).T
                 copies = int((ref >= 0).sum())
-                words = 3 + 2 * (method == "two_way")
-                yield key, method, direction, len(codes), len(found), len(found) - copies, copies, int(((ref >= 0) & (ref < start)).sum()), int((ref > start).sum()), took, len(codes) * (8 * words + 8)
+                peak = _peak_bytes(codes, method, chosen) if memory else None
+                yield key, method, direction, len(codes), len(found), len(found) - copies, copies, int(((ref >= 0) & (ref < start)).sum()), int((ref > start).sum()), took, peak
 
     return map_strings(S, schema, rows)
 

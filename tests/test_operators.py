@@ -9,6 +9,7 @@ from phrasework.operators import phrases as R
 from phrasework.operators import strings as T
 from phrasework.operators import suffix_tables as X
 from phrasework.operators.sharded import two_way_parse_sharded
+from phrasework.plans import stream_queries  # noqa: F401  registers the streaming queries
 from phrasework.plans.route import two_way_any_size
 from phrasework.sources import phrasefile
 
