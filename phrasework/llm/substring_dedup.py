@@ -1,13 +1,20 @@
 """Repeated word spans by compacting the de Bruijn graph of word windows.
 
-An edge of the graph is a window of ``width`` consecutive words. Consecutive windows that
-share their least ``anchor``-word k-mer form a run, a stretch of path without a fork as far as
-its own text goes. Runs meet by their anchor in a join: those of equal content are one
-compacted path and repeated as a whole; where an anchor leads to several contents the path
-forks, and only there windows are compared one by one. Coordinates (text, word position) come
-back to each text, which is read again to remove what they cover.
-
-All hashes that decide are 128 bits long (anchor and content of a run, both of a window).
+An edge of the graph is a k-mer of ``width`` words, a window. Three steps find where it repeats:
+
+* Edges. In each text, consecutive windows with the same least ``anchor``-word k-mer form a run, a
+  stretch without a fork as far as its own text goes. Equal windows have equal anchors, so only
+  runs of anchors seen twice matter. Where an anchor has one content, its run is an edge as it
+  stands; where it has several the path forks inside, and its windows become edges one by one.
+* Compaction. An edge's degrees are counted over all its occurrences. Where an edge has a single
+  predecessor that has it as single successor, a join of the degree table with itself says so,
+  and the two become one path. Every occurrence of a path's first edge then begins the path.
+* Verification. Each occurrence's words are read again at its source coordinates (text, word
+  position), and occurrences count only with others of the same path and the same SHA-256 of the
+  words themselves. Hashes alone never remove a word.
+
+Window hashes combine halves by a non-linear mix, so word sequences of a regular build (such as
+Thue-Morse words) collide no oftener than others.
 """
 
 from __future__ import annotations
@@ -18,42 +25,45 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, LongType, StructField, StructType
 
 from phrasework.llm import bloom
-from phrasework.llm.textbytes import U64, Words, mix, slices, span_hashes, utf8
+from phrasework.llm.textbytes import PRIME_5, U64, Words, mix, slices, span_hashes, utf8
 from phrasework.shared import materialize, release
 
 WIDTH, ANCHOR = 35, 6
 #: Texts that a map task remembers having sent on.
 REMEMBERED = 1 << 18
 
-BASES = (0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93)
 
-
-class Rolling:
-    """Hashes of word ranges from prefix sums, in two independent streams."""
+class Spans:
+    """Hashes of word ranges in two independent streams: two overlapping halves of a power of two, mixed."""
 
     def __init__(self, words: Words):
-        groups, n = words.padded(), len(words)
-        self.sums, self.back = [], []
-        for seed, base in enumerate(BASES):
-            power = np.full(n + 1, base, U64)
-            power[0] = 1
-            np.multiply.accumulate(power, out=power)
-            inverse = np.full(n + 1, pow(base, -1, 1 << 64), U64)
-            inverse[0] = 1
-            np.multiply.accumulate(inverse, out=inverse)
-            total = np.zeros(n + 1, U64)
-            np.cumsum(span_hashes(groups, words.starts, words.ends, seed + 1) * power[:n], out=total[1:])
-            self.sums.append(total)
-            self.back.append(inverse)
+        groups = words.padded()
+        self.levels = [[span_hashes(groups, words.starts, words.ends, seed + 1)] for seed in range(2)]
+
+    def _level(self, stream: int, t: int) -> np.ndarray:
+        levels = self.levels[stream]
+        while len(levels) <= t:
+            below, half = levels[-1], 1 << (len(levels) - 1)
+            levels.append(_combined(below[:-half], below[half:], 2 * half))
+        return levels[t]
 
     def of(self, stream: int, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-        total = self.sums[stream]
-        return mix((total[end] - total[start]) * self.back[stream][start])
+        size = end - start
+        out = np.empty(len(start), U64)
+        log2 = np.frexp(size.astype(np.float64))[1] - 1
+        for t in np.unique(log2).tolist():
+            at, level = np.flatnonzero(log2 == t), self._level(stream, t)
+            out[at] = _combined(level[start[at]], level[end[at] - (1 << t)], size[at])
+        return out
+
+
+def _combined(a: np.ndarray, b: np.ndarray, size) -> np.ndarray:
+    return mix((mix(a + np.asarray(size).astype(U64)) * PRIME_5) ^ b)
 
 
 def sliding_least(keys: np.ndarray, width: int) -> np.ndarray:
@@ -66,8 +76,12 @@ def sliding_least(keys: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(keys[: len(keys) - rest], keys[rest:]) if rest else keys
 
 
-def runs_of(words: Words, rolling: Rolling, width: int, anchor: int) -> tuple[np.ndarray, ...]:
-    """Runs of a batch: (first window, windows, anchor hash, content hash), in order."""
+def runs_of(words: Words, spans: Spans, width: int, anchor: int) -> tuple[np.ndarray, ...]:
+    """Runs of a batch: (first window, windows, anchor hash, content hash), in order.
+
+    A run's windows share one place of their least anchor. Anchors compare by their whole hash, ties by
+    place, so a text gives the same runs in whatever batch it comes.
+    """
     n = len(words)
     last = np.repeat(words.rows[1:], words.counts) - width
     windows = np.flatnonzero(np.arange(n) <= last)
@@ -75,16 +89,15 @@ def runs_of(words: Words, rolling: Rolling, width: int, anchor: int) -> tuple[np
         none = np.zeros(0, np.int64)
         return none, none, none.view(U64), none.view(U64)
     at = np.arange(n - anchor + 1)
-    bits = max(24, int(n).bit_length())
-    low = U64((1 << bits) - 1)
-    order = (rolling.of(0, at, at + anchor) & ~low) | at.astype(U64)
-    place = (sliding_least(order, width - anchor + 1)[windows] & low).astype(np.int64)
+    order = spans.of(0, at, at + anchor)
+    rank = np.unique(order, return_inverse=True)[1].astype(U64)  # equal hashes stay equal: the first place wins
+    place = (sliding_least(rank << U64(32) | at.astype(U64), width - anchor + 1)[windows] & U64((1 << 32) - 1)).astype(np.int64)
     new = np.ones(len(windows), bool)
     new[1:] = (place[1:] != place[:-1]) | (windows[1:] != windows[:-1] + 1)
     first = np.flatnonzero(new)
     count = np.diff(np.append(first, len(windows)))
-    start, place = windows[first], place[first]
-    return start, count, rolling.of(1, place, place + anchor), rolling.of(0, start, start + count - 1 + width)
+    start = windows[first]
+    return start, count, order[place[first]], spans.of(0, start, start + count - 1 + width)
 
 
 def text_keys(raw: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -111,7 +124,7 @@ def _scan(docs: DataFrame, width: int, anchor: int) -> DataFrame:
                 raw, at = utf8(batch.column("text"))
                 k1, k2 = text_keys(raw, at)
                 words = Words(raw, at)
-                start, count, m, r = runs_of(words, Rolling(words), width, anchor)
+                start, count, m, r = runs_of(words, Spans(words), width, anchor)
                 sha = [hashlib.sha256(words.row_bytes(i)).hexdigest() for i in range(len(k1))]
                 bounds = np.searchsorted(start, words.rows)
                 owner = np.repeat(np.arange(len(k1)), np.diff(bounds))
@@ -145,54 +158,109 @@ def _texts(docs: DataFrame, filter_) -> DataFrame:
     return docs.select("text").mapInArrow(run, "k1 bigint, k2 bigint, text string")
 
 
+def _owners(lists: pa.Array) -> tuple[pa.Array, np.ndarray]:
+    """All elements of a list column, and the row each belongs to."""
+    return lists.flatten(), np.repeat(np.arange(len(lists)), lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False))
+
+
 def _fork_windows(found: DataFrame, width: int, filter_=None) -> DataFrame:
-    """Every window of the runs to be compared: (w1, w2, k1, k2, pos, place), ``place`` hashing the coordinates.
+    """Windows of the runs where paths fork, as edges: (w1, w2, place), ``place`` hashing the coordinates.
 
-    With a filter only windows whose ``w1`` it may hold.
+    With a filter only windows whose ``w1`` it may hold, with neighbours and coordinates instead:
+    (w1, p, q, w2, k1, k2, s), ``p`` and ``q`` being the edges one word before and after, 0 for none.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in slices(whole):
-                raw, at = utf8(batch.column("text"))
-                words = Words(raw, at)
-                rolling = Rolling(words)
-                asked = batch.column("asked")
-                flat, owner = asked.flatten(), np.repeat(np.arange(len(asked)), asked.value_lengths().to_numpy(zero_copy_only=False))
+                words = Words(*utf8(batch.column("text")))
+                spans = Spans(words)
+                flat, owner = _owners(batch.column("asked"))
                 s, n = flat.field(0).to_numpy().astype(np.int64), flat.field(1).to_numpy().astype(np.int64)
                 pos = np.repeat(s - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
                 owner = np.repeat(owner, n)
+                order = np.lexsort((pos, owner))
+                pos, owner = pos[order], owner[order]
+                follows = np.zeros(len(pos) + 1, bool)
+                follows[1:-1] = (owner[1:] == owner[:-1]) & (pos[1:] == pos[:-1] + 1)
                 start = words.rows[owner] + pos
-                names = ["w1", "w2", "k1", "k2", "pos", "place"]
-                keys = [batch.column(k).to_numpy()[owner] for k in ("k1", "k2")]
-                place = mix(keys[0].view(U64) + mix(keys[1].view(U64) + pos.astype(U64)))
-                arrays = [rolling.of(0, start, start + width).view(np.int64), rolling.of(1, start, start + width).view(np.int64), *keys, pos.astype(np.int32), place.view(np.int64)]
+                arrays = {"w1": spans.of(0, start, start + width).view(np.int64)}
                 if filter_ is not None:
-                    likely = bloom.contains(filter_.value, arrays[0])
-                    arrays = [a[likely] for a in arrays]
-                for k in range(0, len(arrays[0]), 1 << 18):
-                    yield pa.RecordBatch.from_arrays([pa.array(a[k : k + (1 << 18)]) for a in arrays], names=names)
+                    beside = np.concatenate([[0], arrays["w1"], [0]])
+                    arrays |= {"p": np.where(follows[:-1], beside[:-2], 0), "q": np.where(follows[1:], beside[2:], 0)}
+                    likely = bloom.contains(filter_.value, arrays["w1"])
+                    pos, owner, start, arrays = pos[likely], owner[likely], start[likely], {c: v[likely] for c, v in arrays.items()}
+                arrays["w2"] = spans.of(1, start, start + width).view(np.int64)
+                keys = [batch.column(k).to_numpy()[owner] for k in ("k1", "k2")]
+                if filter_ is None:
+                    arrays["place"] = mix(keys[0].view(U64) + mix(keys[1].view(U64) + pos.astype(U64))).view(np.int64)
+                else:
+                    arrays |= {"k1": keys[0], "k2": keys[1], "s": pos.astype(np.int32)}
+                for k in range(0, len(start), 1 << 18):
+                    yield pa.RecordBatch.from_arrays([pa.array(v[k : k + (1 << 18)]) for v in arrays.values()], names=list(arrays))
 
-    return found.where("size(asked) > 0").select("k1", "k2", "text", "asked").mapInArrow(run, "w1 bigint, w2 bigint, k1 bigint, k2 bigint, pos int, place bigint")
+    schema = "w1 bigint, w2 bigint, place bigint" if filter_ is None else "w1 bigint, p bigint, q bigint, w2 bigint, k1 bigint, k2 bigint, s int"
+    return found.where("size(asked) > 0").select("k1", "k2", "text", "asked").mapInArrow(run, schema)
+
+
+def _degrees() -> list[Column]:
+    """Aggregates over an edge's occurrences that tell a single predecessor or successor; 0 is none."""
+    return [f(c).alias(f"{name}_{c}") for c in ("p", "q") for f, name in ((F.min, "least"), (F.max, "most"))]
+
+
+def _inner(edges: DataFrame, key: list[str]) -> DataFrame:
+    """Keys of edges that only continue a path: one predecessor, of which they are the one successor.
+
+    ``edges`` has one row an edge with its key and degrees; neighbours are named by the key's last column.
+    """
+    last = key[-1]
+    one = edges.where("least_p = most_p and least_p <> 0").select(*key, F.col("least_p").alias("p"))
+    before = edges.where("least_q = most_q and least_q <> 0").select(F.col(last).alias("p"), F.col("least_q").alias(last)).distinct()
+    return one.join(before, ["p", last]).select(*key).distinct()
+
+
+def _paths(found: DataFrame, width: int) -> DataFrame:
+    """Occurrences of compacted paths with the digest of their words: (k1, k2, path, s, n, copies, digest).
+
+    In each text an edge that only continues a path is joined to the one it follows.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in slices(whole):
+                words = Words(*utf8(batch.column("text")))
+                parts = []
+                for column in ("sure", "hits"):
+                    flat, owner = _owners(batch.column(column))
+                    s, n, edge, inner, copies = (flat.field(k).to_numpy(zero_copy_only=False) for k in range(5))
+                    order = np.lexsort((s, owner))
+                    owner, s, n, edge, inner, copies = owner[order], s[order].astype(np.int64), n[order].astype(np.int64), edge[order], inner[order].astype(bool), copies[order]
+                    begins = np.ones(len(s), bool)
+                    begins[1:] = ~inner[1:] | (owner[1:] != owner[:-1]) | (s[1:] != s[:-1] + n[:-1])
+                    first = np.flatnonzero(begins)
+                    size = np.add.reduceat(n, first) if len(first) else n[:0]
+                    parts.append((owner[first], s[first], size, edge[first], copies[first]))
+                owner, s, n, path, copies = (np.concatenate(c) for c in zip(*parts))
+                at = words.rows[owner] + s
+                digest = [hashlib.sha256(words.text[a:b].data).digest() for a, b in zip(words.starts[at], words.ends[at + n + width - 2])] if len(at) else []
+                arrays = [batch.column("k1").to_numpy()[owner], batch.column("k2").to_numpy()[owner], path, s.astype(np.int32), n.astype(np.int32), copies.astype(np.int64)]
+                yield pa.RecordBatch.from_arrays([*map(pa.array, arrays), pa.array(digest, pa.binary())], names=["k1", "k2", "path", "s", "n", "copies", "digest"])
+
+    return found.select("k1", "k2", "text", "sure", "hits").mapInArrow(run, "k1 bigint, k2 bigint, path bigint, s int, n int, copies bigint, digest binary")
 
 
 def _cut(found: DataFrame, width: int) -> DataFrame:
-    """Remove the words that repeated windows cover: (k1, k2, n_removed, kept, kept_sha)."""
+    """Remove the words that verified paths cover: (k1, k2, n_removed, kept, kept_sha)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in slices(whole):
-                raw, at = utf8(batch.column("text"))
-                words = Words(raw, at)
+                words = Words(*utf8(batch.column("text")))
                 change = np.zeros(len(words) + 1, np.int64)
-                for column, length in (("sure", None), ("hits", 1)):
-                    lists = batch.column(column)
-                    flat = lists.flatten()
-                    owner = np.repeat(np.arange(len(lists)), lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False))
-                    s = (flat.field(0) if length is None else flat).to_numpy(zero_copy_only=False).astype(np.int64)
-                    n = flat.field(1).to_numpy().astype(np.int64) if length is None else 1
-                    np.add.at(change, words.rows[owner] + s, 1)
-                    np.add.at(change, words.rows[owner] + s + n - 1 + width, -1)
+                flat, owner = _owners(batch.column("spans"))
+                s, n = flat.field(0).to_numpy().astype(np.int64), flat.field(1).to_numpy().astype(np.int64)
+                np.add.at(change, words.rows[owner] + s, 1)
+                np.add.at(change, words.rows[owner] + s + n - 1 + width, -1)
                 gone = np.cumsum(change[:-1]) > 0
                 kept_text, removed = [], []
                 for i in range(batch.num_rows):
@@ -206,7 +274,7 @@ def _cut(found: DataFrame, width: int) -> DataFrame:
                 arrays = [batch.column("k1"), batch.column("k2"), pa.array(removed), pa.array(kept_text, pa.binary()).cast(pa.string()), pa.array(sha)]
                 yield pa.RecordBatch.from_arrays(arrays, names=["k1", "k2", "n_removed", "kept", "kept_sha"])
 
-    return found.select("k1", "k2", "text", "sure", "hits").mapInArrow(run, "k1 bigint, k2 bigint, n_removed bigint, kept string, kept_sha string")
+    return found.select("k1", "k2", "text", "spans").mapInArrow(run, "k1 bigint, k2 bigint, n_removed bigint, kept string, kept_sha string")
 
 
 class RepeatedSpans:
@@ -214,39 +282,39 @@ class RepeatedSpans:
 
     def __init__(self, docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR):
         self.docs = docs
-        self.scan = materialize(_scan(docs, width, anchor), "runs")
-        runs = self.scan.select("k1", "k2", F.inline("runs"))
-        repeated = runs.groupBy("m").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("m")
-        repeated = materialize(repeated, "anchors")
+        self.scan = materialize(_scan(docs, width, min(anchor, width)), "runs")
+        runs = self.scan.select("k1", "k2", F.expr("inline(transform(runs, (x, i) -> struct(x.m as m, x.r as r, x.s as s, x.n as n, coalesce(get(runs, i - 1).r, 0L) as p, coalesce(get(runs, i + 1).r, 0L) as q)))"))
+        repeated = materialize(runs.groupBy("m").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("m"), "anchors")
         candidates = bloom.thin(runs, "m", bloom.build(repeated, "m"))
-        paths = materialize(
-            candidates.groupBy("m", "r").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("k1", "k2", "s", "n")).alias("one")),
-            "paths",
-        )
-        whole = candidates.join(paths.where("c > 1").select("m", "r"), ["m", "r"]).select("k1", "k2", "s", "n").distinct().withColumn("sure", F.lit(True))
-        forks = paths.groupBy("m").agg(F.count(F.lit(1)).alias("ways")).where("ways > 1").select("m")
-        asked = paths.join(forks, "m").select("one.*").withColumn("sure", F.lit(False))
-        piece = F.struct("s", "n")
-        by_text = materialize(
-            whole.unionByName(asked)
-            .groupBy("k1", "k2")
-            .agg(F.collect_list(F.when(F.col("sure"), piece)).alias("sure"), F.collect_list(F.when(~F.col("sure"), piece)).alias("asked")),
-            "coordinates",
+        contents = materialize(candidates.groupBy("m", "r").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("k1", "k2", "s", "n")).alias("one"), *_degrees()), "contents")
+        again = contents.where("c > 1")
+        again = again.select("m", "r").join(_inner(again, ["m", "r"]).withColumn("inner", F.lit(True)), ["m", "r"], "left")
+        whole = candidates.join(again, ["m", "r"]).groupBy("k1", "k2", "s", "n", "r").agg(F.coalesce(F.first("inner"), F.lit(False)).alias("inner"), F.count(F.lit(1)).alias("copies"))
+        forks = contents.groupBy("m").agg(F.count(F.lit(1)).alias("ways")).where("ways > 1").select("m")
+        asked = contents.join(forks, "m").select("one.*")
+        edge = F.struct("s", "n", F.col("r").alias("edge"), "inner", "copies")
+        by_text = whole.select("k1", "k2", edge.alias("edge"), F.lit(None).cast("struct<s:int,n:int>").alias("piece")).unionByName(
+            asked.select("k1", "k2", F.lit(None).cast("struct<s:int,n:int,edge:bigint,inner:boolean,copies:bigint>").alias("edge"), F.struct("s", "n").alias("piece"))
         )
+        by_text = materialize(by_text.groupBy("k1", "k2").agg(F.collect_list("edge").alias("sure"), F.collect_list("piece").alias("asked")), "coordinates")
         self.touched = bloom.build(by_text, "k1")
         texts = _texts(docs, self.touched).groupBy("k1", "k2").agg(F.first("text").alias("text"))
         found = materialize(texts.join(by_text, ["k1", "k2"]), "texts")
-        windows = _fork_windows(found, width)
-        again = materialize(
-            windows.groupBy("w1", "w2").agg(F.min("place").alias("a"), F.max("place").alias("b")).where("a <> b").select("w1", "w2"),
-            "windows",
-        )
-        likely = _fork_windows(found, width, bloom.build(again, "w1")).select("w1", "w2", "k1", "k2", "pos")
-        hits = likely.join(again, ["w1", "w2"]).select("k1", "k2", "pos").groupBy("k1", "k2").agg(F.collect_list("pos").alias("hits"))
-        cut = _cut(found.join(hits, ["k1", "k2"], "left").where("size(sure) > 0 or hits is not null"), width)
+        release(repeated, contents, by_text)
+        windows = _fork_windows(found, width).groupBy("w1", "w2").agg(F.min("place").alias("a"), F.max("place").alias("b"))
+        windows = materialize(windows.where("a <> b").select("w1", "w2"), "windows")
+        likely = materialize(_fork_windows(found, width, bloom.build(windows, "w1")).join(windows, ["w1", "w2"]), "edges")
+        inner = _inner(likely.groupBy("w2", "w1").agg(*_degrees()), ["w2", "w1"]).withColumn("inner", F.lit(True))
+        edge = F.struct("s", F.lit(1).alias("n"), F.col("w1").alias("edge"), F.coalesce("inner", F.lit(False)).alias("inner"), F.lit(1).cast("bigint").alias("copies"))
+        hits = likely.join(inner, ["w2", "w1"], "left").groupBy("k1", "k2").agg(F.collect_list(edge).alias("hits"))
+        path = ["path", "n", "digest"]
+        occurrences = materialize(_paths(found.join(hits, ["k1", "k2"], "left").where("size(sure) > 0 or hits is not null"), width), "paths")
+        release(windows, likely)
+        verified = occurrences.groupBy(*path).agg(F.sum("copies").alias("c")).where("c > 1").select(*path)
+        spans = occurrences.join(verified, path).groupBy("k1", "k2").agg(F.collect_list(F.struct("s", "n")).alias("spans"))
         #: One row for each text that loses words.
-        self.changed = materialize(cut, "changed")
-        release(repeated, paths, by_text, found, again)
+        self.changed = materialize(_cut(found.join(spans, ["k1", "k2"]), width), "changed")
+        release(found, occurrences)
 
 
 def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:

@@ -85,7 +85,7 @@ def test_runs_cover_each_window_once_and_match_by_content():
     rng = random.Random(5)
     texts = [" ".join(rng.choice("ab cd ef".split()) for _ in range(rng.randrange(0, 60))) for _ in range(40)]
     words = Words(*utf8(pa.array(texts)))
-    start, count, m, r = D.runs_of(words, D.Rolling(words), 10, 3)
+    start, count, m, r = D.runs_of(words, D.Spans(words), 10, 3)
     windows = np.concatenate([np.arange(s, s + n) for s, n in zip(start, count)])
     want = [words.rows[i] + k for i in range(len(texts)) for k in range(max(0, words.counts[i] - 9))]
     assert windows.tolist() == want

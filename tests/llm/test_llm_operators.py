@@ -154,6 +154,37 @@ def test_repeated_spans_of_few_words(spark):
         assert cut[i] == (kept if gone else texts[i])
 
 
+def test_repeated_spans_of_regular_words_and_wide_windows(spark):
+    """Thue-Morse word orders, whose polynomial hashes collide, periods, and windows of 1,024 words."""
+    order = ["x"]
+    while len(order) < 2048:
+        order += ["y" if w == "x" else "x" for w in order]
+    other = ["y" if w == "x" else "x" for w in order]
+    period = [f"p{i % 7}" for i in range(3000)]
+    long = [f"w{i}" for i in range(1500)]
+    texts = [" ".join(t) for t in (order, other, order[100:1200], period, period[3:1500], long, ["head", *long[200:1300], "tail"], long[400:1400] + ["end"])]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    for width, anchor in ((1024, 6), (64, 6), (35, 6), (4, 6), (1, 6)):
+        got = {r.id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup.removed_spans(rows, width=width, anchor=anchor).collect()}
+        for i, (n, gone, kept) in enumerate(plain_spans(texts, width)):
+            assert got[i] == (n, gone, hashlib.sha256(kept.encode()).hexdigest()), (width, i)
+
+
+def test_forks_and_copies_of_spans(spark):
+    """Blocks in many orders: paths that fork at every block end, copies, and blocks that one text repeats."""
+    import random
+
+    rng = random.Random(4)
+    blocks = [[f"b{k}_{i}" for i in range(rng.randrange(5, 30))] for k in range(12)]
+    texts = [" ".join(w for _ in range(rng.randrange(1, 7)) for w in rng.choice(blocks)) for _ in range(80)]
+    texts += texts[:10] + ["only words of its own here"]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    for width in (8, 20):
+        got = {r.id: (r.n_removed, r.kept_sha256) for r in substring_dedup.removed_spans(rows, width=width, anchor=3).collect()}
+        for i, (_, gone, kept) in enumerate(plain_spans(texts, width)):
+            assert got[i] == (gone, hashlib.sha256(kept.encode()).hexdigest()), (width, i)
+
+
 def crc(doc_id, folds):
     return zlib.crc32(str(doc_id).encode()) % folds
 
