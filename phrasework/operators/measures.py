@@ -35,11 +35,18 @@ def winners(counted: DataFrame) -> DataFrame:
     return best_counts(counted).withColumn("place", F.rank().over(w)).where("place = 1").select("string_id", "method", "phrases")
 
 
+def cost_table(counted: DataFrame, method: str = "two_way", base: str = "lz77") -> DataFrame:
+    """Per string and method seconds (directions summed) and measured peak bytes (the larger), and both factors of ``method``.
+
+    ``counted`` comes from ``counts(..., memory=True)``.
+    """
+    wide = counted.groupBy("string_id", "n").pivot("method").agg(F.sum("seconds").alias("seconds"), F.max("bytes").alias("bytes"))
+    return wide.withColumn("time_factor", F.col(f"{method}_seconds") / F.col(f"{base}_seconds")).withColumn("memory_factor", F.col(f"{method}_bytes") / F.col(f"{base}_bytes"))
+
+
 def factors(counted: DataFrame, method: str = "two_way", base: str = "lz77") -> DataFrame:
-    """Slowdown and memory factor of a method against another, both directions summed."""
-    both = counted.groupBy("string_id", "method").agg(F.sum("seconds").alias("seconds"), F.max("bytes").alias("bytes"))
-    a, b = (both.where(F.col("method") == m).select("string_id", F.col("seconds").alias(f"{c}_s"), F.col("bytes").alias(f"{c}_b")) for m, c in ((method, "m"), (base, "b")))
-    return a.join(b, "string_id").select("string_id", (F.col("m_s") / F.col("b_s")).alias("time_factor"), (F.col("m_b") / F.col("b_b")).alias("memory_factor"))
+    """(string_id, time_factor, memory_factor) of a method against another; without measured bytes the latter is null."""
+    return cost_table(counted, method, base).select("string_id", "time_factor", "memory_factor")
 
 
 def _wide(counted: DataFrame) -> DataFrame:
@@ -110,6 +117,12 @@ def length_profile(phrases: DataFrame) -> DataFrame:
     return phrases.groupBy("string_id").agg(F.min("length").alias("least"), F.percentile("length", F.lit(0.5)).alias("median"), F.percentile("length", F.lit(0.9)).alias("p90"), F.max("length").alias("most"), F.round(F.avg("length"), 6).alias("mean"))
 
 
+def length_histogram(phrases: DataFrame) -> DataFrame:
+    """Phrases of each string by length, in classes that double: (string_id, at_least, phrases)."""
+    size = F.pow(F.lit(2), F.floor(F.log2("length"))).cast("bigint")
+    return phrases.groupBy("string_id", size.alias("at_least")).agg(F.count(F.lit(1)).alias("phrases"))
+
+
 def encoded_bits(counted: DataFrame, sigma: int) -> DataFrame:
     """Two numbers below n for a copy, one letter for a literal."""
     number = F.ceil(F.log2(F.greatest(F.col("n"), F.lit(2))))

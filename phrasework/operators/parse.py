@@ -137,14 +137,31 @@ def bwt_runs(S: DataFrame) -> DataFrame:
     return map_strings(S, "string_id string, runs bigint", lambda key, text: [(key, extras.bwt_runs(codes_of(text)))])
 
 
-def attractor_parse(S: DataFrame, positions: dict[str, set[int]]) -> DataFrame:
-    """PHRASES grown around given 1-based attractor positions of each string."""
-    return map_strings(S, schemas.PHRASES, lambda key, text: _phrase_rows(key, text, extras.attractor_parse(codes_of(text), {p - 1 for p in positions[key]}), "codepoint"))
+def _with_positions(S: DataFrame, positions: DataFrame, schema: str, kernel: Callable) -> DataFrame:
+    """Rows of ``kernel(string_id, text, 0-based positions)``; strings without a position get an empty set."""
+    marked = S.where("text is not null").join(positions.groupBy("string_id").agg(F.collect_set(F.col("pos").cast("string")).alias("at")), "string_id", "left")
+    packed = marked.select("string_id", F.concat_ws("\n", F.coalesce(F.array_join("at", ","), F.lit("")), "text").alias("text"))
+
+    def rows(key: str, both: str):
+        at, text = both.split("\n", 1)
+        return kernel(key, text, {int(p) - 1 for p in at.split(",") if p})
+
+    return map_strings(packed, schema, rows)
+
+
+def attractor_parse(S: DataFrame, positions: DataFrame) -> DataFrame:
+    """PHRASES grown around the attractor of each string, given as rows (string_id, 1-based pos)."""
+    return _with_positions(S, positions, schemas.PHRASES, lambda key, text, at: _phrase_rows(key, text, extras.attractor_parse(codes_of(text), at), "codepoint"))
+
+
+def is_attractor(S: DataFrame, positions: DataFrame) -> DataFrame:
+    """(string_id, is_attractor): whether every substring has an occurrence that covers one of the string's positions."""
+    return _with_positions(S, positions, "string_id string, is_attractor boolean", lambda key, text, at: [(key, extras.is_attractor(codes_of(text), at))])
 
 
 def smallest_attractor(S: DataFrame) -> DataFrame:
-    """(string_id, size) of a smallest attractor of strings of up to ten characters."""
-    return map_strings(S, "string_id string, size bigint", lambda key, text: [(key, len(extras.smallest_attractor(codes_of(text))))])
+    """(string_id, pos): a smallest attractor of each string of up to ten characters."""
+    return map_strings(S, "string_id string, pos bigint", lambda key, text: [(key, p + 1) for p in sorted(extras.smallest_attractor(codes_of(text)))])
 
 
 def _peak_bytes(codes: np.ndarray, method: str, options: Options) -> int:

@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from phrasework.operators.batches import map_strings
+
 #: A pattern table of at most this many rows is broadcast.
 BROADCAST_PATTERNS = 10_000
 
@@ -39,27 +41,53 @@ def collection(df: DataFrame, key: str, order: list[str], text_col: str = "text"
 def occurrences(S: DataFrame, patterns: DataFrame, broadcast_rows: int = BROADCAST_PATTERNS) -> DataFrame:
     """OCC (string_id, pattern, pos): every place of every pattern, overlapping ones too.
 
-    The pattern table is broadcast while its checked size allows; a larger one meets the texts
-    by an equi-join on the patterns' first characters, taken at the shortest pattern's length.
+    While the pattern table's checked size allows, one automaton of all patterns is broadcast and
+    reads each text once; a larger table meets the texts by an equi-join on the patterns' first
+    characters, taken at the shortest pattern's length.
     """
     wanted = patterns.where("pattern <> ''").select("pattern").distinct()
-    text, size = F.col("text"), F.length("pattern")
+    size = F.length("pattern")
     if wanted.limit(broadcast_rows + 1).count() <= broadcast_rows:
-        hit = S.join(F.broadcast(wanted), F.contains("text", "pattern"))
-        starts = F.filter(F.sequence(F.lit(1), F.length(text) - size + 1), lambda p: F.substring(text, p, size) == F.col("pattern"))
-        return hit.select("string_id", "pattern", F.explode(starts).alias("pos")).withColumn("pos", F.col("pos").cast("bigint"))
+        shared = S.sparkSession.sparkContext.broadcast([r[0] for r in wanted.collect()])
+        machine: list = []
+
+        def places(key: str, text: str):
+            if not machine:
+                machine.append(_automaton(shared.value))
+            if machine[0] is not None:
+                for end, pattern in machine[0].iter(text):
+                    yield key, pattern, end - len(pattern) + 2
+
+        return map_strings(S, "string_id string, pattern string, pos bigint", places)
     head = wanted.agg(F.min(F.length("pattern"))).first()[0]
-    starts = F.explode(F.sequence(F.lit(1), F.length(text) - head + 1)).alias("pos")
+    starts = F.explode(F.sequence(F.lit(1), F.length("text") - head + 1)).alias("pos")
     grams = S.where(F.length("text") >= head).select("string_id", "text", starts).withColumn("gram", F.substring("text", F.col("pos"), F.lit(head)))
     keyed = wanted.withColumn("gram", F.substring("pattern", 1, head))
     return grams.join(keyed, "gram").where(F.substring("text", F.col("pos"), size) == F.col("pattern")).select("string_id", "pattern", F.col("pos").cast("bigint").alias("pos"))
 
 
+def _automaton(patterns: list[str]):
+    import ahocorasick
+
+    if not patterns:
+        return None
+    found = ahocorasick.Automaton()
+    for pattern in patterns:
+        found.add_word(pattern, pattern)
+    found.make_automaton()
+    return found
+
+
 def lcp_len(x: Column, y: Column) -> Column:
-    """Length of the longest common prefix of two string columns, without a UDF."""
+    """Length of the longest common prefix of two string columns, without a UDF.
+
+    A binary descent: each step compares one pair of substrings of half the length before, so the
+    work is proportional to the shorter string.
+    """
     both = F.least(F.length(x), F.length(y))
-    miss = F.array_min(F.filter(F.sequence(F.lit(1), both), lambda k: F.substring(x, k, F.lit(1)) != F.substring(y, k, F.lit(1))))
-    return F.when(both == 0, F.lit(0)).otherwise(F.coalesce(miss - 1, both))
+    bits = F.transform(F.sequence(F.lit(0), F.lit(30)), lambda k: F.pow(F.lit(2), F.lit(30) - k).cast("int"))
+    steps = F.filter(bits, lambda w: w <= both)
+    return F.aggregate(steps, F.lit(0), lambda done, w: F.when((done + w <= both) & (F.substring(x, done + 1, w) == F.substring(y, done + 1, w)), done + w).otherwise(done))
 
 
 def closer_to(x: Column, y: Column, z: Column) -> Column:

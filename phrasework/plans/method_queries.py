@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from phrasework import schemas
 from phrasework.operators import measures as M
@@ -51,12 +54,21 @@ def ex_similarity(spark, folder):
     return spark.range(1).select(T.closer_to(F.lit("aab"), F.lit("ab"), F.lit("aac")).alias("closer"))
 
 
-@query("SELECT true AS valid, 'ababbab' AS text, 'gabab4ab' IS NOT NULL AS kept, 'abab' AS first_after_two_hops")
+@query("SELECT * FROM (VALUES (1::BIGINT, 3::BIGINT, 5::BIGINT), (2, 5, 3), (3, 8, 2), (4, 7, 1)) t(ord, j, lce)")
+def ex_order_at_first(spark, folder):
+    return X.candidates(_one(spark, "abababaabb"), 1).select("ord", "j", "lce")
+
+
+@query("SELECT true AS valid, 'ababbab' AS text, 'abab4ab' AS after_two, 'ababbab' AS after_three")
 def ex_valid_parse(spark, folder):
+    """All positions after two references, position numbers where no literal is reached yet, and after three."""
     p = _given(spark, "ababbab", [(2, 3), (1, None), (1, None), (3, 2)])
-    twice = R.follow(R.reference_graph(p), 3)
-    four = twice.where("pos <= 4").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("pos", "literal"))), lambda x: x["literal"]), "").alias("first_after_two_hops"))
-    return R.is_valid(p).join(R.decode(p), "string_id").join(four).select("valid", "text", F.lit(True).alias("kept"), "first_after_two_hops")
+
+    def after(hops: int, name: str) -> DataFrame:
+        shown = F.struct("pos", F.coalesce("literal", F.col("target").cast("string")).alias("c"))
+        return R.follow(R.reference_graph(p), hops).agg(F.array_join(F.transform(F.array_sort(F.collect_list(shown)), lambda x: x["c"]), "").alias(name))
+
+    return R.is_valid(p).join(R.decode(p), "string_id").join(after(2, "after_two")).join(after(3, "after_three")).select("valid", "text", "after_two", "after_three")
 
 
 @query("SELECT * FROM (VALUES (1::BIGINT),(2),(3),(4)) t(pos)")
@@ -69,6 +81,51 @@ def ex_partial_source(spark, folder):
     return R.source_of(_given(spark, "ababbab", [(2, 3), (2, 6)]), _one(spark, "ababbab")).select("pos", "source")
 
 
+@query("SELECT true AS valid")
+def ex_partial_valid(spark, folder):
+    return R.is_valid_partial(_given(spark, "ababbab", [(2, 3), (2, 6)]), _one(spark, "ababbab")).select("valid")
+
+
+@query("SELECT * FROM (VALUES (5::BIGINT, '5'), (6, '1,3,6'), (7, '2,4,7')) t(source, members)")
+def ex_source_classes(spark, folder):
+    found = R.source_of(_given(spark, "ababbab", [(2, 3), (2, 6)]), _one(spark, "ababbab"))
+    return R.source_classes(found).select("source", F.array_join(F.transform("members", lambda x: x.cast("string")), ",").alias("members"))
+
+
+@query("SELECT * FROM (VALUES (3, 1, false), (9, 1, true), (9, 2, true), (9, 3, false), (11, 2, true)) t(ref, size, valid)")
+def ex_can_extend(spark, folder):
+    prefix, S = _given(spark, "abababaababa", [(5, 3)]), _one(spark, "abababaababa")
+    parts = [R.can_extend(prefix, S, ref, size).select(F.lit(ref).alias("ref"), F.lit(size).alias("size"), "valid") for ref, size in ((3, 1), (9, 1), (9, 2), (9, 3), (11, 2))]
+    return reduce(DataFrame.unionByName, parts)
+
+
+@query("SELECT CAST(p AS BIGINT) AS pos, CAST(CASE WHEN p IN (1, 3, 5) THEN 7 WHEN p IN (2, 4) THEN 6 ELSE p END AS BIGINT) AS before, CAST(CASE WHEN p IN (1, 3, 5, 7) THEN 10 WHEN p IN (2, 4, 6) THEN 9 ELSE p END AS BIGINT) AS after FROM range(1, 13) t(p)")
+def ex_class_update(spark, folder):
+    """Sources before and after one more phrase: the classes of its positions join those they refer to."""
+    S = _one(spark, "abababaababa")
+    before, after = (R.source_of(_given(spark, "abababaababa", pieces), S).select("pos", F.col("source").alias(name)) for name, pieces in (("before", [(5, 3)]), ("after", [(5, 3), (2, 9)])))
+    return before.join(after, "pos")
+
+
+_THIRD = "SELECT 'x' AS string_id, 'abababaababa' AS text"
+
+
+@query(
+    f"SELECT a.phrases AS lz77, b.phrases AS lz77_reverse, c.phrases AS lex, d.phrases AS two_way FROM ({O.phrase_counts(_THIRD, 'prev_len')}) a, "
+    f"({O.phrase_counts(O.reversed_text(_THIRD), 'prev_len')}) b, ({O.phrase_counts(_THIRD, 'lcp')}) c, (SELECT count(*) AS phrases FROM ({O.two_way(_THIRD)})) d"
+)
+def ex_third_counts(spark, folder):
+    counted = P.counts(_one(spark, "abababaababa"))
+    pick = {"lz77": ("lz77", "forward"), "lz77_reverse": ("lz77", "reverse"), "lex": ("lex", "forward"), "two_way": ("two_way", "forward")}
+    return counted.agg(*(F.max(F.when((F.col("method") == m) & (F.col("direction") == d), F.col("phrases"))).alias(c) for c, (m, d) in pick.items()))
+
+
+@query(f"SELECT string_id, CAST(length(text) * 41 + ceil(length(text) * 3 / 8) AS BIGINT) AS bytes FROM ({O.PART_NAMES})")
+def space_part_names(spark, folder):
+    """The paper's layout in bytes: text, five words and three bits a position."""
+    return W.part_names(spark, folder).select("string_id", (F.length("text") + T.space_model(F.length("text"), 5, 3)).cast("bigint").alias("bytes"))
+
+
 @query("SELECT CAST(j AS BIGINT) AS j, CAST(CASE WHEN j IN (9, 11) THEN 2 ELSE 0 END AS BIGINT) AS length FROM range(1, 13) t(j)")
 def ex_extension_profile(spark, folder):
     return P.extension_profile(_one(spark, "abababaababa"), [(5, 3)]).select("j", "length")
@@ -89,48 +146,47 @@ def ex_one_direction_excess(spark, folder):
 # Suffix structures
 
 
-@query(f"WITH {O.suffixes(O.SHORT_BENCHMARK)} SELECT string_id, rank, pos FROM suf")
+@query(f"WITH {O.suffixes(O.BENCHMARK)} SELECT string_id, rank, pos FROM suf")
 def suffix_benchmark(spark, folder):
     return X.suffix_table(W.benchmark(spark, folder)).select("string_id", "rank", "pos")
 
 
-@query(f"WITH {O.suffixes(O.SHORT_BENCHMARK)} SELECT string_id, rank, lcp FROM suf")
+@query(f"WITH {O.suffixes(O.BENCHMARK)} SELECT string_id, rank, lcp FROM suf")
 def lcp_benchmark(spark, folder):
     return X.suffix_table(W.benchmark(spark, folder)).select("string_id", "rank", "lcp")
 
 
-@query(f"WITH {O.suffixes('SELECT * FROM (' + O.PART_NAMES + ') WHERE CAST(string_id AS INT) <= 300')} SELECT string_id, rank, pos, lcp FROM suf")
+@query(f"WITH {O.suffixes(O.PART_NAMES)} SELECT string_id, rank, pos, lcp FROM suf")
 def suffix_distributed(spark, folder):
-    return X.suffix_table(W.part_names(spark, folder).where("cast(string_id as int) <= 300"), tier="distributed")
+    return X.suffix_table(W.part_names(spark, folder), tier="distributed")
 
 
-@query(f"WITH {O.factors(O.SHORT_BENCHMARK)} SELECT string_id, pos, prev_len FROM fac")
+@query(f"WITH {O.factors(O.BENCHMARK)} SELECT string_id, pos, prev_len FROM fac")
 def lpf_benchmark(spark, folder):
     return X.previous_factor(W.benchmark(spark, folder)).select("string_id", "pos", "prev_len")
 
 
-@query(f"WITH {O.factors(O.SHORT_BENCHMARK)} SELECT string_id, pos, next_len FROM fac")
+@query(f"WITH {O.factors(O.BENCHMARK)} SELECT string_id, pos, next_len FROM fac")
 def next_factor_benchmark(spark, folder):
     return X.next_factor(W.benchmark(spark, folder)).select("string_id", "pos", "next_len")
 
 
-FEW_BENCHMARK = O.SHORT_BENCHMARK + " WHERE item_id < 12"
-
-
-@query(f"WITH {O.factors(FEW_BENCHMARK)} SELECT string_id, pos, prev_len, next_len FROM fac")
+@query(f"WITH {O.factors(O.BENCHMARK)} SELECT string_id, pos, prev_len, next_len FROM fac")
 def factors_distributed(spark, folder):
-    S = W.benchmark(spark, folder).where("cast(string_id as int) < 12")
-    return X.distributed_factor_table(S, block=16).select("string_id", "pos", "prev_len", "next_len")
+    return X.distributed_factor_table(W.benchmark(spark, folder), block=64).select("string_id", "pos", "prev_len", "next_len")
 
 
-@query(f"WITH {O.factors(O.SHORT_BENCHMARK)} SELECT string_id, i, j, lce FROM ext")
+@query(f"WITH {O.factors(O.BENCHMARK)} SELECT string_id, i, j, lce FROM ext")
 def lce_diagonals(spark, folder):
     return T.lce_matrix(W.benchmark(spark, folder))
 
 
-@query(f"WITH {O.factors(O.SHORT_BENCHMARK)} SELECT string_id, j, lce FROM (SELECT string_id, j, lce FROM ext WHERE i = 5 UNION ALL SELECT string_id, i, lce FROM ext WHERE j = 5) WHERE lce > 0")
+@query(
+    f"WITH {O.factors(O.BENCHMARK)} SELECT string_id, row_number() OVER (PARTITION BY string_id ORDER BY lce DESC, j DESC) AS ord, j, lce "
+    "FROM (SELECT string_id, j, lce FROM ext WHERE i = 5 UNION ALL SELECT string_id, i, lce FROM ext WHERE j = 5) WHERE lce > 0"
+)
 def candidate_order(spark, folder):
-    return X.candidates(W.benchmark(spark, folder), 5).select("string_id", "j", "lce")
+    return X.candidates(W.benchmark(spark, folder), 5).select("string_id", "ord", "j", "lce")
 
 
 # One-sided and suffix-order parses
@@ -140,33 +196,33 @@ def _starts(phrases: DataFrame) -> DataFrame:
     return phrases.select("string_id", "start", "length", F.col("ref").isNull().alias("is_literal"))
 
 
-@query(O.starts(O.SHORT_BENCHMARK, "prev_len"))
+@query(O.starts(O.BENCHMARK, "prev_len"))
 def lz77_benchmark(spark, folder):
     return _starts(P.lz77_parse(W.benchmark(spark, folder)))
 
 
-@query(O.starts(O.SHORT_BENCHMARK, "next_len"))
+@query(O.starts(O.BENCHMARK, "next_len"))
 def lz_next_benchmark(spark, folder):
     return _starts(P.lz_next_parse(W.benchmark(spark, folder)))
 
 
-@query(O.starts(O.SHORT_BENCHMARK, "lcp"))
+@query(O.starts(O.BENCHMARK, "lcp"))
 def lex_benchmark(spark, folder):
     return _starts(P.lex_parse(W.benchmark(spark, folder)))
 
 
-@query(O.phrase_counts(O.SHORT_BENCHMARK, "prev_len"))
+@query(O.phrase_counts(O.BENCHMARK, "prev_len"))
 def lz_backward_benchmark(spark, folder):
     return M.phrase_counts(P.lz_backward_parse(W.benchmark(spark, folder))).select("string_id", "phrases")
 
 
-@query(O.starts(O.SHORT_BENCHMARK, "prev_len").replace(", CAST(greatest(size, 1) AS BIGINT) AS length, size = 0 AS is_literal", "").replace("pos AS start", "pos"))
+@query(O.starts(O.BENCHMARK, "prev_len").replace(", CAST(greatest(size, 1) AS BIGINT) AS length, size = 0 AS is_literal", "").replace("pos AS start", "pos"))
 def lz77_path_distributed(spark, folder):
     jumps = X.previous_factor(W.benchmark(spark, folder)).select("string_id", "pos", F.col("prev_len").alias("jump"))
     return path_members(jumps, block=16)
 
 
-@query("SELECT CAST(item_id AS VARCHAR) AS string_id, CAST(length(substr(text, 1, 64)) AS BIGINT) AS phrases FROM benchmark")
+@query("SELECT CAST(item_id AS VARCHAR) AS string_id, CAST(length(text) AS BIGINT) AS phrases FROM benchmark")
 def literal_benchmark(spark, folder):
     return M.phrase_counts(P.literal_parse(W.benchmark(spark, folder))).select("string_id", "phrases")
 
@@ -180,29 +236,53 @@ BENCHMARK_TRUTHS = "SELECT CAST(item_id AS VARCHAR) AS string_id, CAST(length(te
 
 @query(BENCHMARK_TRUTHS)
 def lcp_first_benchmark(spark, folder):
-    S = W.benchmark(spark, folder, None)
+    S = W.benchmark(spark, folder)
     return _decodes(S, P.lcp_first_parse(S))
 
 
 @query(BENCHMARK_TRUTHS)
 def bwt_run_benchmark(spark, folder):
-    S = W.benchmark(spark, folder, None)
+    S = W.benchmark(spark, folder)
     return _decodes(S, P.bwt_run_parse(S))
 
 
-@query("SELECT string_id, true AS smallest_within_all, true AS lex_within_largest_first, true AS lex_within_runs FROM (" + O.PART_NAMES + ") WHERE length(text) <= 10 AND CAST(string_id AS INT) <= 60")
+@query("SELECT string_id, true AS smallest_within_all, true AS lex_within_largest_first, true AS lex_within_runs FROM (" + O.PART_NAMES + ") WHERE length(text) <= 10")
 def smallest_part_names(spark, folder):
-    S = W.part_names(spark, folder).where("length(text) <= 10 and cast(string_id as int) <= 60")
+    S = W.part_names(spark, folder).where("length(text) <= 10")
     return M.relation_report(P.counts(S, ("smallest", "two_way", "lz77", "lex", "lcp_first"), ("forward",)), P.bwt_runs(S))
 
 
-@query("SELECT string_id, true AS decoded FROM (" + O.PART_NAMES + ") WHERE length(text) <= 10 AND CAST(string_id AS INT) <= 60")
+_SHORT_NAMES = f"SELECT * FROM ({O.PART_NAMES}) WHERE length(text) <= 10"
+#: Sizes of smallest attractors by trying all sets of positions as bit masks.
+_ATTRACTORS = f"""WITH t AS (SELECT DISTINCT text FROM ({_SHORT_NAMES})),
+occ AS (SELECT text, substr(text, CAST(i AS BIGINT), CAST(l AS BIGINT)) AS part, ((1 << CAST(l AS INT)) - 1) << CAST(i - 1 AS INT) AS bits
+        FROM t, unnest(range(1, length(text) + 1)) a(i), unnest(range(1, length(text) + 1)) b(l) WHERE i + l <= length(text) + 1),
+tried AS (SELECT text, m, part, bool_or(bits & CAST(m AS INT) <> 0) AS covered FROM occ, unnest(range(1, 1 << CAST(length(text) AS INT))) c(m) GROUP BY ALL),
+good AS (SELECT text, m FROM tried GROUP BY ALL HAVING bool_and(covered)),
+best AS (SELECT text, min(bit_count(CAST(m AS INT))) AS size FROM good GROUP BY 1)"""
+
+
+@query(f"{_ATTRACTORS} SELECT string_id, CAST(size AS BIGINT) AS size FROM ({_SHORT_NAMES}) JOIN best USING (text)")
+def attractor_sizes_part_names(spark, folder):
+    texts, keys = P.distinct_texts(W.part_names(spark, folder).where("length(text) <= 10"))
+    return keys.join(P.smallest_attractor(texts).withColumnRenamed("string_id", "key"), "key").groupBy("string_id").agg(F.count(F.lit(1)).alias("size"))
+
+
+@query(f"SELECT string_id, true AS is_attractor, false AS without_last, true AS decoded, true AS copies FROM ({_SHORT_NAMES})")
 def attractor_part_names(spark, folder):
-    S = W.part_names(spark, folder).where("length(text) <= 10 and cast(string_id as int) <= 60")
-    every = {str(k): set(range(1, 11)) for k in range(0, 61)}
-    trimmed = S.select("string_id", F.rpad("text", 10, "~").alias("text"))
-    found = R.decode(P.attractor_parse(trimmed, every)).withColumnRenamed("text", "again")
-    return trimmed.join(found, "string_id").select("string_id", (F.col("again") == F.col("text")).alias("decoded"))
+    """Parses grown around a smallest attractor: it is one, no smaller part of it is, the parse decodes and copies where a letter repeats."""
+    S = W.part_names(spark, folder).where("length(text) <= 10")
+    texts, keys = P.distinct_texts(S)
+    marks = materialize(P.smallest_attractor(texts), "attractors")
+    fewer = marks.withColumn("last", F.max("pos").over(Window.partitionBy("string_id"))).where("pos <> last").drop("last")
+    found = materialize(P.attractor_parse(texts, marks), "phrases")
+    again = R.decode(found).withColumnRenamed("text", "again")
+    checks = P.is_attractor(texts, marks).join(P.is_attractor(texts, fewer).withColumnRenamed("is_attractor", "without_last"), "string_id")
+    literals = M.phrase_counts(found).select("string_id", "literals")
+    rows = texts.join(again, "string_id").join(checks, "string_id").join(literals, "string_id")
+    letters = F.size(F.array_distinct(F.filter(F.split("text", ""), lambda c: c != "")))
+    rows = rows.select(F.col("string_id").alias("key"), "is_attractor", "without_last", (F.col("again") == F.col("text")).alias("decoded"), ((F.col("literals") < F.length("text")) | (letters == F.length("text"))).alias("copies"))
+    return keys.join(rows, "key").drop("key")
 
 
 # Two-way parse and its guarantees
@@ -214,6 +294,80 @@ def two_way_part_names(spark, folder):
     return _decodes(S, P.two_way_parse(S))
 
 
+
+
+def _ref() -> Column:
+    return F.coalesce("ref", F.lit(0)).cast("bigint").alias("ref")
+
+
+@query(O.two_way(O.PART_NAMES))
+def two_way_phrases_part_names(spark, folder):
+    """Every phrase, against trying all references and lengths; reference 0 is a literal."""
+    return P.two_way_parse(W.part_names(spark, folder), collapse=True).select("string_id", "start", "length", _ref())
+
+
+@query(O.two_way(O.CUSTOMER_STATUS))
+def two_way_phrases_orders(spark, folder):
+    """The same on the repetitive order histories of customers."""
+    return P.two_way_parse(W.status_by_customer(spark, folder)).select("string_id", "start", "length", _ref())
+
+
+@query(" UNION ALL ".join(f"SELECT '{tie}' AS tie, * FROM ({O.two_way(O.PART_NAMES, tie)})" for tie in O.TIE_SCORES))
+def two_way_ties_part_names(spark, folder):
+    S = W.part_names(spark, folder)
+    return reduce(DataFrame.unionByName, (P.two_way_parse(S, tie=tie).select(F.lit(tie).alias("tie"), "string_id", "start", "length", _ref()) for tie in O.TIE_SCORES))
+
+
+@query(
+    f"SELECT string_id, CAST(length(text) AS BIGINT) - start - length + 2 AS start, length, CASE WHEN ref > 0 THEN CAST(length(text) AS BIGINT) - ref - length + 2 ELSE 0 END AS ref "
+    f"FROM ({O.two_way(O.reversed_text(O.PART_NAMES))}) JOIN ({O.PART_NAMES}) USING (string_id)"
+)
+def two_way_reverse_part_names(spark, folder):
+    """Parses of the reversed strings, mapped back to the strings' own positions."""
+    return P.two_way_parse(W.part_names(spark, folder), direction="reverse").select("string_id", "start", "length", _ref())
+
+
+@query(O.table(O.PART_NAMES))
+def table_part_names(spark, folder):
+    """Best counts of both directions and ratios, against brute force."""
+    return M.table(P.counts(W.part_names(spark, folder)))
+
+
+@query(
+    f"SELECT string_id, method, phrases FROM (SELECT *, rank() OVER (PARTITION BY string_id ORDER BY phrases) AS place FROM (UNPIVOT (SELECT string_id, lz77, lex, two_way FROM ({O.table(O.PART_NAMES)})) ON lz77, lex, two_way INTO NAME method VALUE phrases)) WHERE place = 1"
+)
+def winners_part_names(spark, folder):
+    return M.winners(P.counts(W.part_names(spark, folder)))
+
+
+@query(
+    f"WITH p AS ({O.two_way(O.PART_NAMES)}) SELECT string_id, min(length) AS least, quantile_cont(length, 0.5) AS median, quantile_cont(length, 0.9) AS p90, max(length) AS most, round(avg(length), 6) AS mean, "
+    "count(*) FILTER (ref > 0 AND ref < start) AS left_refs, count(*) FILTER (ref > start) AS right_refs, count(*) FILTER (ref = 0) AS literals, count(*) FILTER (ref > 0 AND abs(ref - start) < length) AS overlapping FROM p GROUP BY 1"
+)
+def profile_part_names(spark, folder):
+    phrases = materialize(P.two_way_parse(W.part_names(spark, folder), collapse=True), "phrases")
+    return M.length_profile(phrases).join(M.side_mix(phrases), "string_id")
+
+
+@query(f"SELECT string_id, CAST(1 << CAST(floor(log2(length)) AS INT) AS BIGINT) AS at_least, count(*) AS phrases FROM ({O.starts(O.BENCHMARK, 'prev_len')}) GROUP BY ALL")
+def length_histogram_benchmark(spark, folder):
+    return M.length_histogram(P.lz77_parse(W.benchmark(spark, folder)))
+
+
+@query("SELECT CAST(item_id AS VARCHAR) AS string_id, CAST(k AS INT) AS most, true AS decoded, true AS within_right FROM benchmark, unnest([1, 2, 8]) t(k)")
+def truncated_benchmark(spark, folder):
+    """Streams cut short after a few candidates still give parses that decode and keep the right parse's bound."""
+    S = W.benchmark(spark, folder)
+    right = P.counts(S, ("lz_next",), ("forward",)).select("string_id", F.col("phrases").alias("bound"))
+
+    def cut(most: int) -> DataFrame:
+        phrases = materialize(P.two_way_parse(S, max_candidates=most), "phrases")
+        rows = _decodes(S, phrases).join(M.phrase_counts(phrases).select("string_id", "phrases"), "string_id").join(right, "string_id")
+        return rows.select("string_id", F.lit(most).alias("most"), "decoded", (F.col("phrases") <= F.col("bound")).alias("within_right"))
+
+    return reduce(DataFrame.unionByName, map(cut, (1, 2, 8)))
+
+
 @query("SELECT CAST(doc_id AS VARCHAR) AS string_id, CAST(length(text) AS BIGINT) AS n, true AS decoded FROM documents WHERE text <> ''")
 def two_way_roundtrip_documents(spark, folder):
     S = W.documents(spark, folder)
@@ -241,23 +395,25 @@ def identity_documents(spark, folder):
 
 @query("SELECT CAST(item_id AS VARCHAR) AS string_id, true AS valid, CAST(0 AS BIGINT) AS problems FROM benchmark")
 def validity_benchmark(spark, folder):
-    S = W.benchmark(spark, folder, None)
+    S = W.benchmark(spark, folder)
     phrases = materialize(P.two_way_parse(S), "phrases")
     bad = R.check_partition(phrases, S).groupBy("string_id").agg(F.count(F.lit(1)).alias("bad"))
     return R.is_valid(phrases).join(bad, "string_id", "left").select("string_id", "valid", F.coalesce("bad", F.lit(0)).cast("bigint").alias("problems"))
 
 
-@query("SELECT source AS string_id, true AS decoded, true AS within_bound FROM documents WHERE source IN ('src1', 'src2') GROUP BY 1")
+@query("SELECT source AS string_id, true AS decoded, true AS within_bound FROM documents WHERE text IS NOT NULL GROUP BY 1")
 def sharded_bound(spark, folder):
-    S = W.by_source(spark, folder).where("string_id in ('src1', 'src2')").select("string_id", F.substring("text", 1, 20000).alias("text"))
-    phrases = materialize(two_way_parse_sharded(S, 4000), "phrases")
-    right = P.counts(S, ("lz77",), ("reverse",)).select("string_id", F.col("phrases").alias("bound"), F.ceil(F.col("n") / 4000).alias("shards"))
+    """Every source's whole text in shards of 16 Ki characters: decodes, at most a phrase a boundary above the right parse."""
+    size = 1 << 14
+    S = materialize(P.balanced(W.by_source(spark, folder)), "strings")
+    phrases = materialize(two_way_parse_sharded(S, size), "phrases")
+    right = P.counts(S, ("lz77",), ("reverse",)).select("string_id", F.col("phrases").alias("bound"), F.ceil(F.col("n") / size).alias("shards"))
     sizes = M.phrase_counts(phrases).join(right, "string_id").select("string_id", (F.col("phrases") <= F.col("bound") + F.col("shards") - 1).alias("within_bound"))
     return _decodes(S, phrases).join(sizes, "string_id").select("string_id", "decoded", "within_bound")
 
 
 @query(
-    f"WITH a AS ({O.phrase_counts(O.SHORT_BENCHMARK, 'prev_len')}), b AS ({O.phrase_counts(O.SHORT_BENCHMARK, 'next_len')}) "
+    f"WITH a AS ({O.phrase_counts(O.BENCHMARK, 'prev_len')}), b AS ({O.phrase_counts(O.BENCHMARK, 'next_len')}) "
     "SELECT string_id, least(a.phrases, b.phrases) AS phrases FROM a JOIN b USING (string_id)"
 )
 def best_direction_benchmark(spark, folder):
@@ -266,7 +422,7 @@ def best_direction_benchmark(spark, folder):
 
 @query("SELECT rule, true AS decoded, count(*) AS strings FROM benchmark, unnest(['leftmost', 'nearest_left', 'nearest_right', 'rightmost', 'walk_lower', 'walk_upper']) t(rule) GROUP BY 1")
 def tie_rules_benchmark(spark, folder):
-    S = W.benchmark(spark, folder, None)
+    S = W.benchmark(spark, folder)
     parts = [_decodes(S, P.two_way_parse(S, tie=t)).agg(F.min("decoded").alias("decoded"), F.count(F.lit(1)).alias("strings")).select(F.lit(t).alias("rule"), "decoded", "strings") for t in ("leftmost", "nearest_left", "nearest_right", "rightmost", "walk_lower", "walk_upper")]
     out = parts[0]
     for part in parts[1:]:
@@ -274,19 +430,19 @@ def tie_rules_benchmark(spark, folder):
     return out
 
 
-@query("SELECT CAST(item_id AS VARCHAR) AS string_id, true AS same_as_exhaustive, true AS same_without_floor, true AS same_with_undo, true AS same_by_size, true AS left_is_lz77, true AS right_is_lz_next FROM benchmark")
+@query("SELECT CAST(item_id AS VARCHAR) AS string_id, true AS same_as_exhaustive, true AS same_without_floor, true AS same_with_undo, true AS same_by_size, true AS same_by_graph, true AS left_is_lz77, true AS right_is_lz_next FROM benchmark")
 def ablations_benchmark(spark, folder):
-    S = W.benchmark(spark, folder, None)
+    S = W.benchmark(spark, folder)
 
     def count(name: str, **options) -> DataFrame:
         return P.two_way_count(S, **options).select("string_id", F.col("phrases").alias(name))
 
     base = count("base")
-    for name, options in (("exhaustive", {"search": "exhaustive"}), ("plain", {"floor": False}), ("undo", {"overlay": False}), ("size", {"link": "by_size"}), ("left", {"sides": "left", "floor": False}), ("right", {"sides": "right"})):
+    for name, options in (("exhaustive", {"search": "exhaustive"}), ("plain", {"floor": False}), ("undo", {"overlay": False}), ("size", {"link": "by_size"}), ("graph", {"validity": "graph"}), ("left", {"sides": "left", "floor": False}), ("right", {"sides": "right"})):
         base = base.join(count(name, **options), "string_id")
     for method in ("lz77", "lz_next"):
         base = base.join(P.counts(S, (method,), ("forward",)).select("string_id", F.col("phrases").alias(method)), "string_id")
-    same = {"same_as_exhaustive": "exhaustive", "same_without_floor": "plain", "same_with_undo": "undo", "same_by_size": "size"}
+    same = {"same_as_exhaustive": "exhaustive", "same_without_floor": "plain", "same_with_undo": "undo", "same_by_size": "size", "same_by_graph": "graph"}
     return base.select("string_id", *((F.col("base") == F.col(c)).alias(n) for n, c in same.items()), (F.col("left") == F.col("lz77")).alias("left_is_lz77"), (F.col("right") == F.col("lz_next")).alias("right_is_lz_next"))
 
 
@@ -310,14 +466,24 @@ def _family(S: DataFrame, pairs: list[tuple[str, str]]) -> DataFrame:
     return wide.join(S.select("string_id", "k"), "string_id").drop("string_id")
 
 
-@query()
+_RUN_RICH = """WITH RECURSIVE p(k, a, b, c, d, e) AS (SELECT 5, 'b', 'a', 'ac', 'ba', 'cb' UNION ALL SELECT k + 1, b, c, d, e, c || d FROM p WHERE k < 14)
+SELECT 'rr' || k AS string_id, replace(replace(replace(replace(replace(replace(e, 'a', 'x'), 'b', 'y'), 'c', 'z'), 'x', '101001011001010010110100'), 'y', '1010010110100'), 'z', '10100101') AS text FROM p WHERE k >= 6"""
+
+
+@query(
+    f"SELECT string_id, CAST(length(text) AS BIGINT) AS n, least(a.phrases, b.phrases) AS lz77, least(c.phrases, d.phrases) AS lex, true AS two_way_within_lz77 FROM ({_RUN_RICH}) "
+    f"JOIN ({O.phrase_counts(_RUN_RICH, 'prev_len')}) a USING (string_id) JOIN ({O.phrase_counts(O.reversed_text(_RUN_RICH), 'prev_len')}) b USING (string_id) "
+    f"JOIN ({O.phrase_counts(_RUN_RICH, 'lcp')}) c USING (string_id) JOIN ({O.phrase_counts(O.reversed_text(_RUN_RICH), 'lcp')}) d USING (string_id)"
+)
 def w_runrich_counts(spark, folder):
-    return M.table(P.counts(generators.run_rich(spark, 6, 14).select("string_id", "text")))
+    wide = M.table(P.counts(generators.run_rich(spark, 6, 14).select("string_id", "text")))
+    return wide.select("string_id", "n", "lz77", "lex", (F.col("two_way") <= F.col("lz77")).alias("two_way_within_lz77"))
 
 
 @query()
 def w_mutated_counts(spark, folder):
-    return M.table(P.counts(W.mutated(spark, folder)))
+    """Counts of the three methods on mutated copies of five kinds of text, at every rate and of both kinds."""
+    return M.table(P.counts(P.balanced(W.mutated(spark, folder))))
 
 
 def _flags(S: DataFrame) -> DataFrame:
@@ -371,14 +537,19 @@ def w_lineitem_counts(spark, folder):
     return _exact_counts(W.flags_by_part(spark, folder))
 
 
-@query(_exact("SELECT string_id, substr(text, 1, 120) AS text FROM (" + O.DAY_EVENTS + ")"))
+@query(_exact(O.DAY_EVENTS))
 def w_event_days_counts(spark, folder):
-    return _exact_counts(W.events_by_day(spark, folder).withColumn("text", F.substring("text", 1, 120)))
+    return _exact_counts(W.events_by_day(spark, folder))
+
+
+_CHATS = "SELECT CAST(conv_id AS VARCHAR) AS string_id, string_agg(text, chr(10)) AS text FROM conversations WHERE text IS NOT NULL GROUP BY 1"
+_BASES = " UNION ALL ".join(f"SELECT '{kind}:' || string_id AS string_id, text FROM ({strings})" for kind, strings in (("passage", O.BENCHMARK), ("chat", _CHATS), ("day", O.DAY_EVENTS), ("orders", O.CUSTOMER_STATUS), ("flags", O.PART_FLAGS)))
+_MUTATED = f"SELECT string_id || '-' || kind || '-' || rate AS string_id, CAST({W.COPIES} * length(text) AS BIGINT) AS n FROM ({_BASES}), unnest([1, 2]) t(kind), unnest([{', '.join(f"'{r:.5f}'" for r in W.RATES)}]) u(rate)"
 
 
-@query("SELECT 'src9-' || kind || '-' || rate AS string_id, CAST(20000 AS BIGINT) AS n, true AS bound_holds, true AS best_holds FROM unnest([1, 2]) t(kind), unnest(['0.001', '0.01']) u(rate)")
+@query(f"SELECT string_id, n, true AS bound_holds, true AS best_holds FROM ({_MUTATED})")
 def w_mutated_bound(spark, folder):
-    return _flags(W.mutated(spark, folder))
+    return _flags(P.balanced(W.mutated(spark, folder)))
 
 
 def _groups(spark: SparkSession, folder: str) -> DataFrame:
@@ -401,10 +572,31 @@ def table_winners(spark, folder):
     return M.winners(P.counts(P.balanced(materialize(_groups(spark, folder), "groups"))))
 
 
+@query(
+    "SELECT 'source:' || source AS string_id, CAST(length(string_agg(text, chr(10))) AS BIGINT) AS n, true AS within_lz77, true AS ratio_as_reported FROM documents WHERE text IS NOT NULL GROUP BY 1"
+)
+def table_claims(spark, folder):
+    """On versioned prose the two-way parse beats the left parse of either direction by a few per cent, as reported."""
+    rows = M.table(P.counts(P.balanced(W.by_source(spark, folder)), ("lz77", "two_way")))
+    return rows.select(F.concat(F.lit("source:"), "string_id").alias("string_id"), "n", (F.col("two_way") <= F.col("lz77")).alias("within_lz77"), F.col("two_way_ratio").between(0.85, 0.99).alias("ratio_as_reported"))
+
+
 @query()
 def table_cost(spark, folder):
-    """Slowdown and memory factor against the left parse on the real groups."""
-    return M.factors(P.counts(P.balanced(W.by_source(spark, folder))))
+    """Seconds and measured peak bytes of each method on each source's text, and both factors against the left parse."""
+    return M.cost_table(P.counts(P.balanced(W.by_source(spark, folder)), directions=("forward",), memory=True))
+
+
+@query("SELECT count(DISTINCT source) AS strings, true AS within_four_times, true AS within_twice, true AS bytes_a_char FROM documents WHERE text IS NOT NULL")
+def cost_claims(spark, folder):
+    """All sources together: at most four times the left parse's time, at most twice its memory, at most 100 bytes a character."""
+    rows = M.cost_table(P.counts(P.balanced(W.by_source(spark, folder)), directions=("forward",), memory=True))
+    return rows.agg(
+        F.count(F.lit(1)).alias("strings"),
+        (F.sum("two_way_seconds") <= 4 * F.sum("lz77_seconds")).alias("within_four_times"),
+        (F.max("memory_factor") <= 2).alias("within_twice"),
+        (F.sum("two_way_bytes") <= 100 * F.sum("n")).alias("bytes_a_char"),
+    )
 
 
 @query()
@@ -412,13 +604,22 @@ def loop_counts(spark, folder):
     return M.trace_summary(P.two_way_trace(P.balanced(W.by_source(spark, folder))))
 
 
-@query()
+@query("SELECT source AS string_id, CAST(length(string_agg(text, chr(10))) AS BIGINT) AS n, true AS loops_far_below_n, true AS finds_within_bound, true AS covered_once FROM documents WHERE text IS NOT NULL GROUP BY 1")
+def loop_claims(spark, folder):
+    """Candidates of a phrase: on average far below n; finds within the work bound; each copied position merged once."""
+    rows = M.trace_summary(P.two_way_trace(P.balanced(W.by_source(spark, folder))))
+    return rows.select("string_id", "n", (F.col("candidates") / F.col("phrases") < F.col("n") / 100).alias("loops_far_below_n"), (F.col("finds") <= F.col("work_bound") + F.col("candidates")).alias("finds_within_bound"), (F.col("unions") <= F.col("n")).alias("covered_once"))
+
+
+@query("SELECT CAST(item_id AS VARCHAR) AS string_id, true AS depth_below_n, CAST(length(text) AS BIGINT) AS n FROM benchmark")
 def phrase_profile(spark, folder):
-    phrases = materialize(P.two_way_parse(W.benchmark(spark, folder, None)), "phrases")
-    return M.length_profile(phrases).join(M.side_mix(phrases), "string_id").join(M.reference_depth(phrases), "string_id")
+    """Depth of references and the phrases' lengths of whole passages: lengths add up, chains are shorter than the text."""
+    phrases = materialize(P.two_way_parse(W.benchmark(spark, folder)), "phrases")
+    sizes = M.phrase_counts(phrases).select("string_id", "n")
+    return M.length_profile(phrases).join(M.side_mix(phrases), "string_id").join(M.reference_depth(phrases), "string_id").join(sizes, "string_id").select("string_id", (F.col("depth") < F.col("n")).alias("depth_below_n"), "n")
 
 
 @query()
 def gap_part_names(spark, folder):
-    S = W.part_names(spark, folder).where("length(text) <= 10 and cast(string_id as int) <= 60")
+    S = W.part_names(spark, folder).where("length(text) <= 10")
     return M.gap_indicator(P.counts(S, ("smallest", "two_way", "lz77", "lex"), ("forward",)))

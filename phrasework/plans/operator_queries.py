@@ -20,8 +20,8 @@ from phrasework.shared import materialize, shared_dir
 from phrasework.sources import generators
 from phrasework.sources.files import read_binary_files, read_strings, read_whole_files
 
-LZ = O.starts(O.SHORT_BENCHMARK, "prev_len")
-NEXT = O.starts(O.SHORT_BENCHMARK, "next_len")
+LZ = O.starts(O.BENCHMARK, "prev_len")
+NEXT = O.starts(O.BENCHMARK, "next_len")
 
 
 def _lz(spark, folder) -> DataFrame:
@@ -84,21 +84,21 @@ def op_filter_predicates(spark, folder):
 
 @query("SELECT CAST(item_id AS VARCHAR) AS string_id, CAST(p AS BIGINT) AS pos, CAST(unicode(substr(text, p, 1)) AS INT) AS ch FROM benchmark, unnest(range(1, length(text) + 1)) t(p)")
 def op_chars(spark, folder):
-    return T.chars(W.benchmark(spark, folder, None))
+    return T.chars(W.benchmark(spark, folder))
 
 
 @query("SELECT CAST(item_id AS VARCHAR) AS string_id, string_agg(substr(text, p, 1), '' ORDER BY p DESC) AS text FROM benchmark, unnest(range(1, length(text) + 1)) t(p) GROUP BY 1")
 def op_reverse(spark, folder):
-    return T.reversed_strings(W.benchmark(spark, folder, None))
+    return T.reversed_strings(W.benchmark(spark, folder))
 
 
 @query(
-    "WITH p AS (SELECT DISTINCT substr(text, 1, 24) AS pattern FROM benchmark WHERE text <> ''), hit AS (SELECT CAST(doc_id AS VARCHAR) AS string_id, pattern, text FROM documents JOIN p ON contains(text, pattern)) "
-    "SELECT string_id, pattern, CAST(k AS BIGINT) AS pos FROM hit, unnest(range(1, length(text) - 22)) t(k) WHERE substr(text, k, 24) = pattern"
+    "WITH p AS (SELECT DISTINCT text AS pattern FROM benchmark WHERE text <> ''), hit AS (SELECT CAST(doc_id AS VARCHAR) AS string_id, pattern, text FROM documents JOIN p ON contains(text, pattern)) "
+    "SELECT string_id, pattern, CAST(k AS BIGINT) AS pos FROM hit, unnest(range(1, length(text) - length(pattern) + 2)) t(k) WHERE substr(text, k, length(pattern)) = pattern"
 )
 def op_occurrences(spark, folder):
-    patterns = W.table(spark, folder, "benchmark").select(F.substring("text", 1, 24).alias("pattern"))
-    return T.occurrences(W.documents(spark, folder), patterns)
+    """Every place of every whole passage in every whole document."""
+    return T.occurrences(W.documents(spark, folder), W.table(spark, folder, "benchmark").select(F.col("text").alias("pattern")))
 
 
 @query("SELECT item_id, lower(text) AS low, instr(text, 'the') AS place, translate(text, 'aeiou', 'AEIOU') AS vowels, lpad(CAST(item_id AS VARCHAR), 6, '0') AS padded, regexp_replace(text, '[aeiou]', '', 'g') AS bare, len(string_split(text, ' ')) AS words FROM benchmark")
@@ -108,14 +108,14 @@ def op_str_functions(spark, folder):
     )
 
 
-@query(f"WITH {O.factors(O.SHORT_BENCHMARK)} SELECT string_id, i, j, lce FROM ext WHERE i <= 4 AND j - i <= 8")
+@query(f"WITH {O.factors(O.BENCHMARK)} SELECT string_id, i, j, lce FROM ext WHERE i <= 4 AND j - i <= 8")
 def op_lcp_len(spark, folder):
     S = W.benchmark(spark, folder)
     pairs = S.select("string_id", F.explode(F.array(*(F.lit(x).cast("bigint") for x in (1, 2, 3, 4)))).alias("i"), F.length("text").alias("n")).withColumn("j", F.explode(F.sequence(F.col("i") + 1, F.least(F.col("i") + 8, F.col("n").cast("bigint"))))).select("string_id", "i", "j")
     return T.lce(S, pairs)
 
 
-@query(f"WITH {O.suffixes(O.SHORT_BENCHMARK)} SELECT string_id, rank, pos, coalesce(lag(pos) OVER (PARTITION BY string_id ORDER BY rank), 0) AS above FROM suf")
+@query(f"WITH {O.suffixes(O.BENCHMARK)} SELECT string_id, rank, pos, coalesce(lag(pos) OVER (PARTITION BY string_id ORDER BY rank), 0) AS above FROM suf")
 def op_win_lag(spark, folder):
     return X.suffix_table(W.benchmark(spark, folder)).withColumn("above", F.lag("pos", 1, 0).over(Window.partitionBy("string_id").orderBy("rank"))).select("string_id", "rank", "pos", "above")
 
@@ -157,7 +157,7 @@ def op_join_range(spark, folder):
 
 @query("SELECT CAST(item_id AS VARCHAR) AS string_id, CAST(q AS BIGINT) AS pos, substr(text, q, 1) AS ch FROM benchmark, unnest([1, 10, 33, 60]) t(q)")
 def op_char_at(spark, folder):
-    S = W.benchmark(spark, folder, None)
+    S = W.benchmark(spark, folder)
     asked = S.select("string_id", F.explode(F.array(*(F.lit(x).cast("bigint") for x in (1, 10, 33, 60)))).alias("pos"))
     return R.char_at(materialize(P.two_way_parse(S), "phrases"), asked)
 
@@ -204,7 +204,7 @@ def op_join_outer(spark, folder):
     return a.join(b, ["string_id", "start"], "full_outer").na.fill(0)
 
 
-@query("SELECT CAST(item_id AS VARCHAR) AS string_id, CAST(length(substr(text, 1, 64)) AS BIGINT) AS positions, true AS agree FROM benchmark")
+@query("SELECT CAST(item_id AS VARCHAR) AS string_id, CAST(length(text) AS BIGINT) AS positions, true AS agree FROM benchmark")
 def op_join_self(spark, folder):
     graph = materialize(R.reference_graph(P.two_way_parse(W.benchmark(spark, folder))), "graph")
     twice, by_hops = R.square(graph), R.follow(graph, 2)
@@ -253,7 +253,7 @@ def op_agg_grouping_sets(spark, folder):
     return _levels(W.table(spark, folder, "documents").groupingSets([[F.col("lang")], [F.col("source")], []], F.col("lang"), F.col("source")))
 
 
-@query(f"WITH a AS ({O.phrase_counts(O.SHORT_BENCHMARK, 'prev_len')}), c AS ({O.phrase_counts(O.SHORT_BENCHMARK, 'lcp')}) SELECT string_id, a.phrases AS lz77, c.phrases AS lex FROM a JOIN c USING (string_id)")
+@query(f"WITH a AS ({O.phrase_counts(O.BENCHMARK, 'prev_len')}), c AS ({O.phrase_counts(O.BENCHMARK, 'lcp')}) SELECT string_id, a.phrases AS lz77, c.phrases AS lex FROM a JOIN c USING (string_id)")
 def op_agg_pivot(spark, folder):
     return P.counts(W.benchmark(spark, folder), ("lz77", "lex"), ("forward",)).groupBy("string_id").pivot("method", ["lz77", "lex"]).agg(F.first("phrases"))
 
@@ -276,7 +276,7 @@ def op_agg_conditional(spark, folder):
 # Windows, order, sets
 
 
-@query(f"WITH a AS ({O.phrase_counts(O.SHORT_BENCHMARK, 'prev_len')}), c AS ({O.phrase_counts(O.SHORT_BENCHMARK, 'lcp')}), u AS (SELECT string_id, 'lz77' AS method, phrases FROM a UNION ALL SELECT string_id, 'lex', phrases FROM c) SELECT *, CAST(rank() OVER (PARTITION BY string_id ORDER BY phrases) AS INT) AS place FROM u")
+@query(f"WITH a AS ({O.phrase_counts(O.BENCHMARK, 'prev_len')}), c AS ({O.phrase_counts(O.BENCHMARK, 'lcp')}), u AS (SELECT string_id, 'lz77' AS method, phrases FROM a UNION ALL SELECT string_id, 'lex', phrases FROM c) SELECT *, CAST(rank() OVER (PARTITION BY string_id ORDER BY phrases) AS INT) AS place FROM u")
 def op_win_rank(spark, folder):
     w = Window.partitionBy("string_id").orderBy("phrases")
     return P.counts(W.benchmark(spark, folder), ("lz77", "lex"), ("forward",)).select("string_id", "method", "phrases", F.rank().over(w).alias("place"))
@@ -362,7 +362,7 @@ def op_array_functions(spark, folder):
     return g.select("user_id", F.array_join(F.array_sort(F.array_distinct("a")), ",").alias("kinds"), F.array_join(F.slice("a", 1, 3), ",").alias("first_three"), F.size(F.filter("a", lambda x: x == "click")).alias("clicks"))
 
 
-@query(f"WITH a AS ({O.phrase_counts(O.SHORT_BENCHMARK, 'prev_len')}), c AS ({O.phrase_counts(O.SHORT_BENCHMARK, 'lcp')}) SELECT string_id, a.phrases AS lz77, CAST(2 AS INT) AS entries, c.phrases AS lex FROM a JOIN c USING (string_id)")
+@query(f"WITH a AS ({O.phrase_counts(O.BENCHMARK, 'prev_len')}), c AS ({O.phrase_counts(O.BENCHMARK, 'lcp')}) SELECT string_id, a.phrases AS lz77, CAST(2 AS INT) AS entries, c.phrases AS lex FROM a JOIN c USING (string_id)")
 def op_map_functions(spark, folder):
     counted = P.counts(W.benchmark(spark, folder), ("lz77", "lex"), ("forward",))
     bags = counted.groupBy("string_id").agg(F.map_from_entries(F.collect_list(F.struct("method", "phrases"))).alias("m"))
@@ -382,7 +382,7 @@ def op_interval_arith(spark, folder):
     return rows.groupBy("user_id").agg(F.count_if(F.coalesce("new", F.lit(True))).alias("sessions"))
 
 
-@query(f"SELECT * FROM ({O.phrase_counts(O.SHORT_BENCHMARK, 'prev_len')})")
+@query(f"SELECT * FROM ({O.phrase_counts(O.BENCHMARK, 'prev_len')})")
 def op_recursive_walk(spark, folder):
     materialize(X.previous_factor(W.benchmark(spark, folder)), "factors").createOrReplaceTempView("walk_factors")
     return spark.sql(
@@ -398,7 +398,7 @@ def op_subquery_correlated(spark, folder):
     return spark.sql("SELECT doc_id FROM sized_documents d WHERE n_chars > (SELECT avg(n_chars) FROM sized_documents e WHERE e.source = d.source)")
 
 
-@query(f"SELECT * FROM ({O.phrase_counts(O.SHORT_BENCHMARK, 'prev_len')})")
+@query(f"SELECT * FROM ({O.phrase_counts(O.BENCHMARK, 'prev_len')})")
 def op_udf_count(spark, folder):
     from phrasework.functions.register import lz77_count
 
@@ -446,12 +446,10 @@ def op_generators(spark, folder):
 
 
 @query(
-    "WITH b AS (SELECT substr(string_agg(text, chr(10) ORDER BY doc_id), 1, 500) AS text FROM documents WHERE source = 'src9' AND text IS NOT NULL), "
-    "g AS (SELECT c, p, length(text) AS n, substr(text, CAST(p AS BIGINT), 1) AS own, text, (c * 7919 + p * 104729 + 12345) * 31 % 1000003 AS h FROM b, unnest(range(0, 5)) t(c), unnest(range(1, length(text) + 1)) u(p)), "
-    "m AS (SELECT c, p, own, CASE WHEN c > 0 AND h * 1000000 < 0.01 * 1000000 * 1000003 THEN substr(text, CAST(h * 131 % n + 1 AS BIGINT), 1) WHEN c = 0 THEN own END AS new FROM g), "
-    "k AS (SELECT 1 AS kind, c, p, coalesce(new, own) AS letter FROM m UNION ALL SELECT 2, c, p, last_value(new IGNORE NULLS) OVER (PARTITION BY p ORDER BY c) FROM m) "
-    "SELECT CAST(kind AS INT) AS kind, string_agg(letter, '' ORDER BY c, p) AS text FROM k GROUP BY 1"
+    "WITH g AS (SELECT item_id, c, p, length(text) AS n, substr(text, CAST(p AS BIGINT), 1) AS own, text, (c * 7919 + p * 104729 + 12345) * 31 % 1000003 AS h FROM benchmark, unnest(range(0, 5)) t(c), unnest(range(1, length(text) + 1)) u(p)), "
+    "m AS (SELECT item_id, c, p, own, CASE WHEN c > 0 AND h * 1000000 < 0.01 * 1000000 * 1000003 THEN substr(text, CAST(h * 131 % n + 1 AS BIGINT), 1) WHEN c = 0 THEN own END AS new FROM g), "
+    "k AS (SELECT item_id, 1 AS kind, c, p, coalesce(new, own) AS letter FROM m UNION ALL SELECT item_id, 2, c, p, last_value(new IGNORE NULLS) OVER (PARTITION BY item_id, p ORDER BY c) FROM m) "
+    "SELECT CAST(item_id AS VARCHAR) AS string_id, CAST(kind AS INT) AS kind, string_agg(letter, '' ORDER BY c, p) AS text FROM k GROUP BY ALL"
 )
 def op_mutated_text(spark, folder):
-    base = W.by_source(spark, folder).where("string_id = 'src9'")
-    return generators.mutated_copies(base, 5, [0.01], length=500).select("kind", "text")
+    return generators.mutated_copies(W.benchmark(spark, folder), 5, [0.01]).select("string_id", "kind", "text")

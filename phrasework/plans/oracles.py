@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-SHORT_BENCHMARK = "SELECT CAST(item_id AS VARCHAR) AS string_id, substr(text, 1, 64) AS text FROM benchmark"
+BENCHMARK = "SELECT CAST(item_id AS VARCHAR) AS string_id, text FROM benchmark"
 PART_NAMES = "SELECT CAST(p_partkey AS VARCHAR) AS string_id, p_name AS text FROM part"
 CUSTOMER_STATUS = "SELECT CAST(o_custkey AS VARCHAR) AS string_id, string_agg(o_orderstatus, '' ORDER BY o_orderdate, o_orderkey) AS text FROM orders GROUP BY 1"
 USER_EVENTS = (
@@ -68,3 +68,54 @@ def phrase_counts(strings: str, jump: str) -> str:
 def truths(source: str, key: str, text: str, flags: list[str]) -> str:
     """(string_id, n, flags all true) for every row of a table."""
     return f"SELECT CAST({key} AS VARCHAR) AS string_id, CAST(length({text}) AS BIGINT) AS n, {', '.join(f'true AS {f}' for f in flags)} FROM {source}"
+
+
+#: Which of the references with one extension and one LCE a tie rule takes, as a number to be maximised.
+TIE_SCORES = {"rightmost": "j", "leftmost": "-j", "nearest_right": "CAST(j > i AS INT) - 2 * abs(j - i)", "nearest_left": "CAST(j < i AS INT) - 2 * abs(j - i)"}
+
+
+def two_way(strings: str, tie: str = "rightmost") -> str:
+    """Phrases (string_id, start, length, ref or 0) of the two-way parse of strings of a few dozen characters, by trying all.
+
+    At each step every reference and every length is tried, and a copy counts only if all positions
+    end in a literal once the rest is filled up with literals: references are followed as many
+    times as the string has characters. Independent of the kernels: no suffix order, no classes.
+    """
+    return f"""WITH RECURSIVE s AS ({strings}),
+w(string_id, text, n, i, refs, size, ref) AS (
+  SELECT string_id, text, CAST(length(text) AS INT), 1, list_transform(range(length(text)), lambda x: CAST(0 AS INT)), 0, 0 FROM s WHERE text <> ''
+  UNION ALL
+  SELECT string_id, text, n, i + greatest(best, 1), list_transform(refs, lambda r, p: CASE WHEN p >= i AND p < i + best THEN j + p - i ELSE r END), best, CASE WHEN best > 0 THEN j ELSE 0 END
+  FROM (
+    SELECT string_id, any_value(text) AS text, any_value(n) AS n, any_value(i) AS i, any_value(refs) AS refs, max(ext) AS best, arg_max(j, ext * 100000000 + lce * 10000 + {TIE_SCORES[tie]}) AS j
+    FROM (
+      SELECT string_id, text, n, i, refs, j, max(l) AS lce,
+             max(CASE WHEN list_sum(list_reduce(list_prepend(tried, list_transform(range(n), lambda z: tried)), lambda a, b: list_transform(a, lambda x: CASE WHEN x = 0 THEN 0 ELSE tried[x] END))) = 0 THEN l ELSE 0 END) AS ext
+      FROM (
+        SELECT *, list_transform(refs, lambda r, p: CASE WHEN p >= i AND p < i + l THEN j + p - i ELSE r END) AS tried
+        FROM (
+          SELECT w.string_id, w.text, w.n, w.i, w.refs, CAST(t.j AS INT) AS j, CAST(u.l AS INT) AS l
+          FROM w, unnest(range(1, n + 1)) t(j), unnest(range(0, n + 1)) u(l)
+          WHERE w.i <= w.n AND (t.j <> w.i OR u.l = 0) AND greatest(t.j, w.i) + u.l <= n + 1 AND substr(text, w.i, u.l) = substr(text, t.j, u.l)
+        )
+      ) GROUP BY ALL
+    ) GROUP BY string_id
+  )
+)
+SELECT string_id, CAST(i - greatest(size, 1) AS BIGINT) AS start, CAST(greatest(size, 1) AS BIGINT) AS length, CAST(ref AS BIGINT) AS ref FROM w WHERE i > 1"""
+
+
+def reversed_text(strings: str) -> str:
+    return f"SELECT string_id, reverse(text) AS text FROM ({strings})"
+
+
+def table(strings: str) -> str:
+    """Best counts of three methods over both directions, and ratios to the left parse, all by brute force."""
+    parts = []
+    for name, query in (("lz77", lambda s: phrase_counts(s, "prev_len")), ("lex", lambda s: phrase_counts(s, "lcp")), ("two_way", lambda s: f"SELECT string_id, count(*) AS phrases FROM ({two_way(s)}) GROUP BY 1")):
+        parts += [f"{name}_f AS ({query(strings)})", f"{name}_r AS ({query(reversed_text(strings))})"]
+    best = {m: f"least({m}_f.phrases, {m}_r.phrases)" for m in ("lz77", "lex", "two_way")}
+    joins = " ".join(f"JOIN {m}_{d} USING (string_id)" for m in best for d in "fr" if (m, d) != ("lz77", "f"))
+    columns = ", ".join(f"{v} AS {m}" for m, v in best.items())
+    ratios = ", ".join(f"round({best[m]} / {best['lz77']}, 6) AS {m}_ratio" for m in ("lex", "two_way"))
+    return f"WITH {', '.join(parts)}, t AS ({strings}) SELECT string_id, CAST(length(t.text) AS BIGINT) AS n, {columns}, {ratios} FROM lz77_f {joins} JOIN t USING (string_id)"

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -9,17 +11,12 @@ from phrasework.operators.strings import collection, strings
 from phrasework.sources import generators
 from phrasework.streaming.windows import symbol
 
-#: Characters of benchmark texts where a quadratic oracle must keep up.
-SHORT = 64
-
-
 def table(spark: SparkSession, folder: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{folder}/{name}.parquet")
 
 
-def benchmark(spark: SparkSession, folder: str, length: int | None = SHORT) -> DataFrame:
-    rows = table(spark, folder, "benchmark")
-    return strings(rows.withColumn("text", F.substring("text", 1, length)) if length else rows, "item_id")
+def benchmark(spark: SparkSession, folder: str) -> DataFrame:
+    return strings(table(spark, folder, "benchmark"), "item_id")
 
 
 def documents(spark: SparkSession, folder: str) -> DataFrame:
@@ -68,11 +65,21 @@ def part_names(spark: SparkSession, folder: str) -> DataFrame:
     return strings(table(spark, folder, "part"), "p_partkey", "p_name")
 
 
-def mutated(spark: SparkSession, folder: str, copies: int = 20, length: int = 1000, rates: tuple[float, ...] = (0.001, 0.01)) -> DataFrame:
-    """Both kinds of mutated copies of one source's text."""
-    base = by_source(spark, folder).where("string_id = 'src9'")
-    made = generators.mutated_copies(base, copies, list(rates), length=length)
-    return made.select(F.concat_ws("-", "string_id", "kind", F.col("rate").cast("string")).alias("string_id"), "text")
+#: Copies of a base string, and rates at which characters change, in the mutated workloads.
+COPIES, RATES = 4, (0.00001, 0.0001, 0.001, 0.01)
+
+
+def bases(spark: SparkSession, folder: str) -> DataFrame:
+    """Strings of five kinds of text, whole: prose passages, chats, event days, order histories, return flags."""
+    kinds = {"passage": benchmark, "chat": conversations, "day": events_by_day, "orders": status_by_customer, "flags": flags_by_part}
+    parts = [make(spark, folder).select(F.concat(F.lit(f"{kind}:"), "string_id").alias("string_id"), "text") for kind, make in kinds.items()]
+    return reduce(DataFrame.unionByName, parts)
+
+
+def mutated(spark: SparkSession, folder: str, copies: int = COPIES, rates: tuple[float, ...] = RATES) -> DataFrame:
+    """Both kinds of mutated copies, at all rates, of every base string."""
+    made = generators.mutated_copies(bases(spark, folder), copies, list(rates))
+    return made.select(F.concat_ws("-", "string_id", "kind", F.format_string("%.5f", "rate")).alias("string_id"), "text")
 
 
 def families(spark: SparkSession) -> DataFrame:

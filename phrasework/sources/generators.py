@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 # A published expansion of three letters into two; first words of the run-rich family.
 EXPANSION = {"a": "101001011001010010110100", "b": "1010010110100", "c": "10100101"}
@@ -40,24 +43,33 @@ def run_rich(spark: SparkSession, low: int = 6, high: int = 14) -> DataFrame:
     return _orders(spark, low, high).select(F.concat(F.lit("rr"), "k").alias("string_id"), "k", text.alias("text"))
 
 
-def mutated_copies(base: DataFrame, copies: int, rates: list[float], kinds: tuple[int, ...] = (1, 2), length: int = 3000) -> DataFrame:
-    """Copies of each base string's first ``length`` characters with characters replaced at a rate.
+def _mutate(letters: np.ndarray, copies: int, kind: int, rate: float) -> np.ndarray:
+    n = len(letters)
+    at, own, out = np.arange(1, n + 1, dtype=np.int64), letters, [letters]
+    for c in range(1, copies):
+        h = (c * HASH_COPY + at * HASH_POS + HASH_ADD) * 31 % HASH_MOD
+        before = letters if kind == 1 else own
+        own = np.where(h * RATE_SCALE < rate * RATE_SCALE * HASH_MOD, letters[h * 131 % n], before)
+        out.append(own)
+    return np.concatenate(out[:copies])
+
+
+def mutated_copies(base: DataFrame, copies: int, rates: list[float], kinds: tuple[int, ...] = (1, 2)) -> DataFrame:
+    """Copies of each base string, one after the other, with characters replaced at a rate.
 
     (string_id, kind, rate, text); copy 0 is the base itself. Kind 1 mutates the base each time,
     kind 2 the copy before. Which characters change, and into which of the base's characters, is
-    whole-number arithmetic on copy and position.
+    whole-number arithmetic on copy and position. Null texts give no rows, empty ones empty texts.
     """
-    spark = base.sparkSession
-    settings = spark.createDataFrame([(k, float(r)) for k in kinds for r in rates], "kind int, rate double")
-    cut = base.select("string_id", F.filter(F.split(F.substring("text", 1, length), ""), lambda c: c != "").alias("letters"))
-    rows = cut.join(F.broadcast(settings)).withColumn("p", F.explode(F.sequence(F.lit(1), F.size("letters")))).withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))
-    h = (F.col("c").cast("bigint") * HASH_COPY + F.col("p").cast("bigint") * HASH_POS + HASH_ADD) * 31 % HASH_MOD
-    hit = (F.col("c") > 0) & (h * RATE_SCALE < F.col("rate") * RATE_SCALE * HASH_MOD)
-    other = F.element_at("letters", (h * 131 % F.size("letters") + 1).cast("int"))
-    own = F.element_at("letters", F.col("p"))
-    changed = rows.withColumn("new", F.when(hit, other).when(F.col("c") == 0, own)).withColumn("own", own)
-    before = Window.partitionBy("string_id", "kind", "rate", "p").orderBy("c").rowsBetween(Window.unboundedPreceding, 0)
-    letter = F.when(F.col("kind") == 1, F.coalesce("new", "own")).otherwise(F.last("new", ignorenulls=True).over(before))
-    done = changed.withColumn("letter", letter)
-    text = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("c", "p", "letter"))), lambda x: x["letter"]), "")
-    return done.groupBy("string_id", "kind", "rate").agg(text.alias("text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                if text is None:
+                    continue
+                letters = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), "<u4")
+                for kind in kinds:
+                    made = [(_mutate(letters, copies, kind, r) if len(letters) else letters).tobytes().decode("utf-32-le", "surrogatepass") for r in rates]
+                    yield pa.RecordBatch.from_arrays([pa.array([key] * len(rates)), pa.array([kind] * len(rates), pa.int32()), pa.array(rates, pa.float64()), pa.array(made, pa.string())], names=["string_id", "kind", "rate", "text"])
+
+    return base.select("string_id", "text").mapInArrow(run, "string_id string, kind int, rate double, text string")
