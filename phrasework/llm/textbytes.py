@@ -75,11 +75,12 @@ class Words:
         keep[1:] |= ~space[:-1] & ~first[1:-1]
         if len(keep):
             keep[0] = not space[0]
-        moved = np.zeros(len(raw) + 1, np.int64)
-        np.cumsum(keep, out=moved[1:])
+        moved = np.zeros(len(raw) + 1, np.int32 if len(raw) < 1 << 31 else np.int64)
+        np.cumsum(keep, out=moved[1:], dtype=moved.dtype)
         text = raw[keep]
         self.text = (LOWER[TO_SPACE] if lower else TO_SPACE)[text]
-        self.starts, self.ends = moved[starts], moved[ends]
+        #: Where the words stand in ``text``, and where they begin in the bytes given.
+        self.starts, self.ends, self.given = moved[starts].astype(np.int64), moved[ends].astype(np.int64), starts
 
     def __len__(self) -> int:
         return len(self.starts)
@@ -88,6 +89,14 @@ class Words:
     def counts(self) -> np.ndarray:
         return np.diff(self.rows)
 
+    def part(self, first: int, last: int) -> "Words":
+        """Words ``first`` to ``last`` as one row of their own."""
+        out = Words.__new__(Words)
+        base, end = (self.starts[first], self.ends[last - 1]) if last > first else (0, 0)
+        out.text, out.starts, out.ends = self.text[base:end], self.starts[first:last] - base, self.ends[first:last] - base
+        out.rows, out.given = np.array([0, last - first]), self.given[first:last]
+        return out
+
     def padded(self) -> np.ndarray:
         """All eight-byte groups of the text, one starting at each byte."""
         buffer = np.zeros(len(self.text) + 8, np.uint8)

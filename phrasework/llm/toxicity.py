@@ -34,6 +34,8 @@ EPOCHS, RATE, DECAY = 20, 1.0, 2e-6
 #: Words that one row of a block scan has.
 BLOCK = 128
 THRESHOLD = 0.7
+#: Words that the chain's matrices are held of at a time.
+SEGMENT = 1 << 18
 MASK = (1 << 64) - 1
 
 
@@ -83,8 +85,8 @@ def _times(a, b):
     return c / c.sum(axis=(0, 1))
 
 
-def chain_messages(steps: np.ndarray, block: int = BLOCK) -> np.ndarray:
-    """Normalised row vectors after each step of a chain of 2x2 matrices (2, 2, n), from (1, 0)."""
+def chain_messages(steps: np.ndarray, block: int = BLOCK, start: tuple[float, float] = (1.0, 0.0)) -> np.ndarray:
+    """Normalised row vectors after each step of a chain of 2x2 matrices (2, 2, n), from ``start``."""
     n = steps.shape[2]
     rows = max(1, -(-n // block))
     padded = np.zeros((2, 2, rows * block))
@@ -95,7 +97,7 @@ def chain_messages(steps: np.ndarray, block: int = BLOCK) -> np.ndarray:
     for c in range(1, block):
         whole = _times(whole, columns[c])
     starts = np.zeros((2, rows))
-    v0, v1 = 1.0, 0.0
+    v0, v1 = start
     w00, w01, w10, w11 = (whole[i, j].tolist() for i in (0, 1) for j in (0, 1))
     for r in range(rows):
         starts[0, r], starts[1, r] = v0, v1
@@ -140,6 +142,34 @@ class Field:
         both = ahead * back
         return both[1] / (both[0] + both[1]), m, ahead, back
 
+    def toxic_chances(self, words: Words) -> np.ndarray:
+        """P(toxic) of each word of a batch of rows.
+
+        More words than a segment has, a very long text's for instance, go segment by segment: forward keeping
+        the vector at each border, then backward once more through each, so memory is a segment's.
+        """
+        n = len(words)
+        opens = words.rows[:-1][words.counts > 0]
+        if n <= SEGMENT:
+            return self.marginals(self.emission(word_features(words)), opens)[0] if n else np.zeros(0)
+        cuts = [(k, min(k + SEGMENT, n)) for k in range(0, n, SEGMENT)]
+
+        def steps(a: int, b: int) -> np.ndarray:
+            return self.steps(self.emission(word_features(words.part(a, b))), opens[(opens >= a) & (opens < b)] - a)
+
+        borders = [(1.0, 0.0)]
+        for a, b in cuts[:-1]:
+            borders.append(tuple(chain_messages(steps(a, b), start=borders[-1])[:, -1]))
+        out, after = np.empty(n), (0.5, 0.5)
+        for (a, b), before in zip(reversed(cuts), reversed(borders)):
+            m = steps(a, b)
+            flipped = np.ascontiguousarray(m[:, :, ::-1].transpose(1, 0, 2))
+            back = np.concatenate([np.array(after)[:, None], chain_messages(flipped, start=after)], axis=1)
+            both = chain_messages(m, start=before) * back[:, -2::-1]
+            out[a:b] = both[1] / (both[0] + both[1])
+            after = tuple(back[:, -1])
+        return out
+
     def emission(self, features: np.ndarray) -> np.ndarray:
         out = self.weights[features[0]].copy()
         for f in features[1:]:
@@ -307,7 +337,7 @@ def score_texts(docs: DataFrame, field: Field, id_col: str = "doc_id", text_col:
     """(id, score, toxic_words, spans) of each whole text.
 
     ``spans`` are the words with a marginal of ``span_at`` or more, as byte offsets into the
-    text's words joined by one space. Null and empty texts have no words and the lowest score
+    text itself, in UTF-8. Null and empty texts have no words and the lowest score
     there is; null ids and repeated rows stay; an empty table gives no rows.
     """
     model = docs.sparkSession.sparkContext.broadcast(field)
@@ -316,14 +346,14 @@ def score_texts(docs: DataFrame, field: Field, id_col: str = "doc_id", text_col:
         field = model.value
         for whole in batches:
             for batch in slices(whole):
-                words = Words(*utf8(batch.column("text")))
-                opens = words.rows[:-1][words.counts > 0]
-                p = field.marginals(field.emission(word_features(words)), opens)[0] if len(words) else np.zeros(0)
+                raw, at = utf8(batch.column("text"))
+                words = Words(raw, at)
+                p = field.toxic_chances(words)
                 largest, total = document_sums(p, words.rows)
                 hit = np.flatnonzero(p >= span_at)
                 owner = np.searchsorted(words.rows, hit, "right") - 1
-                base = words.starts[words.rows[owner]]
-                struct = pa.StructArray.from_arrays([pa.array((words.starts[hit] - base).astype(np.int32)), pa.array((words.ends[hit] - base).astype(np.int32)), pa.array(p[hit])], names=["start", "end", "p"])
+                begin = words.given[hit] - at[owner]
+                struct = pa.StructArray.from_arrays([pa.array(begin.astype(np.int32)), pa.array((begin + words.ends[hit] - words.starts[hit]).astype(np.int32)), pa.array(p[hit])], names=["start", "end", "p"])
                 spans = pa.ListArray.from_arrays(pa.array(np.searchsorted(hit, words.rows).astype(np.int32)), struct)
                 yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(field.score(largest, total)), pa.array(total), spans], names=["id", "score", "toxic_words", "spans"])
 
@@ -331,7 +361,11 @@ def score_texts(docs: DataFrame, field: Field, id_col: str = "doc_id", text_col:
 
 
 def keep_clean(docs: DataFrame, field: Field, threshold: float = THRESHOLD, text_col: str = "text") -> DataFrame:
-    """``docs`` without rows whose text scores ``threshold`` or more; columns as before."""
+    """``docs`` without rows whose text scores ``threshold`` or more; columns as before.
+
+    Null and empty texts have the lowest score there is and stay, as do null ids and repeated rows that
+    score below the threshold; equal texts score alike. An empty table gives no rows.
+    """
     model = docs.sparkSession.sparkContext.broadcast(field)
     at = docs.columns.index(text_col)
 
@@ -340,8 +374,7 @@ def keep_clean(docs: DataFrame, field: Field, threshold: float = THRESHOLD, text
         for whole in batches:
             for batch in slices(whole, at):
                 words = Words(*utf8(batch.column(at)))
-                opens = words.rows[:-1][words.counts > 0]
-                p = field.marginals(field.emission(word_features(words)), opens)[0] if len(words) else np.zeros(0)
+                p = field.toxic_chances(words)
                 yield batch.filter(pa.array(field.score(*document_sums(p, words.rows)) < threshold))
 
     return docs.mapInArrow(run, docs.schema)
