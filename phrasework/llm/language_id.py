@@ -9,6 +9,7 @@ batch are scored once, all languages side by side.
 
 from __future__ import annotations
 
+import re
 import unicodedata
 from collections import Counter
 from collections.abc import Iterator
@@ -32,6 +33,11 @@ UNDETERMINED = "und"
 REMEMBERED = 100_000
 BASE = 0x9E3779B97F4A7C15
 FILTER_BITS = 22
+#: Letters that are scored as one word; a longer unbroken run counts as words of this length, one after the other.
+RUN = 64
+#: Bytes up to which a word's scores are remembered, and cells of a lattice that are worked on at a time.
+REMEMBERED_BYTES, LATTICE_CELLS = 64, 1 << 19
+_SPACES = re.compile(r"[\x20\x09-\x0D]+")
 
 
 def default_path() -> str:
@@ -56,6 +62,11 @@ def letters_of(word: str) -> str:
     return word if word.isalpha() else "".join(c for c in word if c.isalpha())
 
 
+def pieces_of_run(letters: str) -> list[str]:
+    """A word's letters in stretches of at most ``RUN``."""
+    return [letters[k : k + RUN] for k in range(0, len(letters), RUN)] if len(letters) > RUN else [letters]
+
+
 def _powers(n: int, base: int) -> np.ndarray:
     out = np.full(n, base, U64)
     out[0] = 1
@@ -125,12 +136,19 @@ class Lattice:
 def word_scores(lattice: Lattice, chances: np.ndarray, words: list[str]) -> np.ndarray:
     """Log-likelihood of each word, a column a language: forward sums over segmentations.
 
-    Words of like length go together; a running scale keeps long words from vanishing.
+    Words of like length go together, as many as a lattice of bounded size takes; a running scale keeps long words from vanishing.
     """
     out = np.zeros((len(words), chances.shape[1]))
-    order = np.argsort([len(w) for w in words], kind="stable")
-    for k in range(0, len(words), 1 << 13):
-        part = order[k : k + (1 << 13)]
+    sizes = np.array([len(w) for w in words])
+    order = np.argsort(sizes, kind="stable")
+    groups, k = [], 0
+    while k < len(order):
+        step = 1 << 13
+        while step > 1 and step * (int(sizes[order[min(k + step, len(order)) - 1]]) + 1) > LATTICE_CELLS:
+            step //= 2
+        groups.append(order[k : k + step])
+        k += step
+    for part in groups:
         own = [words[i] for i in part]
         ring: dict[int, np.ndarray] = {0: np.ones((len(own), chances.shape[1]))}
         scale = np.zeros(out[part].shape)
@@ -156,7 +174,7 @@ def fit_pieces(lattice: Lattice, counts: list[Counter], rounds: int = ROUNDS) ->
     """Piece probabilities (pieces + unknown, languages) by expectation-maximisation on word counts."""
     chances = np.ones((lattice.unknown + 1, len(counts)))
     for column, count in enumerate(counts):
-        words = sorted(w for w in count if len(w) <= 24)
+        words = sorted(count)
         if not words:
             chances[:, column] = 1 / (lattice.unknown + 1)
             continue
@@ -201,11 +219,13 @@ def _lattice(path: str) -> Lattice:
 
 
 def word_counts(texts: list[str]) -> Counter:
-    count = Counter(w for text in texts for w in text.split())
+    """How often each word, or stretch of a long run, occurs; words end at ASCII white space, as in scoring."""
+    count = Counter(w for text in texts for w in _SPACES.split(text))
     out: Counter = Counter()
     for word, n in count.items():
         if letters := letters_of(word):
-            out[letters] += n
+            for piece in pieces_of_run(letters):
+                out[piece] += n
     return out
 
 
@@ -248,6 +268,30 @@ class WordMemory:
         self.old_row, self.old_table = {}, np.zeros((0, kinds))
 
     def scores(self, model: Model, distinct: list[bytes]) -> np.ndarray:
+        """One row a word; words too long to be remembered are scored anew each time."""
+        long = [i for i, w in enumerate(distinct) if len(w) > REMEMBERED_BYTES]
+        if not long:
+            return self._remembered(model, distinct)
+        out = np.empty((len(distinct), self.kinds))
+        short = np.setdiff1d(np.arange(len(distinct)), long)
+        out[short] = self._remembered(model, [distinct[i] for i in short.tolist()])
+        out[long] = self._fresh(model, [distinct[i] for i in long])
+        return out
+
+    def _fresh(self, model: Model, words: list[bytes]) -> np.ndarray:
+        got, owner, runs = np.full((len(words), self.kinds), np.nan), [], []
+        for i, word in enumerate(words):
+            if letters := letters_of(word.decode()):
+                pieces = pieces_of_run(letters)
+                owner += [i] * len(pieces)
+                runs += pieces
+        if runs:
+            got[owner] = 0.0
+            distinct, which = np.unique(np.array(runs, object), return_inverse=True)
+            np.add.at(got, owner, word_scores(model.lattice(), model.chances, distinct.tolist())[which])
+        return got
+
+    def _remembered(self, model: Model, distinct: list[bytes]) -> np.ndarray:
         new = [w for w in distinct if w not in self.row]
         if new and len(self.row) + len(new) > self.limit:
             self.old_row, self.old_table = self.row, self.table
@@ -255,11 +299,7 @@ class WordMemory:
         if new:
             back = [w for w in new if w in self.old_row]
             fresh = [w for w in new if w not in self.old_row]
-            letters = [letters_of(w.decode()) for w in fresh]
-            real = [i for i, w in enumerate(letters) if w]
-            got = np.full((len(fresh), self.kinds), np.nan)
-            if real:
-                got[real] = word_scores(model.lattice(), model.chances, [letters[i] for i in real])
+            got = self._fresh(model, fresh)
             at = len(self.row)
             self.row.update(zip(back + fresh, range(at, at + len(new))))
             self.table[at : at + len(back)] = self.old_table[[self.old_row[w] for w in back]]
@@ -296,7 +336,7 @@ def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
     """(id, lang_pred, score, words) of each whole text.
 
     ``score`` is the predicted language's share of the likelihood, all languages counting alike
-    beforehand. Null texts, texts without a letter, and every text if no language was learned
+    beforehand. An unbroken run of more than ``RUN`` letters is scored as words of ``RUN`` letters. Null texts, texts without a letter, and every text if no language was learned
     get ``und`` and score 0. Equal likelihoods go to the first language by name. Null ids and
     repeated rows stay; an empty table gives no rows.
     """
@@ -322,7 +362,11 @@ def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
 
 
 def keep_identified(docs: DataFrame, model: Model, least_score: float = 0.5, text_col: str = "text") -> DataFrame:
-    """``docs`` without rows of undetermined language or a score below ``least_score``; columns as before."""
+    """``docs`` without rows of undetermined language or a score below ``least_score``; columns as before.
+
+    Null texts and texts without a letter are undetermined and go, and so does every row if no language was
+    learned; null ids and repeated rows stay with their text. An empty table gives no rows.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(model)
     at = docs.columns.index(text_col)
 
