@@ -1,10 +1,11 @@
 """SimHash near-duplicates: fingerprints, and vantage-point trees over their Hamming space.
 
-Distinct fingerprints are dealt to shards by a tree of vantage points fitted on a bounded
-sample: a fingerprint lives in one shard, and visits those others whose region lies within
-the radius. Each shard builds its own vantage-point tree, finds all pairs within the radius
-exactly, and returns only a spanning forest of them, so a dense group sends no more rows than
-it has fingerprints.
+Distinct fingerprints are dealt to shards by a tree of vantage points fitted on a bounded sample.
+At each node the fingerprints up to the cut plus the radius go inside and those beyond the cut go
+outside, so by the triangle inequality both ends of every link meet on one side at least, and only
+a band as wide as the radius goes to both. The cut is put where that band is thinnest. Each shard
+goes on in the same way by itself, finds all pairs within the radius exactly, and returns only a
+spanning forest of them, so a dense group sends no more rows than it has fingerprints.
 """
 
 from __future__ import annotations
@@ -20,10 +21,10 @@ from phrasework.llm.components import connected_components
 from phrasework.llm.textbytes import U64, Words, slices, utf8, xxh64
 from phrasework.shared import materialize, release
 
-#: Fingerprints a shard should have at home, and the largest sample the shard tree is fitted on.
-SHARD, SAMPLE = 4096, 1 << 16
-#: Sampled fingerprints that a shard of the fitted tree has at least.
-SAMPLE_PER_SHARD = 16
+#: Fingerprints that a shard is meant for, and the largest sample the shard tree is fitted on (8 MB).
+SHARD, SAMPLE = 1 << 16, 1 << 20
+#: Sampled fingerprints for each shard of the tree, and share of a node's fingerprints that its smaller side has at least.
+SAMPLE_PER_SHARD, LEAST_SIDE = 64, 0.3
 #: Fingerprints in a leaf of a shard's tree.
 LEAF = 48
 
@@ -92,10 +93,18 @@ def distance(a: np.ndarray, b) -> np.ndarray:
     return np.bitwise_count(a ^ b)
 
 
-def fit_shards(sample: np.ndarray, depth: int) -> list[tuple[int, int]]:
-    """Vantage points and radii of a complete binary tree in heap order, ``2**depth - 1`` of them.
+def thinnest_cut(d: np.ndarray, radius: int, least_side: float = LEAST_SIDE) -> int:
+    """The distance between the sides' quantiles behind which the fewest of ``d`` lie within the radius."""
+    low, high = np.quantile(d, (least_side, 1 - least_side), method="lower").astype(int)
+    count = np.concatenate([[0], np.cumsum(np.bincount(d, minlength=66 + radius))])
+    cuts = np.arange(low, max(low, high - radius) + 1)  # the band counts to the inner side
+    return int(cuts[np.argmin(count[cuts + radius + 1] - count[cuts + 1])])
 
-    A node's point is the first of its sample, its radius the median distance from there.
+
+def fit_shards(sample: np.ndarray, depth: int, radius: int = 2) -> list[tuple[int, int]]:
+    """Vantage points and cuts of a complete binary tree in heap order, ``2**depth - 1`` of them.
+
+    A node's point is the first of its sample.
     """
     nodes: list[tuple[int, int]] = [(0, 32)] * ((1 << depth) - 1)
     parts = {0: sample}
@@ -103,57 +112,64 @@ def fit_shards(sample: np.ndarray, depth: int) -> list[tuple[int, int]]:
         own = parts.pop(k)
         if len(own):
             d = distance(own, own[0])
-            nodes[k] = (int(own[0]), int(np.median(d[1:])) if len(own) > 1 else 32)
+            nodes[k] = (int(own[0]), thinnest_cut(d[1:], radius) if len(own) > 1 else 32)
             parts[2 * k + 1], parts[2 * k + 2] = own[d <= nodes[k][1]], own[d > nodes[k][1]]
         else:
             parts[2 * k + 1] = parts[2 * k + 2] = own
     return nodes
 
 
-def route(points: np.ndarray, nodes: list[tuple[int, int]], depth: int, radius: int) -> list[tuple[int, np.ndarray, np.ndarray]]:
-    """For each shard the indexes of points that live there or visit it, and which live there."""
-    todo = [(0, np.arange(len(points)), np.ones(len(points), bool))]
+def route(points: np.ndarray, nodes: list[tuple[int, int]], depth: int, radius: int) -> list[tuple[int, np.ndarray]]:
+    """For each shard the indexes of the points that go there."""
+    todo = [(0, np.arange(len(points)))]
     for _ in range(depth):
         below = []
-        for k, index, home in todo:
+        for k, index in todo:
             d = distance(points[index], U64(nodes[k][0])).astype(np.int64)
-            inside = d <= nodes[k][1]
-            near, far = d <= nodes[k][1] + radius, d > nodes[k][1] - radius
-            below.append((2 * k + 1, index[near], (home & inside)[near]))
-            below.append((2 * k + 2, index[far], (home & ~inside)[far]))
+            below += [(2 * k + 1, index[d <= nodes[k][1] + radius]), (2 * k + 2, index[d > nodes[k][1]])]
         todo = [x for x in below if len(x[1])]
-    return [(k - (1 << depth) + 1, index, home) for k, index, home in todo]
+    return [(k - (1 << depth) + 1, index) for k, index in todo]
 
 
-def vantage_pairs(points: np.ndarray, queries: np.ndarray, radius: int, leaf: int = LEAF) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """All index pairs (query, point) at most ``radius`` apart, found in blocks.
+def close_pairs(points: np.ndarray, radius: int, leaf: int = LEAF) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All index pairs of distinct points at most ``radius`` apart, some more than once, found in blocks.
 
-    The tree is built and searched together: at each vantage point the queries that can still
-    find something go on to the nearer half, the farther half, or both.
+    Where no vantage point divides a set, as in a dense ball, its points are sorted by each of
+    ``radius + 1`` bit ranges instead: of two close points one range at least is equal.
     """
-    stack = [(np.arange(len(points)), np.arange(len(queries)))]
+    stack = [np.arange(len(points))]
     while stack:
-        own, asking = stack.pop()
-        if not len(own) or not len(asking):
-            continue
+        own = stack.pop()
         if len(own) <= leaf:
-            for k in range(0, len(asking), 1 << 14):
-                part = asking[k : k + (1 << 14)]
-                q, p = np.nonzero(distance(queries[part][:, None], points[own][None, :]) <= radius)
-                yield part[q], own[p]
-            continue
-        vantage = points[own[len(own) // 2]]
-        d = distance(points[own], vantage).astype(np.int64)
-        middle = int(np.median(d))
-        if d.max() <= middle:  # half or more at the largest distance: cut below it, else nothing is cut
-            middle -= 1
-        inside = d <= middle
-        if not inside.any() or inside.all():
-            half = len(own) // 2
-            stack += [(own[:half], asking), (own[half:], asking)]
+            a, b = np.nonzero(np.triu(distance(points[own][:, None], points[own][None, :]) <= radius, 1))
+            yield own[a], own[b]
             continue
-        away = distance(queries[asking], vantage).astype(np.int64)
-        stack += [(own[inside], asking[away <= middle + radius]), (own[~inside], asking[away > middle - radius])]
+        for vantage in points[own[[len(own) // 2, 0, -1]]]:
+            d = distance(points[own], vantage).astype(np.int64)
+            cut = thinnest_cut(d, radius)
+            inside, outside = own[d <= cut + radius], own[d > cut]
+            if max(len(inside), len(outside)) <= 0.8 * len(own):
+                stack += [inside, outside]
+                break
+        else:
+            yield from _close_by_ranges(points, own, radius)
+
+
+def _close_by_ranges(points: np.ndarray, own: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    bounds = [64 * k // (radius + 1) for k in range(radius + 2)]
+    for low, high in zip(bounds[:-1], bounds[1:]):
+        key = (points[own] >> U64(low)) & U64((1 << (high - low)) - 1)
+        order = np.argsort(key, kind="stable")
+        at, key = own[order], key[order]
+        live, step = np.arange(len(at)), 0
+        while True:
+            step += 1
+            live = live[live + step < len(at)]
+            live = live[key[live] == key[live + step]]
+            if not len(live):
+                break
+            near = live[distance(points[at[live]], points[at[live + step]]) <= radius]
+            yield at[near], at[near + step]
 
 
 class Forest:
@@ -179,24 +195,21 @@ class Forest:
             np.minimum.at(self.up, np.maximum(a, b), np.minimum(a, b))
 
 
-def shard_forest(points: np.ndarray, home: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """Edges (point, root) that connect what lies within the radius of a home point."""
-    points, home = points[np.argsort(points, kind="stable")], home[np.argsort(points, kind="stable")]
-    at_home = np.flatnonzero(home)
+def shard_forest(points: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """Edges (point, root) that connect distinct points within the radius."""
+    points = np.sort(points)
     forest = Forest(len(points))
     waiting: list[tuple[np.ndarray, np.ndarray]] = []
     held = 0
-    for q, p in vantage_pairs(points[at_home], points, radius):
-        p = at_home[p]
-        new = q != p
-        if new.any():
-            waiting.append((q[new], p[new]))
-            held += int(new.sum())
+    for a, b in close_pairs(points, radius):
+        if len(a):
+            waiting.append((a, b))
+            held += len(a)
         if held > 1 << 18:
-            forest.merge(np.concatenate([x[0] for x in waiting]), np.concatenate([x[1] for x in waiting]))
+            forest.merge(*(np.concatenate(x) for x in zip(*waiting)))
             waiting, held = [], 0
     if waiting:
-        forest.merge(np.concatenate([x[0] for x in waiting]), np.concatenate([x[1] for x in waiting]))
+        forest.merge(*(np.concatenate(x) for x in zip(*waiting)))
     root = forest.roots()
     linked = np.flatnonzero(root != np.arange(len(points)))
     return points[linked], points[root[linked]]
@@ -207,20 +220,20 @@ def fingerprint_links(distinct: DataFrame, radius: int = 2, shard: int = SHARD,
     n = distinct.count()
     depth = max(0, int(np.ceil(np.log2(max(1, n / shard)))))
     depth = min(depth, int(np.log2(max(1, min(n, sample) // SAMPLE_PER_SHARD))))
-    picked = distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(min(sample, 64 << depth)).collect() if depth else []
-    nodes = fit_shards(np.array([r[0] for r in picked], np.int64).view(U64), depth)
+    picked = distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(min(sample, SAMPLE_PER_SHARD << depth)).toArrow().column("fp").to_numpy() if depth else np.zeros(0, np.int64)
+    nodes = fit_shards(picked.view(U64), depth, radius)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             points = batch.column("fp").to_numpy().view(U64)
-            for k, index, home in route(points, nodes, depth, radius):
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(index), k, np.int32)), pa.array(points[index].view(np.int64)), pa.array(home)], names=["shard", "fp", "home"])
+            for k, index in route(points, nodes, depth, radius):
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(index), k, np.int32)), pa.array(points[index].view(np.int64))], names=["shard", "fp"])
 
     def link(key, table):
-        u, v = shard_forest(table.column("fp").to_numpy().view(U64), table.column("home").to_numpy(), radius)
+        u, v = shard_forest(table.column("fp").to_numpy().view(U64), radius)
         return pa.table({"u": u.view(np.int64), "v": v.view(np.int64)})
 
-    return distinct.select("fp").mapInArrow(deal, "shard int, fp bigint, home boolean").groupBy("shard").applyInArrow(link, "u bigint, v bigint")
+    return distinct.select("fp").mapInArrow(deal, "shard int, fp bigint").groupBy("shard").applyInArrow(link, "u bigint, v bigint")
 
 
 def near_duplicates(docs: DataFrame, radius: int = 2, shingle: int = 3, seed: int = 42, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
