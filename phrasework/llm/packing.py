@@ -128,7 +128,7 @@ def cut_documents(docs: DataFrame, capacity: int = SEQUENCE, paths: tuple[str, s
                         length.append(len(part))
                         crc.append(zlib.crc32(part.tobytes()))
                         total.append(len(ids))
-                        salt.append(zlib.crc32(f"{keys[i]} {s} {len(owner)}".encode(), crc[-1]))
+                        salt.append(zlib.crc32(f"{keys[i]} {s}".encode(), crc[-1]))
                 arrays = [pa.array(x, pa.int64()) for x in (owner, start, length, crc, total, salt)]
                 yield pa.RecordBatch.from_arrays(arrays, names=[x.split()[0] for x in PIECES.split(", ")])
 
@@ -141,14 +141,17 @@ def pack_pieces(pieces: DataFrame, capacity: int = SEQUENCE, group_pieces: int =
 
     Whole sequences need no search but go through their group as well, for its numbering. The
     number of groups follows the number of pieces, and a group's sequences are numbered from
-    the group's number times 2**32.
+    the group's number times 2**32. Equal pieces of repeated rows are counted first and then dealt
+    one by one, so that no group holds them all; the result follows from the table's rows alone.
     """
     pieces = materialize(pieces, "pieces")
     groups = max(1, -(-pieces.count() // group_pieces))
+    again = F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("alike") - 1)).alias("copy")
+    pieces = pieces.groupBy(*pieces.columns).agg(F.count(F.lit(1)).alias("alike")).select(*pieces.columns, again)
+    pieces = pieces.withColumn("salt", F.when(F.col("copy") == 0, F.col("salt")).otherwise(F.xxhash64("salt", "copy"))).drop("copy")
 
     def run(key, table):
-        order = sorted(range(table.num_rows), key=list(zip(*(table.column(c).to_pylist() for c in ("salt", "start", "length", "ids_crc32")))).__getitem__)
-        table = table.take(pa.array(order, pa.int64()))
+        table = table.sort_by([(c, "ascending") for c in ("salt", "start", "length", "ids_crc32", "id")])
         bins, offsets = first_fit_decreasing(table.column("length").to_numpy(), capacity)
         out = table.drop_columns(["pack_group", "salt"])
         return out.append_column("sequence_id", pa.array(bins + (key[0].as_py() << 32))).append_column("offset", pa.array(offsets))
