@@ -100,6 +100,26 @@ KNOWN = [
 ]
 
 
+# Fixed values: (license, length, SHA-256) of the canonical forms of whole public license texts that are too long to
+# print here, taken from the files of a Linux distribution's folder of common licenses.
+KNOWN_DIGESTS = [
+    ("Apache-2.0", 9919, "8549059104c9dedbce46222778bf041936d8670139ca355a1c55d766e3a3bbe3"),
+    ("Artistic-1.0-Perl", 5744, "3e1ea6265d691e03fb2dcf01e7647fb2c6920f0464f772cd0cda829af8037be2"),
+    ("BSD-3-Clause-UC", 1392, "6f4fac20f87f1f83a59f10a5fabf61cb6f46d66c5d223226dee77cb28af35bf0"),
+    ("CC0-1.0", 6759, "6c2a3a5e2a991b725bc96bac6966cd4de94b723ec2e3714d595bb6762144caf9"),
+    ("GFDL-1.2", 19648, "0a1372a9ca231261357abe6f2da98e639d6a0135eebbb608baf33b5cfe0036d6"),
+    ("GFDL-1.3", 22026, "69c0f36996fb18bc9bbd346062ca453c5bb351a274d2d972cca4521ba10197d3"),
+    ("GPL-1.0", 11905, "947ff54697dd284e98a36ed8fb2d9d1d0376226232d498b3a1ec9d4b0921ee9c"),
+    ("GPL-2.0", 17200, "d07da36a30e2bbaf219759b317f180b0a6c008b55d7dd0d8d18bbeee0f5b7aa8"),
+    ("GPL-3.0", 33607, "b30d0bff8eb9a45f33b39b8fe08e8ea3143c19dfa35bb6b86567335fb9f48efd"),
+    ("LGPL-2.0", 24169, "1ef488eb29128a4029feff4ae028498fa68479d783910073380790be2c78d42b"),
+    ("LGPL-2.1", 25270, "6f233d8abac858c392f15651b1a10ef375a6d6d87b1f1f72bc3173ca1a9afbd9"),
+    ("LGPL-3.0", 7220, "b2f4b25c2b09e4eba6200589e52aabddfe7ef606589b735614810777306c8e54"),
+    ("MPL-1.1", 22837, "08ea6b53c3a12253b21bfebecb600f73cfc40c42ceabb180a325a4b0de3a14a3"),
+    ("MPL-2.0", 14519, "55e592a6be8d5c9748e817cd516822812d386a98d7507a596e3b892ed908339f"),
+]
+
+
 def _plain(text: Column) -> Column:
     """Lower case without copyright lines and punctuation; line ends stay."""
     text = F.lower(text)
@@ -116,10 +136,14 @@ def _joined(lines: Column) -> Column:
 
 
 def _respelled(unit: Column) -> Column:
-    unit = F.concat(F.lit(" "), unit, F.lit(" "))
+    unit = F.concat(F.lit(" "), F.replace(unit, F.lit(" "), F.lit("  ")), F.lit(" "))  # a border of its own for each word
     for other, chosen in SPELLINGS:
-        unit = F.replace(unit, F.lit(f" {other} "), F.lit(f" {chosen} "))
-    return F.trim(unit)
+        unit = F.replace(unit, F.lit(_bordered(other)), F.lit(_bordered(chosen)))
+    return F.trim(F.replace(unit, F.lit("  "), F.lit(" ")))
+
+
+def _bordered(words: str) -> str:
+    return f" {words.replace(' ', '  ')} "
 
 
 def canonical(text: Column) -> Column:
@@ -141,11 +165,22 @@ def _length_ranges(sizes: list[int]) -> list[tuple[int, int]]:
     return ranges
 
 
-def known_frame(spark: SparkSession, known: list[tuple[str, str]] | None = None) -> DataFrame:
-    """Known licenses as (license, digest, size), one license a digest."""
+def known_frame(spark: SparkSession, known: list[tuple[str, str]] | None = None, texts: DataFrame | None = None) -> DataFrame:
+    """Known licenses as (license, digest, size), one license a digest.
+
+    By default the texts and digests listed here: whole texts of MIT, ISC, 0BSD, BSD, Zlib, Apache, Artistic, CC0,
+    GFDL, GPL, LGPL and MPL licenses, and notices. ``texts`` adds a table (license, text) of further whole texts.
+    """
     listed = F.array(*(F.struct(F.lit(name).alias("license"), F.lit(text).alias("text")) for name, text in known or KNOWN))
-    rows = spark.range(1).select(F.inline(listed)).select("license", canonical(F.col("text")).alias("text"))
-    return rows.where("text <> ''").select("license", F.sha2("text", 256).alias("digest"), F.length("text").alias("size")).groupBy("digest", "size").agg(F.min("license").alias("license"))
+    rows = spark.range(1).select(F.inline(listed))
+    if texts is not None:
+        rows = rows.unionByName(texts.select("license", "text"))
+    rows = rows.select("license", canonical(F.col("text")).alias("text")).where("text <> ''")
+    rows = rows.select("license", F.sha2("text", 256).alias("digest"), F.length("text").alias("size"))
+    if known is None:
+        given = F.array(*(F.struct(F.lit(n).alias("license"), F.lit(d).alias("digest"), F.lit(k).alias("size")) for n, k, d in KNOWN_DIGESTS))
+        rows = rows.unionByName(spark.range(1).select(F.inline(given)))
+    return rows.groupBy("digest", "size").agg(F.min("license").alias("license"))
 
 
 def scan_licenses(docs: DataFrame, known: DataFrame, id_col: str = "doc_id", text_col: str = "text", broadcast_known: int = BROADCAST_KNOWN) -> DataFrame:
@@ -203,15 +238,17 @@ def oracle_sql() -> str:
         return f"array_to_string(list_filter({lines}, lambda x: x <> ''), ' ')"
 
     def respelled(text: str) -> str:
-        text = f"' ' || {text} || ' '"
+        text = f"' ' || replace({text}, ' ', '  ') || ' '"
         for other, chosen in SPELLINGS:
-            text = f"replace({text}, ' {other} ', ' {chosen} ')"
-        return f"trim({text}, ' ')"
+            text = f"replace({text}, '{_bordered(other)}', '{_bordered(chosen)}')"
+        return f"trim(replace({text}, '  ', ' '), ' ')"
 
     values = ", ".join("('{}', '{}')".format(a, b.replace("'", "''")) for a, b in KNOWN)
+    digests = ", ".join(f"('{name}', '{digest}')" for name, _, digest in KNOWN_DIGESTS)
     return f"""
 WITH listed(license, text) AS (VALUES {values}),
-known AS (SELECT sha256({respelled(joined(lines("text")))}) AS digest, min(license) AS license FROM listed GROUP BY 1),
+given(license, digest) AS (VALUES {digests}),
+known AS (SELECT digest, min(license) AS license FROM (SELECT license, sha256({respelled(joined(lines("text")))}) AS digest FROM listed UNION ALL SELECT license, digest FROM given) GROUP BY 1),
 rows AS (SELECT row_number() OVER () AS k, doc_id, {lines("text")} AS lines FROM documents),
 units AS (
   SELECT k, 0 AS line, {joined("lines")} AS unit FROM rows
