@@ -41,9 +41,8 @@ def default_path() -> str:
     return public_tokenizers.path("piece_bpe_32k.model")
 
 
-def is_merge_model(raw: bytes) -> bool:
-    """Whether a serialised model says that it was made by merging (field 3 of its trainer part)."""
-    at, kind = 0, 1
+def _fields(raw: bytes, at: int, end: int) -> Iterator[tuple[int, int, int]]:
+    """Fields of a serialised message: (number, value, next) of a number, (number, start, end) of bytes."""
 
     def number(at: int) -> tuple[int, int]:
         value = shift = 0
@@ -54,26 +53,52 @@ def is_merge_model(raw: bytes) -> bool:
             if raw[at - 1] < 128:
                 return value, at
 
-    def fields(at: int, end: int) -> Iterator[tuple[int, int, int]]:
-        while at < end:
-            tag, at = number(at)
-            if tag & 7 == 0:
-                value, at = number(at)
-                yield tag >> 3, value, at
-            elif tag & 7 == 2:
-                size, at = number(at)
-                yield tag >> 3, at, at + size
-                at += size
-            else:
-                at += 4 if tag & 7 == 5 else 8
-                yield tag >> 3, at, at
+    while at < end:
+        tag, at = number(at)
+        if tag & 7 == 0:
+            value, at = number(at)
+            yield tag >> 3, value, at
+        elif tag & 7 == 2:
+            size, at = number(at)
+            yield tag >> 3, at, at + size
+            at += size
+        else:
+            at += 4 if tag & 7 == 5 else 8
+            yield tag >> 3, at, at
+
+
+def _settings(raw: bytes, part: int) -> dict[int, tuple[int, int]]:
+    """The fields of one part of a serialised model by number, last ones winning."""
+    found: dict[int, tuple[int, int]] = {}
+    for field, start, end in _fields(raw, 0, len(raw)):
+        if field == part:
+            found |= {inner: (value, after) for inner, value, after in _fields(raw, start, end)}
+    return found
+
+
+def is_merge_model(raw: bytes) -> bool:
+    """Whether a serialised model says that it was made by merging (field 3 of its trainer part)."""
+    return _settings(raw, 2).get(3, (1, 0))[0] == 2
+
 
-    for field, start, end in fields(at, len(raw)):
-        if field == 2:
-            for inner, value, _ in fields(start, end):
-                if inner == 3:
-                    kind = value
-    return kind == 2
+def check_normaliser(raw: bytes) -> None:
+    """Refuse a model whose texts are changed before they are cut in a way that is not done here.
+
+    Handled is what leaves a text as it is but for a mark in front and marks for spaces: no character map,
+    the front mark, spaces kept and escaped, marks ahead of words (fields of the normaliser and trainer parts).
+    """
+    settings, trainer = _settings(raw, 3), _settings(raw, 2)
+    start, end = settings.get(2, (0, 0))
+    wrong = []
+    if end > start:
+        wrong.append("a character map")
+    for field, name, handled, default in ((3, "add_dummy_prefix", 1, 1), (4, "remove_extra_whitespaces", 0, 1), (5, "escape_whitespaces", 1, 1)):
+        if settings.get(field, (default, 0))[0] != handled:
+            wrong.append(f"{name}={bool(1 - handled)}")
+    if trainer.get(24, (0, 0))[0]:
+        wrong.append("treat_whitespace_as_suffix=True")
+    if wrong:
+        raise ValueError(f"the model's normaliser is not handled: {', '.join(wrong)}")
 
 
 class Merges:
@@ -157,6 +182,7 @@ class PieceCodec:
             self.lengths[p[-3:]] = (*self.lengths.get(p[-3:], ()), len(p))
         for ending in sorted(self.lengths, key=len, reverse=True):
             self.lengths[ending] = tuple(sorted(set(self.lengths[ending]), reverse=True))
+        check_normaliser(raw)
         self.merges = Merges(self.scores) if is_merge_model(raw) else None
         self.floor = min(self.scores.values()) - UNKNOWN_PENALTY
         if any(MARK in p.lstrip(MARK) for p in self.ids):
