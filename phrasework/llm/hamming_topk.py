@@ -25,7 +25,7 @@ from phrasework.shared import materialize, release
 BITS, SEGMENTS = 64, 4
 WIDTH = BITS // SEGMENTS
 #: Codes in an index shard, and distinct query codes in a block.
-SHARD, BLOCK = 1 << 17, 1 << 12
+SHARD, BLOCK = 1 << 17, 1 << 15
 #: Parts that the rows of one code are spread over before they meet.
 SALTS = 64
 #: Query codes searched together inside a task.
@@ -33,9 +33,13 @@ TOGETHER = 256
 
 
 def sign_code(vector: Column) -> Column:
-    """Bit i is set where element i of an array column is above zero; null arrays give null."""
+    """Bit i is set where element i of an array column is above zero; null arrays give null.
+
+    Arrays of more than 64 elements are an error: a code has no room for them.
+    """
+    vector = F.when(F.size(vector) > BITS, F.raise_error(F.lit(f"more than {BITS} elements"))).otherwise(vector)
     bits = F.transform(vector, lambda x, i: F.when(x > 0, F.call_function("shiftleft", F.lit(1).cast("bigint"), i)).otherwise(F.lit(0).cast("bigint")))
-    return F.aggregate(F.slice(bits, 1, BITS), F.lit(0).cast("bigint"), lambda a, b: a.bitwiseOR(b))
+    return F.aggregate(bits, F.lit(0).cast("bigint"), lambda a, b: a.bitwiseOR(b))
 
 
 @lru_cache(maxsize=WIDTH + 1)
@@ -135,11 +139,11 @@ def nearest_codes(rows: DataFrame, queries: DataFrame, k: int = 10, id_col: str
     rows = rows.where(real).select(F.col(id_col).cast("bigint").alias("id"), F.col(code_col).cast("bigint").alias("code"))
     asked = queries.where(real).select(F.col(id_col).cast("bigint").alias("query_id"), F.col(code_col).cast("bigint").alias("query_code"))
 
-    def least(ids: Column) -> Column:
-        return F.slice(F.sort_array(ids), 1, k)
-
-    salted = rows.groupBy("code", F.pmod(F.xxhash64("id"), F.lit(SALTS)).alias("salt")).agg(least(F.collect_list("id")).alias("ids"))
-    entries = materialize(salted.groupBy("code").agg(least(F.flatten(F.collect_list("ids"))).alias("ids")), "codes")
+    # Of a code's ids only the k least travel: first of each salted part, then of the code.
+    salted = rows.withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(SALTS)))
+    for part_of in (["code", "salt"], ["code"]):
+        salted = salted.withColumn("place", F.row_number().over(Window.partitionBy(*part_of).orderBy("id"))).where(F.col("place") <= k).drop("place")
+    entries = materialize(salted.groupBy("code").agg(F.sort_array(F.collect_list("id")).alias("ids")), "codes")
     distinct = materialize(asked.select("query_code").distinct(), "asked")
     shards = max(1, -(-entries.count() // SHARD))
     blocks = max(1, -(-distinct.count() // BLOCK))
