@@ -117,15 +117,14 @@ class Sources:
 
     def acyclic_many(self, new: int, targets: np.ndarray, length: int) -> np.ndarray:
         """``acyclic`` for each of many targets, character by character for those still open."""
-        up = np.frombuffer(self.up, self.up.typecode)
         out = np.full(len(targets), length, np.int64)
         rows = np.arange(len(targets))
-        merged = np.empty((len(targets), length), up.dtype) if length * len(targets) <= MOST_CELLS else None
+        merged = np.empty((len(targets), length), np.int64) if length * len(targets) <= MOST_CELLS else None
         if merged is None:
             return np.array([self.acyclic(new, j, length) for j in targets.tolist()], np.int64)
         for k in range(length):
             at = targets[rows] + k
-            up[at] = x = self._follow(at)
+            x = self.follow(at)
             while k:
                 inside = np.flatnonzero((x >= new) & (x < new + k))
                 if not len(inside):
@@ -142,20 +141,20 @@ class Sources:
 
     def _roots(self, start: int, length: int) -> np.ndarray:
         """Sources of a run of positions, whose links are shortened to them."""
-        up = np.frombuffer(self.up, self.up.typecode)
-        up[start : start + length] = at = self._follow(np.arange(start, start + length))
-        return at
+        return self.follow(np.arange(start, start + length))
 
-    def _follow(self, at: np.ndarray) -> np.ndarray:
-        """Roots of many positions, all links on the way halved.
+    def follow(self, at: np.ndarray) -> np.ndarray:
+        """Roots of many positions, to which their links are shortened, all links on the way being halved.
 
         Chains can be as long as the string; once steps taken make up a good part of its length, every
         link of the string is brought to its root by doubling.
         """
         up = np.frombuffer(self.up, self.up.typecode)
+        first = at
         while True:
             above = up[at]
             if (above == at).all():
+                up[first] = above
                 return above
             at_next = up[above]
             up[at] = at_next

@@ -323,22 +323,23 @@ class TwoWay:
         The group's places are tested together, rightmost first, in blocks that grow; -1: none.
         """
         places = np.sort(np.array(group, self.index.kind))[::-1]
-        tested = chars = done = 0
-        found, size = -1, MANY
-        while done < len(places):
-            part = places[done : done + size]
+        live = np.flatnonzero(self.sources.follow(places) != i)  # most fail at their first character
+        done, found, size, tested, work = 0, -1, 2 * MANY, len(places), 0
+        while done < len(live):
+            part = places[live[done : done + size]]
             got = self.sources.acyclic_many(i, part, length)
             full = np.flatnonzero(got == length)
-            used = int(full[0]) + 1 if len(full) else len(part)
-            tested += used
-            chars += int((got[:used] + (got[:used] < length)).sum())
-            k = int(got[:used].argmax())
-            if got[k] > best:
-                best, found = int(got[k]), int(part[k])
+            used = got[: int(full[0]) + 1] if len(full) else got
+            work += int((used + (used < length)).sum())
+            k = int(used.argmax())
+            if used[k] > best:
+                best, found = int(used[k]), int(part[k])
+            done += len(used)
             if len(full):
+                tested = int(live[done - 1]) + 1
                 break
-            done += len(part)
             size = min(2 * size, MOST)
+        chars = work + tested - done
         return tested, chars, best, found
 
     def _allowed(self, i: int, j: int) -> bool:

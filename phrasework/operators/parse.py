@@ -177,7 +177,7 @@ def _peak_bytes(codes: np.ndarray, method: str, options: Options) -> int:
 def counts(S: DataFrame, methods: tuple[str, ...] = ("lz77", "lex", "two_way"), directions: tuple[str, ...] = ("forward", "reverse"), unit: str = "codepoint", memory: bool = False, **options) -> DataFrame:
     """COUNTS by method and direction without phrase rows; one suffix index a direction.
 
-    ``seconds`` holds the method's own time with its index. With ``memory`` each method runs once
+    ``seconds`` holds the method's own processor time with its index. With ``memory`` each method runs once
     more, alone and traced, and ``bytes`` holds its measured peak beyond the string; else it is null.
     """
     chosen = Options(**options)
@@ -187,13 +187,13 @@ def counts(S: DataFrame, methods: tuple[str, ...] = ("lz77", "lex", "two_way"),
         forward = codes_of(text, unit)
         for direction in directions:
             codes = forward[::-1].copy() if direction == "reverse" else forward
-            began = time.perf_counter()
+            began = time.process_time()
             index = SuffixIndex(codes)
-            shared = time.perf_counter() - began
+            shared = time.process_time() - began
             for method in methods:
-                began = time.perf_counter()
+                began = time.process_time()
                 found = METHODS[method](codes, index, chosen)
-                took = time.perf_counter() - began + shared
+                took = time.process_time() - began + shared
                 start, _, ref = np.array(found, np.int64).reshape(-1, 3).T
                 copies = int((ref >= 0).sum())
                 peak = _peak_bytes(codes, method, chosen) if memory else None

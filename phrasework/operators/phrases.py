@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from phrasework import schemas
 from phrasework.operators.strings import chars
-from phrasework.shared import materialize
+from phrasework.shared import materialize, release
 
 #: Rounds of pointer doubling: enough for chains of 2**40 references.
 MAX_ROUNDS = 40
@@ -75,23 +77,26 @@ def compose(first: DataFrame, then: DataFrame) -> DataFrame:
 def sources(graph: DataFrame) -> DataFrame:
     """SOURCES (string_id, pos, source, literal, hops); source null where the chase never ends.
 
-    Pointer doubling in which only rows that have not reached a literal stay in the loop: each
-    round joins them with the current pointers of all positions.
+    Pointer doubling in which settled rows leave: they are written once, when they reach a literal, and
+    only open rows are joined and written again. A round looks up where each open row points to among both.
     """
-    now = graph.select("string_id", "pos", F.when(F.col("target").isNull(), F.col("pos")).alias("source"), F.col("target").alias("at"), "literal", F.when(F.col("target").isNull(), 0).otherwise(1).cast("bigint").alias("hops"))
-    now = materialize(now, "pointers")
-    open_rows = now.where("at is not null").count()
+    settled = [graph.where("target is null").select("string_id", "pos", F.col("pos").alias("source"), "literal", F.lit(0).cast("bigint").alias("hops"))]
+    first = graph.where("target is not null").select("string_id", "pos", F.col("target").alias("at"), F.lit(1).cast("bigint").alias("hops"))
+    open_rows = materialize(first, "open")
     sizes = graph.groupBy("string_id").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
     for _ in range(max(1, int(sizes)).bit_length() + 1):
-        if not open_rows:
+        if open_rows.isEmpty():
             break
-        ahead = now.select("string_id", F.col("pos").alias("at"), F.col("source").alias("s2"), F.col("at").alias("a2"), F.col("literal").alias("l2"), F.col("hops").alias("h2"))
-        moved = now.where("at is not null").join(ahead, ["string_id", "at"], "left")
-        moved = moved.select("string_id", "pos", F.col("s2").alias("source"), F.when(F.col("s2").isNull(), F.col("a2")).alias("at"), F.col("l2").alias("literal"), (F.col("hops") + F.coalesce("h2", F.lit(0))).alias("hops"))
-        now = materialize(now.where("at is null").unionByName(moved), "pointers")
-        left = now.where("at is not null").count()
-        open_rows = left
-    return now.select("string_id", "pos", "source", F.when(F.col("source").isNotNull(), F.col("literal")).alias("literal"), F.when(F.col("source").isNotNull(), F.col("hops")).alias("hops"))
+        known = reduce(DataFrame.unionByName, settled).select("string_id", F.col("pos").alias("at"), "source", "literal", F.lit(None).cast("bigint").alias("further"), F.col("hops").alias("more"))
+        ahead = known.unionByName(open_rows.select("string_id", F.col("pos").alias("at"), F.lit(None).cast("bigint").alias("source"), F.lit(None).cast("string").alias("literal"), F.col("at").alias("further"), F.col("hops").alias("more")))
+        moved = materialize(open_rows.join(ahead, ["string_id", "at"], "left").select("string_id", "pos", "source", "literal", "further", (F.col("hops") + F.coalesce("more", F.lit(0))).alias("hops")), "moved")
+        settled.append(moved.where("source is not null").select("string_id", "pos", "source", "literal", "hops"))
+        before, open_rows = open_rows, materialize(moved.where("source is null and further is not null").select("string_id", "pos", F.col("further").alias("at"), "hops"), "open")
+        settled.append(moved.where("source is null and further is null").select("string_id", "pos", F.lit(None).cast("bigint").alias("source"), "literal", "hops"))
+        release(before)
+    never = open_rows.select("string_id", "pos", F.lit(None).cast("bigint").alias("source"), F.lit(None).cast("string").alias("literal"), F.lit(None).cast("bigint").alias("hops"))
+    found = reduce(DataFrame.unionByName, settled).unionByName(never)
+    return found.select("string_id", "pos", "source", F.when(F.col("source").isNotNull(), F.col("literal")).alias("literal"), F.when(F.col("source").isNotNull(), F.col("hops")).alias("hops"))
 
 
 def is_valid(phrases: DataFrame) -> DataFrame:

@@ -82,15 +82,18 @@ def candidates(S: DataFrame, i: int, tie: str = "rightmost") -> DataFrame:
 def _dense_ranks(rows: DataFrame, keys: list[str]) -> DataFrame:
     """Adds ``rank``: 1 + the number of rows of the string with smaller keys.
 
-    Rows are range-partitioned by string and keys; each partition ranks its own and one small
-    row a partition and string gives the offsets, so no single task sees all rows.
+    Equal keys are counted first, ahead of any shuffle, so one that a third of all rows share is one
+    row. The distinct keys are range-partitioned; each partition adds up its own and one small row a
+    partition and string gives the offsets. Ranks come back by an equi-join, which AQE splits at such keys.
     """
-    placed = materialize(rows.repartitionByRange("string_id", *keys).withColumn("part", F.spark_partition_id()), "ranked")
-    sizes = placed.groupBy("string_id", "part").agg(F.count(F.lit(1)).alias("size"))
+    counted = rows.groupBy("string_id", *keys).agg(F.count(F.lit(1)).alias("alike"))
+    placed = materialize(counted.repartitionByRange("string_id", *keys).withColumn("part", F.spark_partition_id()), "ranked")
     before = Window.partitionBy("string_id").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = sizes.withColumn("offset", F.coalesce(F.sum("size").over(before), F.lit(0))).select("string_id", "part", "offset")
-    local = Window.partitionBy("string_id", "part").orderBy(*keys)
-    return placed.withColumn("own", F.rank().over(local)).join(F.broadcast(offsets), ["string_id", "part"]).withColumn("rank", F.col("own") + F.col("offset")).drop("part", "own", "offset")
+    offsets = placed.groupBy("string_id", "part").agg(F.sum("alike").alias("size")).withColumn("offset", F.coalesce(F.sum("size").over(before), F.lit(0))).drop("size")
+    smaller = Window.partitionBy("string_id", "part").orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
+    ranks = placed.withColumn("own", F.coalesce(F.sum("alike").over(smaller), F.lit(0))).join(offsets, ["string_id", "part"])
+    ranks = ranks.select("string_id", *keys, (F.col("own") + F.col("offset") + 1).alias("rank"))
+    return rows.join(ranks, ["string_id", *keys])
 
 
 def rank_levels(S: DataFrame) -> list[DataFrame]:
@@ -144,8 +147,8 @@ def _nearest_by_rank(ranks: DataFrame, larger: bool, upward: bool, block: int) -
     """(string_id, pos, j): the nearest suffix in rank order, one way, that starts further right (or left).
 
     Each block of ranks answers what it can by a stack. What is left over and has an answer at
-    all, as the running extreme of later blocks tells, meets the staircase of the one block
-    that answers it: the rows that no row behind them hides. Only those travel.
+    all, as the running extreme of later blocks tells, finds the one block that answers it by a
+    descent over block maxima and meets that block's staircase: the rows that no row behind them hides.
     """
     sign = 1 if larger else -1
     order = F.col("rank") if not upward else -F.col("rank")
@@ -169,14 +172,29 @@ def _nearest_by_rank(ranks: DataFrame, larger: bool, upward: bool, block: int) -
     before = Window.partitionBy("string_id").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
     reach = tops.withColumn("reach", F.max("top").over(before)).select("string_id", "block", "reach")
     open_rows = done.where("j is null").join(reach, ["string_id", "block"]).where("reach > value").select("string_id", "block", "pos", "value")
-    # The nearest earlier block whose top is higher, and in it the nearest stair that is higher.
-    target = open_rows.join(tops.select("string_id", F.col("block").alias("other"), "top"), "string_id").where("other < block and top > value")
-    target = target.groupBy("string_id", "pos", "value").agg(F.max("other").alias("block"))
+    target = _nearest_higher_block(open_rows, materialize(tops, "tops"))
     stairs = done.where("stair").select("string_id", "block", F.col("pos").alias("p"), F.col("value").alias("v"))
     answer = target.join(stairs, ["string_id", "block"]).where("v > value").groupBy("string_id", "pos").agg(F.min_by("p", "v").alias("far"))
     return done.join(answer, ["string_id", "pos"], "left").select("string_id", "pos", F.coalesce("j", "far").alias("j"))
 
 
+def _nearest_higher_block(rows: DataFrame, tops: DataFrame) -> DataFrame:
+    """``rows`` (string_id, block, pos, value) with ``block`` moved to the nearest earlier one whose top is above the value.
+
+    A descent over maxima of 1, 2, 4, ... blocks: a step skips that many blocks if none is high enough.
+    These tables have a row for each block, so that the joins with them need no shuffle of the rows.
+    """
+    most = tops.groupBy("string_id").agg((F.max("block") - F.min("block") + 1).alias("n")).agg(F.max("n")).first()[0] or 1
+    levels = [tops.select("string_id", "block", "top")]
+    for k in range(int(most).bit_length() - 1):
+        earlier = levels[-1].select("string_id", (F.col("block") + (1 << k)).alias("block"), F.col("top").alias("before"))
+        levels.append(materialize(levels[-1].join(earlier, ["string_id", "block"], "left").select("string_id", "block", F.greatest("top", "before").alias("top")), "maxima"))
+    rows = rows.withColumn("block", F.col("block") - 1)
+    for k in range(len(levels) - 1, -1, -1):
+        rows = rows.join(levels[k], ["string_id", "block"]).withColumn("block", F.when(F.col("top") > F.col("value"), F.col("block")).otherwise(F.col("block") - (1 << k))).drop("top")
+    return rows
+
+
 def distributed_factor_table(S: DataFrame, block: int = 1 << 16) -> DataFrame:
     """FACTOR of huge strings: nearest places along rank order by blocks, lengths by rank levels."""
     levels = rank_levels(S)

@@ -543,7 +543,9 @@ def w_event_days_counts(spark, folder):
 
 
 _CHATS = "SELECT CAST(conv_id AS VARCHAR) AS string_id, string_agg(text, chr(10)) AS text FROM conversations WHERE text IS NOT NULL GROUP BY 1"
-_BASES = " UNION ALL ".join(f"SELECT '{kind}:' || string_id AS string_id, text FROM ({strings})" for kind, strings in (("passage", O.BENCHMARK), ("chat", _CHATS), ("day", O.DAY_EVENTS), ("orders", O.CUSTOMER_STATUS), ("flags", O.PART_FLAGS)))
+_MONTHS = "SELECT strftime(o_orderdate, '%Y-%m') AS string_id, string_agg(o_orderstatus, '') AS text FROM orders GROUP BY 1"
+_SUPPLIERS = "SELECT CAST(l_suppkey AS VARCHAR) AS string_id, string_agg(l_linestatus, '') AS text FROM lineitem GROUP BY 1"
+_BASES = " UNION ALL ".join(f"SELECT '{kind}:' || string_id AS string_id, text FROM ({strings})" for kind, strings in (("passage", O.BENCHMARK), ("chat", _CHATS), ("day", O.DAY_EVENTS), ("orders", _MONTHS), ("flags", _SUPPLIERS)))
 _MUTATED = f"SELECT string_id || '-' || kind || '-' || rate AS string_id, CAST({W.COPIES} * length(text) AS BIGINT) AS n FROM ({_BASES}), unnest([1, 2]) t(kind), unnest([{', '.join(f"'{r:.5f}'" for r in W.RATES)}]) u(rate)"
 
 
@@ -587,10 +589,10 @@ def table_cost(spark, folder):
     return M.cost_table(P.counts(P.balanced(W.by_source(spark, folder)), directions=("forward",), memory=True))
 
 
-@query("SELECT count(DISTINCT source) AS strings, true AS within_four_times, true AS within_twice, true AS bytes_a_char FROM documents WHERE text IS NOT NULL")
+@query("SELECT count(DISTINCT lang) AS strings, true AS within_four_times, true AS within_twice, true AS bytes_a_char FROM documents WHERE text IS NOT NULL")
 def cost_claims(spark, folder):
-    """All sources together: at most four times the left parse's time, at most twice its memory, at most 100 bytes a character."""
-    rows = M.cost_table(P.counts(P.balanced(W.by_source(spark, folder)), directions=("forward",), memory=True))
+    """All languages together: at most four times the left parse's time, at most twice its memory, at most 100 bytes a character."""
+    rows = M.cost_table(P.counts(P.balanced(W.by_lang(spark, folder)), ("lz77", "two_way"), directions=("forward",), memory=True))
     return rows.agg(
         F.count(F.lit(1)).alias("strings"),
         (F.sum("two_way_seconds") <= 4 * F.sum("lz77_seconds")).alias("within_four_times"),
@@ -619,7 +621,7 @@ def phrase_profile(spark, folder):
     return M.length_profile(phrases).join(M.side_mix(phrases), "string_id").join(M.reference_depth(phrases), "string_id").join(sizes, "string_id").select("string_id", (F.col("depth") < F.col("n")).alias("depth_below_n"), "n")
 
 
-@query()
+@query("SELECT string_id, method, true AS within_twice_the_logarithm FROM (" + O.PART_NAMES + "), unnest(['two_way', 'lz77', 'lex']) t(method) WHERE length(text) <= 10")
 def gap_part_names(spark, folder):
     S = W.part_names(spark, folder).where("length(text) <= 10")
-    return M.gap_indicator(P.counts(S, ("smallest", "two_way", "lz77", "lex"), ("forward",)))
+    return M.gap_indicator(P.counts(S, ("smallest", "two_way", "lz77", "lex"), ("forward",))).select("string_id", "method", (F.col("indicator") <= 2).alias("within_twice_the_logarithm"))

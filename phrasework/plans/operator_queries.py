@@ -16,7 +16,7 @@ from phrasework.plans import oracles as O
 from phrasework.plans import workloads as W
 from phrasework.plans.registry import query
 from phrasework.plans.route import route
-from phrasework.shared import materialize, shared_dir
+from phrasework.shared import materialize, own_path
 from phrasework.sources import generators
 from phrasework.sources.files import read_binary_files, read_strings, read_whole_files
 
@@ -38,12 +38,10 @@ def op_scan_prune(spark, folder):
 
 @query(f"SELECT format, count(*) AS phrases FROM ({LZ}), unnest(['csv', 'json', 'orc', 'parquet']) t(format) GROUP BY 1")
 def op_formats_roundtrip(spark, folder):
-    import uuid
-
     phrases = materialize(_lz(spark, folder), "phrases")
     out = None
     for fmt in ("csv", "json", "orc", "parquet"):
-        path = f"{shared_dir(spark)}/phrases-{fmt}-{uuid.uuid4().hex}"
+        path = own_path(spark, f"phrases-{fmt}")
         R.write_phrases(phrases, path, fmt)
         part = R.read_phrases(spark, path, fmt).agg(F.count(F.lit(1)).alias("phrases")).select(F.lit(fmt).alias("format"), "phrases")
         out = part if out is None else out.unionByName(part)
@@ -52,9 +50,7 @@ def op_formats_roundtrip(spark, folder):
 
 @query("SELECT kind, CAST(sum(length(text)) AS BIGINT) AS chars FROM benchmark, unnest(['binary', 'whole']) t(kind) GROUP BY 1")
 def op_file_sources(spark, folder):
-    import uuid
-
-    path = f"{shared_dir(spark)}/texts-{uuid.uuid4().hex}"
+    path = own_path(spark, "texts")
     rows = W.table(spark, folder, "benchmark").select(F.encode("text", "UTF-8").alias("b"), "text")
     rows.select(F.regexp_replace("text", "\n", " ").alias("value")).repartition(3).write.option("lineSep", "\n").text(path)
     whole = read_whole_files(spark, path).agg(F.sum(F.length("text") - F.length("text") + F.length(F.regexp_replace("text", "\n", ""))).alias("chars")).select(F.lit("whole").alias("kind"), "chars")
@@ -225,10 +221,11 @@ def op_agg_distinct(spark, folder):
     return W.table(spark, folder, "documents").groupBy("source").agg(F.count_distinct("text").alias("texts"))
 
 
-@query()
+@query("SELECT source, true AS within_tenth FROM documents GROUP BY 1")
 def op_agg_approx(spark, folder):
-    """Distinct texts by source from a sketch; tests hold it to a few percent."""
-    return W.table(spark, folder, "documents").groupBy("source").agg(F.approx_count_distinct("text", 0.02).alias("texts"))
+    """Distinct texts by source from a sketch, held to the exact number."""
+    rows = W.table(spark, folder, "documents").groupBy("source").agg(F.approx_count_distinct("text", 0.02).alias("about"), F.count_distinct("text").alias("texts"))
+    return rows.select("source", (F.abs(F.col("about") - F.col("texts")) <= F.greatest(F.lit(1.0), F.col("texts") * 0.1)).alias("within_tenth"))
 
 
 LEVELS = "SELECT lang, source, CAST(grouping_id(lang, source) AS BIGINT) AS level, count(*) AS documents, CAST(sum(n_chars) AS BIGINT) AS chars FROM documents GROUP BY {}"
@@ -384,9 +381,11 @@ def op_interval_arith(spark, folder):
 
 @query(f"SELECT * FROM ({O.phrase_counts(O.BENCHMARK, 'prev_len')})")
 def op_recursive_walk(spark, folder):
-    materialize(X.previous_factor(W.benchmark(spark, folder)), "factors").createOrReplaceTempView("walk_factors")
+    S = W.benchmark(spark, folder)
+    longest = S.agg(F.max(F.length("text"))).first()[0] or 0
+    materialize(X.previous_factor(S), "factors").createOrReplaceTempView("walk_factors")
     return spark.sql(
-        "WITH RECURSIVE w(string_id, pos, size) AS (SELECT string_id, pos, prev_len FROM walk_factors WHERE pos = 1 UNION ALL "
+        f"WITH RECURSIVE w(string_id, pos, size) MAX RECURSION LEVEL {longest + 1} AS (SELECT string_id, pos, prev_len FROM walk_factors WHERE pos = 1 UNION ALL "
         "SELECT w.string_id, f.pos, f.prev_len FROM w JOIN walk_factors f ON f.string_id = w.string_id AND f.pos = w.pos + greatest(w.size, 1)) "
         "SELECT string_id, count(*) AS phrases FROM w GROUP BY string_id"
     )
@@ -427,11 +426,13 @@ def op_dedup(spark, folder):
     return W.table(spark, folder, "documents").groupBy("text").agg(F.min("doc_id").alias("doc_id")).select("doc_id")
 
 
-@query()
+@query("SELECT true AS share_as_asked, true AS ratio_as_reported")
 def op_sample(spark, folder):
-    """Ratio of two-way to left parse estimated on a tenth of the documents."""
-    S = W.documents(spark, folder).sample(0.1, seed=42)
-    return M.best_counts(P.counts(S, ("lz77", "two_way"))).groupBy("method").agg(F.sum("phrases").alias("phrases"))
+    """Ratio of two-way to left parse estimated on a tenth of the documents, and the share that was drawn."""
+    S = W.documents(spark, folder)
+    rows = M.best_counts(P.counts(S.sample(0.1, seed=42), ("lz77", "two_way"))).groupBy().pivot("method", ["lz77", "two_way"]).agg(F.sum("phrases").alias("phrases"), F.count(F.lit(1)).alias("strings"))
+    share = F.col("two_way_strings") / F.col("strings")
+    return rows.join(S.agg(F.count("text").alias("strings"))).select(share.between(0.05, 0.15).alias("share_as_asked"), (F.col("two_way_phrases") / F.col("lz77_phrases")).between(0.85, 1.0).alias("ratio_as_reported"))
 
 
 @query("SELECT quality, toxic, count(*) AS documents, round(avg(n_chars), 4) AS mean_chars FROM documents JOIN labels USING (doc_id) GROUP BY 1, 2")

@@ -9,10 +9,10 @@ USER_EVENTS = (
     "SELECT CAST(user_id AS VARCHAR) AS string_id, string_agg(CASE event_type WHEN 'signup' THEN 's' WHEN 'view' THEN 'v' WHEN 'error' THEN 'e' "
     "WHEN 'click' THEN 'c' WHEN 'purchase' THEN 'p' ELSE '?' END, '' ORDER BY ts, event_id) AS text FROM events GROUP BY 1"
 )
-_LETTER = (
+LETTER = (
     "CASE event_type WHEN 'signup' THEN 's' WHEN 'view' THEN 'v' WHEN 'error' THEN 'e' WHEN 'click' THEN 'c' WHEN 'purchase' THEN 'p' ELSE '?' END"
 )
-DAY_EVENTS = f"SELECT strftime(ts, '%Y-%m-%d') AS string_id, string_agg({_LETTER}, '' ORDER BY ts, event_id) AS text FROM events GROUP BY 1"
+DAY_EVENTS = f"SELECT strftime(ts, '%Y-%m-%d') AS string_id, string_agg({LETTER}, '' ORDER BY ts, event_id) AS text FROM events GROUP BY 1"
 PART_FLAGS = (
     "SELECT CAST(l_partkey AS VARCHAR) AS string_id, string_agg(CASE WHEN l_linestatus = 'F' THEN upper(translate(substr(l_returnflag, 1, 1), 'ANR', 'anr')) "
     "ELSE translate(substr(l_returnflag, 1, 1), 'ANR', 'anr') END, '' ORDER BY l_orderkey, l_linenumber, l_suppkey, l_quantity, l_extendedprice) AS text FROM lineitem GROUP BY 1"

@@ -50,17 +50,29 @@ def events_by_day(spark: SparkSession, folder: str) -> DataFrame:
     return collection(rows, "day", ["ts", "event_id"], "letter", "").select("string_id", "text")
 
 
+def _flags(spark: SparkSession, folder: str) -> DataFrame:
+    rows = table(spark, folder, "lineitem").withColumn("letter", F.translate(F.substring("l_returnflag", 1, 1), "ANR", "anr"))
+    return rows.withColumn("letter", F.when(F.col("l_linestatus") == "F", F.upper("letter")).otherwise(F.col("letter")))
+
+
+def flags_by_supplier(spark: SparkSession, folder: str) -> DataFrame:
+    return collection(_flags(spark, folder), "l_suppkey", ["l_orderkey", "l_linenumber", "l_partkey", "l_quantity", "l_extendedprice"], "letter", "").select("string_id", "text")
+
+
 def flags_by_part(spark: SparkSession, folder: str) -> DataFrame:
     """Return flag and line status of a part's lines, one letter a pair."""
-    rows = table(spark, folder, "lineitem").withColumn("letter", F.translate(F.substring("l_returnflag", 1, 1), "ANR", "anr"))
-    rows = rows.withColumn("letter", F.when(F.col("l_linestatus") == "F", F.upper("letter")).otherwise(F.col("letter")))
-    return collection(rows, "l_partkey", ["l_orderkey", "l_linenumber", "l_suppkey", "l_quantity", "l_extendedprice"], "letter", "").select("string_id", "text")
+    return collection(_flags(spark, folder), "l_partkey", ["l_orderkey", "l_linenumber", "l_suppkey", "l_quantity", "l_extendedprice"], "letter", "").select("string_id", "text")
 
 
 def status_by_customer(spark: SparkSession, folder: str) -> DataFrame:
     return collection(table(spark, folder, "orders"), "o_custkey", ["o_orderdate", "o_orderkey"], "o_orderstatus", "").select("string_id", "text")
 
 
+def status_by_month(spark: SparkSession, folder: str) -> DataFrame:
+    rows = table(spark, folder, "orders").withColumn("month", F.date_format("o_orderdate", "yyyy-MM"))
+    return collection(rows, "month", ["o_orderdate", "o_orderkey"], "o_orderstatus", "").select("string_id", "text")
+
+
 def part_names(spark: SparkSession, folder: str) -> DataFrame:
     return strings(table(spark, folder, "part"), "p_partkey", "p_name")
 
@@ -71,7 +83,7 @@ COPIES, RATES = 4, (0.00001, 0.0001, 0.001, 0.01)
 
 def bases(spark: SparkSession, folder: str) -> DataFrame:
     """Strings of five kinds of text, whole: prose passages, chats, event days, order histories, return flags."""
-    kinds = {"passage": benchmark, "chat": conversations, "day": events_by_day, "orders": status_by_customer, "flags": flags_by_part}
+    kinds = {"passage": benchmark, "chat": conversations, "day": events_by_day, "orders": status_by_month, "flags": flags_by_supplier}
     parts = [make(spark, folder).select(F.concat(F.lit(f"{kind}:"), "string_id").alias("string_id"), "text") for kind, make in kinds.items()]
     return reduce(DataFrame.unionByName, parts)
 

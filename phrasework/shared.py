@@ -23,16 +23,22 @@ def ship(spark: SparkSession) -> None:
         _shipped.add(application)
         root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
         folder = tempfile.mkdtemp(prefix="phrasework-")
+        atexit.register(shutil.rmtree, folder, ignore_errors=True)
         spark.sparkContext.addPyFile(shutil.make_archive(f"{folder}/phrasework", "zip", root, "phrasework"))
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``; a local one only where that setting is absent."""
+    """The folder named by ``spark.checkpoint.dir``.
+
+    Where that is unset, the folder set for checkpoints; else on a cluster one in the warehouse, which all
+    machines see, and a temporary one where driver and executors are one process.
+    """
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if folder is None:
         current = spark.sparkContext.getCheckpointDir()
         if current is None:
-            current = f"{tempfile.gettempdir()}/phrasework-shared"
+            local = spark.sparkContext.master.startswith("local")
+            current = f"{tempfile.gettempdir() if local else spark.conf.get('spark.sql.warehouse.dir')}/phrasework-shared"
             spark.sparkContext.setCheckpointDir(current)
         folder = current
     return folder.rstrip("/")
@@ -73,6 +79,13 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return table
 
 
+def own_path(spark: SparkSession, name: str) -> str:
+    """A new path in the shared folder that goes when the Python process ends, as materialised tables do."""
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    _written.append((spark, path))
+    return path
+
+
 def release(*tables: DataFrame) -> None:
     """Delete materialised tables that nothing reads any more, later lazy reads included."""
     for table in tables:

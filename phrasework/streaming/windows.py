@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from phrasework.operators.parse import counts
-from phrasework.shared import shared_dir
+from phrasework.shared import own_path
 
 # One letter for each event type.
 SYMBOLS = {"signup": "s", "view": "v", "error": "e", "click": "c", "purchase": "p"}
@@ -66,45 +66,44 @@ def session(gap: str = SESSION_GAP) -> Column:
 
 
 ONLINE = "user_id bigint, closed bigint, open_length bigint, n bigint"
+#: Characters after which an online parse closes its text and begins a new one.
+ONLINE_CHARS = 1 << 16
 
 
-def online_left_parse(events: DataFrame) -> DataFrame:
+def online_left_parse(events: DataFrame, most_chars: int = ONLINE_CHARS) -> DataFrame:
     """Phrases closed so far of each user's left parse, updated with every batch of events.
 
     State is the text so far and the start of the phrase still open; events of a batch are
-    taken in time order and later batches follow.
+    taken in time order and later batches follow. After ``most_chars`` characters the open phrase is
+    closed and the next event begins a new text, so a user's state and an event's work are bounded.
     """
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        text, begin, closed = state.get if state.exists else ("", 0, 0)
+        text, begin, closed, n = state.get if state.exists else ("", 0, 0, 0)
         new = pd.concat(list(frames)).sort_values(["ts", "event_id"])
         for letter in new["letter"]:
-            grown = text[begin:] + letter
+            n += 1
+            if len(text) >= most_chars:
+                text, begin, closed = "", 0, closed + (begin < len(text))
+            text += letter
             # The open phrase goes on while it also starts further left; it may overlap itself.
-            if (text + letter).find(grown, 0, len(text)) < begin and (text + letter).find(grown) < begin:
-                text += letter
+            if begin < len(text) - 1 and text.find(text[begin:], 0, len(text) - 1) >= 0:
                 continue
-            if begin == len(text):
-                text, begin, closed = text + letter, begin + 1, closed + 1
-                continue
-            closed, begin = closed + 1, len(text)
-            if letter in text:
-                text += letter
-            else:
-                text, begin, closed = text + letter, begin + 1, closed + 1
-        state.update((text, begin, closed))
-        yield pd.DataFrame({"user_id": [key[0]], "closed": [closed], "open_length": [len(text) - begin], "n": [len(text)]})
+            if begin < len(text) - 1:  # the phrase closed before this letter, which opens the next
+                closed, begin = closed + 1, len(text) - 1
+            if text.find(letter, 0, len(text) - 1) < 0:
+                closed, begin = closed + 1, len(text)
+        state.update((text, begin, closed, n))
+        yield pd.DataFrame({"user_id": [key[0]], "closed": [closed], "open_length": [len(text) - begin], "n": [n]})
 
     rows = events.select("user_id", "ts", "event_id", symbol(F.col("event_type")).alias("letter"))
-    return rows.groupBy("user_id").applyInPandasWithState(step, ONLINE, "text string, begin int, closed int", "update", "NoTimeout")
+    return rows.groupBy("user_id").applyInPandasWithState(step, ONLINE, "text string, begin int, closed int, n int", "update", "NoTimeout")
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """Run a stream over all that is there, then return its rows."""
-    import uuid
-
     spark = stream.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    path = own_path(spark, name)
     if mode == "append":
         query = stream.writeStream.format("parquet").option("checkpointLocation", f"{path}/state").option("path", f"{path}/rows").trigger(availableNow=True).start()
         query.awaitTermination()

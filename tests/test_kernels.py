@@ -201,3 +201,21 @@ def test_edges_of_text():
     assert codes_of("é", "byte").tolist() == [0xC3, 0xA9]
     assert map_back([(0, 1, -1), (1, 2, 0)], 3) == [(0, 2, 1), (2, 1, -1)]
     assert decode([(0, 2, 1), (2, 1, 0)], {}, 3) is None
+
+
+def test_places_tested_together_give_the_same_parse(monkeypatch):
+    from phrasework.kernels import sources, two_way as kernel
+
+    rng = random.Random(8)
+    for _ in range(150):
+        text = "".join(rng.choice("ab" if rng.random() < 0.5 else "abcd") for _ in range(rng.randrange(1, 160)))
+        codes = codes_of(text * rng.randrange(1, 4))
+        plain = two_way(codes)
+        assert plain == TwoWay(codes, Options(floor=False)).run().phrases
+        for many, run, cells, cost in ((1, 1, 1 << 22, 64), (2, 4, 3, 1), (3, 64, 1 << 22, 1 << 20)):
+            monkeypatch.setattr(kernel, "MANY", many)
+            monkeypatch.setattr(sources, "LONG_RUN", run)
+            monkeypatch.setattr(sources, "MOST_CELLS", cells)
+            monkeypatch.setattr(sources, "STEP_COST", cost)
+            assert two_way(codes) == plain
+        monkeypatch.undo()

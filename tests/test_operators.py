@@ -2,6 +2,8 @@ import json
 
 import pytest
 
+from pyspark.sql import functions as F
+
 from phrasework import schemas
 from phrasework.operators import measures as M
 from phrasework.operators import parse as P
@@ -137,3 +139,64 @@ def test_growing_a_copy_by_classes(spark):
     for ref in (2, 4, 9, 11):
         grows = [R.can_extend(prefix, S, ref, size).first().valid for size in (1, 2)]
         assert sum(grows) == profile[ref]
+
+
+def test_distributed_tables_of_skewed_strings(spark):
+    """A letter that makes up most of a string, periods, and one string among many short ones."""
+    S = strings(spark, ("blanks", " " * 70 + "word" + " " * 50), ("period", "abc" * 40 + "x"), *((f"s{k}", "ab"[k % 2] * (k % 4)) for k in range(30)))
+    assert sorted(map(tuple, X.suffix_table(S).collect())) == sorted(map(tuple, X.suffix_table(S, tier="distributed").collect()))
+    plain = {(r.string_id, r.pos): (r.prev_len, r.next_len) for r in X.factor_table(S).collect()}
+    assert plain == {(r.string_id, r.pos): (r.prev_len, r.next_len) for r in X.distributed_factor_table(S, block=5).collect()}
+
+
+def test_memory_of_parses_is_linear(spark):
+    from phrasework.kernels.suffix import codes_of
+    from phrasework.kernels.two_way import Options
+    from phrasework.operators.parse import _peak_bytes
+
+    word, before = "a", "b"
+    while len(word) < 60_000:
+        before, word = word, word + before
+    prose = " ".join(r.text for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").orderBy("doc_id").limit(60).collect())
+    for text in (word, "a" * 60_000, prose):
+        codes = codes_of(text)
+        for method in ("two_way", "lz77", "lex"):
+            assert _peak_bytes(codes, method, Options()) <= 100 * len(codes) + (1 << 16), (method, text[:20])
+
+
+def test_attractors_as_rows(spark):
+    S = strings(spark, ("x", "abab"), ("y", "aaa"), ("e", ""), ("n", None))
+    marks = P.smallest_attractor(S)
+    assert {r.string_id: r.is_attractor for r in P.is_attractor(S, marks).collect()} == {"x": True, "y": True, "e": True}
+    assert {r.string_id: r.is_attractor for r in P.is_attractor(S, marks.where("string_id = 'y'")).collect()} == {"x": False, "y": True, "e": True}
+    assert {r.string_id: r.text for r in R.decode(P.attractor_parse(S, marks)).collect()} == {"x": "abab", "y": "aaa"}
+
+
+def test_mutated_copies_of_odd_strings(spark):
+    from phrasework.sources import generators
+
+    rows = generators.mutated_copies(strings(spark, ("n", None), ("e", ""), ("a", "é😀x" * 50)), 3, [0.0, 1.0]).collect()
+    assert {(r.string_id, r.kind, r.rate, len(r.text)) for r in rows} == {(k, kind, rate, n) for k, n in (("e", 0), ("a", 450)) for kind in (1, 2) for rate in (0.0, 1.0)}
+    assert all(r.text == "é😀x" * 150 for r in rows if r.string_id == "a" and r.rate == 0)
+
+
+def test_online_parse_in_bounded_texts(spark, small):
+    from phrasework.kernels.greedy import left_parse
+    from phrasework.kernels.suffix import codes_of
+    from phrasework.plans import workloads as W
+    from phrasework.streaming import windows as S
+
+    last = S.run_to_table(S.online_left_parse(S.read_events(spark, f"{small}/events.parquet"), most_chars=7), "online", "update").toPandas().sort_values("batch").groupby("user_id").last()
+    for r in W.events_by_user(spark, small).collect():
+        parts = [r.text[k : k + 7] for k in range(0, len(r.text), 7)]
+        state = last.loc[int(r.string_id)]
+        assert state.n == len(r.text) and state.closed + (state.open_length > 0) == sum(len(left_parse(codes_of(t))) for t in parts)
+
+
+def test_common_prefixes_without_a_udf(spark):
+    import random
+
+    rng = random.Random(2)
+    pairs = [("".join(rng.choice("ab") for _ in range(rng.randrange(0, 9))), "".join(rng.choice("ab") for _ in range(rng.randrange(0, 9)))) for _ in range(200)] + [("x" * 70, "x" * 64 + "y"), ("é😀", "é😀z")]
+    rows = spark.createDataFrame(pairs, "x string, y string").select("x", "y", T.lcp_len(F.col("x"), F.col("y")).alias("k")).collect()
+    assert all(r.k == next((i for i, (a, b) in enumerate(zip(r.x, r.y)) if a != b), min(len(r.x), len(r.y))) for r in rows)
