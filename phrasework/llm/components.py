@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from phrasework.shared import ensure_checkpoints
+from phrasework.shared import materialize, release
 
 
 def _settle(edges: DataFrame) -> DataFrame:
@@ -30,15 +30,15 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, root) for every node of an edge, root being the component's smallest node.
 
     ``edges`` has comparable columns (u, v); loops, repeats and both orders are welcome, and a
-    null end makes no edge. Each round is checkpointed to the shared folder; it ends when a
-    round changes nothing. An empty table gives an empty result.
+    null end makes no edge. Each round is written to the shared folder and the one before it removed; it
+    ends when a round changes nothing. An empty table gives an empty result.
     """
-    ensure_checkpoints(edges.sparkSession)
     edges = edges.where("u is not null and v is not null")
-    now = _settle(edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))).checkpoint()
+    now = materialize(_settle(edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))), "edges")
     mark = None
     for _ in range(max_rounds):
-        now = small_star(large_star(now)).checkpoint()
+        before, now = now, materialize(small_star(large_star(now)), "edges")
+        release(before)
         stars = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.count_distinct("v")).first()
         if tuple(stars) == mark:
             break

@@ -103,20 +103,20 @@ KNOWN = [
 # Fixed values: (license, length, SHA-256) of the canonical forms of whole public license texts that are too long to
 # print here, taken from the files of a Linux distribution's folder of common licenses.
 KNOWN_DIGESTS = [
-    ("Apache-2.0", 9919, "8549059104c9dedbce46222778bf041936d8670139ca355a1c55d766e3a3bbe3"),
-    ("Artistic-1.0-Perl", 5744, "3e1ea6265d691e03fb2dcf01e7647fb2c6920f0464f772cd0cda829af8037be2"),
-    ("BSD-3-Clause-UC", 1392, "6f4fac20f87f1f83a59f10a5fabf61cb6f46d66c5d223226dee77cb28af35bf0"),
-    ("CC0-1.0", 6759, "6c2a3a5e2a991b725bc96bac6966cd4de94b723ec2e3714d595bb6762144caf9"),
-    ("GFDL-1.2", 19648, "0a1372a9ca231261357abe6f2da98e639d6a0135eebbb608baf33b5cfe0036d6"),
-    ("GFDL-1.3", 22026, "69c0f36996fb18bc9bbd346062ca453c5bb351a274d2d972cca4521ba10197d3"),
-    ("GPL-1.0", 11905, "947ff54697dd284e98a36ed8fb2d9d1d0376226232d498b3a1ec9d4b0921ee9c"),
-    ("GPL-2.0", 17200, "d07da36a30e2bbaf219759b317f180b0a6c008b55d7dd0d8d18bbeee0f5b7aa8"),
-    ("GPL-3.0", 33607, "b30d0bff8eb9a45f33b39b8fe08e8ea3143c19dfa35bb6b86567335fb9f48efd"),
-    ("LGPL-2.0", 24169, "1ef488eb29128a4029feff4ae028498fa68479d783910073380790be2c78d42b"),
-    ("LGPL-2.1", 25270, "6f233d8abac858c392f15651b1a10ef375a6d6d87b1f1f72bc3173ca1a9afbd9"),
-    ("LGPL-3.0", 7220, "b2f4b25c2b09e4eba6200589e52aabddfe7ef606589b735614810777306c8e54"),
-    ("MPL-1.1", 22837, "08ea6b53c3a12253b21bfebecb600f73cfc40c42ceabb180a325a4b0de3a14a3"),
-    ("MPL-2.0", 14519, "55e592a6be8d5c9748e817cd516822812d386a98d7507a596e3b892ed908339f"),
+    ("Apache-2.0", 9700, "6ab5deeb4b2c14f4681b97d03ec0d6cf046968b552bd6e2efe1721910b2e5e9e"),
+    ("Artistic-1.0-Perl", 5675, "2f167bea4d7639ee1f5ffbcbba2bb4bf72ff80c3110eea9e21bf6668fc99e8f8"),
+    ("BSD-3-Clause-UC", 1381, "3d151449461c0c776e892a4dc41cac0d251eb00c9fc49d2d48802d9bed818fe9"),
+    ("CC0-1.0", 6691, "cccf7894e1b9f4ba9f97728bf0c5baf9e07bc2ac93da7a51556451b1fb2b868e"),
+    ("GFDL-1.2", 19512, "84d1ed915e17aaa5b82f4ee40ec049ee8ad206bf2e5d2d146d1218be88602bbd"),
+    ("GFDL-1.3", 21875, "d4a4f0fa89572488be676840e1bf655767a7dc5085a138f4abd486d1c1f5ae67"),
+    ("GPL-1.0", 11762, "37f380f152339f34a15db620545eb53f0b5c7d9e6a9542aa09ed0d22f186920f"),
+    ("GPL-2.0", 17049, "5147a46525fc36b30edbb3469564d4930add19b5b86c56d8d58e084575fd474a"),
+    ("GPL-3.0", 33264, "43953244a50a8d661a10c68647c60eb8039eb5306b9336c785f4fb9acb1a0c76"),
+    ("LGPL-2.0", 23933, "82b9c718a1edbbe60a4f5828e6e8c8390d714f09bfee18638761bb3f8fdff504"),
+    ("LGPL-2.1", 25020, "8972cc10118fe8a142e8b2d34ba122d3a2c710126a256b6786246af9ae4cd5a6"),
+    ("LGPL-3.0", 7104, "aae2b222477171fb64e298e7965e768a9a6f85320646b266c94399ac029d42be"),
+    ("MPL-1.1", 22339, "f77c59051c0127d677dcce7ba0d4733294974749a7b4155250912498d92767d6"),
+    ("MPL-2.0", 14271, "95f6a0d094cf3da6a140310541c7b576789031b600469b70877b34f97918e4c9"),
 ]
 
 
@@ -128,7 +128,7 @@ def _plain(text: Column) -> Column:
 
 
 def _lines(plain: Column) -> Column:
-    return F.transform(F.split(plain, "\n"), F.trim)
+    return F.transform(F.split(plain, "\n"), lambda x: F.trim(x))  # a bare F.trim would take the index as well
 
 
 def _joined(lines: Column) -> Column:

@@ -177,7 +177,7 @@ def decode(media: bytes) -> np.ndarray:
 
 
 def features(pcm: np.ndarray) -> str:
-    """Whole-number features of PCM: samples, peak, mean square, mean, zero crossings, crest share."""
+    """Whole-number features of PCM: samples, peak, mean square, mean, zero crossings."""
     if not len(pcm):
         return "samples=0;peak=0;mean_square=0;mean=0;crossings=0"
     x = pcm.astype(np.int64)

@@ -82,6 +82,21 @@ WITH codes AS (
   SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY distance, neighbor_id) AS INT) AS rank FROM pairs
 )
 SELECT query_id, rank, neighbor_id, distance FROM ranked WHERE rank <= 10
+""",
+    "op4_substring_dedup": r"""
+WITH d AS (SELECT row_number() OVER () AS k, doc_id, list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
+grams AS (
+  SELECT k, unnest(list_transform(range(1, len(w) - 33), lambda i: md5_number(array_to_string(w[i:i + 34], ' ')))) AS h, unnest(range(1, len(w) - 33)) AS i
+  FROM d WHERE len(w) >= 35
+),
+again AS (SELECT k, i FROM (SELECT *, count(*) OVER (PARTITION BY h) AS c FROM grams) WHERE c > 1),
+words AS (SELECT k, unnest(w) AS word, unnest(range(1, len(w) + 1)) AS i FROM d),
+marked AS (
+  SELECT words.k, words.i, word, bool_or(again.i IS NOT NULL) OVER (PARTITION BY words.k ORDER BY words.i ROWS BETWEEN 34 PRECEDING AND CURRENT ROW) AS gone
+  FROM words LEFT JOIN again ON words.k = again.k AND words.i = again.i
+),
+kept AS (SELECT k, count(*) FILTER (gone) AS n_removed, string_agg(word, ' ' ORDER BY i) FILTER (NOT gone) AS kept FROM marked GROUP BY 1)
+SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, coalesce(n_removed, 0) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM d LEFT JOIN kept ON d.k = kept.k
 """,
     "op8_license_scan": license_scan.oracle_sql(),
     "op1_url_filter": r"""

@@ -354,3 +354,107 @@ def test_components_of_chains_and_stars(spark):
     got = {r.node: r.root for r in connected_components(spark.createDataFrame(pairs, "u bigint, v bigint")).collect()}
     assert got == {**{i: 0 for i in range(41)}, **{100 + i: 100 for i in range(30)}, 200: 200, 201: 200}
     assert connected_components(spark.createDataFrame([], "u bigint, v bigint")).count() == 0
+
+
+def test_adjacent_spellings_and_whole_public_texts(spark):
+    import os
+
+    rows = spark.createDataFrame([("Favour favour, whilst whilst a sub-licence sub licence!",)], "text string")
+    assert rows.select(license_scan.canonical(F.col("text")).alias("t")).first().t == "favor favor while while a sublicense sublicense"
+    own = spark.createDataFrame([("House-1", "Do what the house says.\nCopyright 2020 us")], "license string, text string")
+    docs = [(1, "DO WHAT THE HOUSE SAYS"), (2, "do what")]
+    if os.path.exists("/usr/share/common-licenses/MPL-2.0"):
+        with open("/usr/share/common-licenses/MPL-2.0", encoding="utf-8") as f:
+            docs.append((3, f.read().upper().replace("\n", "  \n")))
+    found = license_scan.scan_licenses(spark.createDataFrame(docs, "doc_id bigint, text string"), license_scan.known_frame(spark, texts=own))
+    assert {r.id: r.license for r in found.collect()} == dict([(1, "House-1"), (2, None), (3, "MPL-2.0")][: len(docs)])
+
+
+def test_spans_are_offsets_into_the_text(spark):
+    field = toxicity.fit(["you utter scum"] * 30 + ["fine day outside"] * 30, [1] * 30 + [0] * 30)
+    text = "  é fine\t\n day,  utter   SCUM x here "
+    row = toxicity.score_texts(spark.createDataFrame([(1, text)], "doc_id bigint, text string"), field, span_at=0.0).first()
+    assert [text.encode()[s.start : s.end].decode() for s in row.spans] == plain_words(text)
+
+
+def test_toxic_chances_segment_by_segment(monkeypatch):
+    import random
+
+    import pyarrow as pa
+
+    from phrasework.llm.textbytes import Words, utf8
+
+    rng = random.Random(1)
+    texts = [" ".join(rng.choice("fine day you scum trash hello".split()) for _ in range(rng.randrange(0, 90))) for _ in range(40)]
+    field = toxicity.fit(texts, [i % 2 for i in range(40)])
+    words = Words(*utf8(pa.array(texts)))
+    whole = field.toxic_chances(words)
+    for size in (1, 7, 100):
+        monkeypatch.setattr(toxicity, "SEGMENT", size)
+        assert np.allclose(whole, field.toxic_chances(words), atol=1e-12)
+
+
+def test_language_of_very_long_runs():
+    import time
+
+    import pyarrow as pa
+
+    from phrasework.llm.textbytes import utf8
+
+    model = language_id.fit({"en": ["the cat and the dog sat on the mat"] * 3, "de": ["der hund und die katze sassen da"] * 3})
+    began = time.monotonic()
+    total, n = language_id.batch_scores(model, *utf8(pa.array(["the dog", "x" * 3_000_000 + " the", "", "a b"], pa.large_string())))
+    assert time.monotonic() - began < 60 and np.isfinite(total).all() and n.tolist() == [2, 2, 0, 1]
+    parts = language_id.batch_scores(model, *utf8(pa.array(["q" * 64 + " " + "q" * 64 + " qq", "q" * 130])))[0]
+    assert np.allclose(parts[0], parts[1])
+
+
+def test_packing_follows_from_the_rows_alone(spark, small):
+    docs = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text")
+    docs = docs.unionByName(docs.limit(5)).unionByName(spark.createDataFrame([(None, "")] * 40, "doc_id bigint, text string"))
+    one, other = (sorted(map(repr, packing.pack_documents(docs.repartition(n), group_pieces=64).collect())) for n in (1, 7))
+    assert one == other and len(one) >= docs.count()
+
+
+def test_models_with_other_normalisers_are_refused():
+    piece_codec.check_normaliser(b"\x1a\x04\x18\x01\x20\x00")
+    for raw in (b"\x1a\x02\x20\x01", b"\x1a\x04\x18\x00\x20\x00", b"\x1a\x05\x12\x01x\x20\x00", b"\x12\x03\xc0\x01\x01\x1a\x02\x20\x00"):
+        with pytest.raises(ValueError):
+            piece_codec.check_normaliser(raw)
+
+
+def test_codes_have_room_for_64_elements(spark):
+    rows = spark.createDataFrame([([1.0] * 64,), (None,)], "v array<double>")
+    assert [r.c for r in rows.select(hamming_topk.sign_code(F.col("v")).alias("c")).collect()] == [-1, None]
+    with pytest.raises(Exception, match="more than 64"):
+        spark.createDataFrame([([1.0] * 65,)], "v array<double>").select(hamming_topk.sign_code(F.col("v"))).collect()
+
+
+def test_texts_behind_one_boilerplate_shingle(spark):
+    """A shingle that all texts share is no key by itself; near duplicates among them are still found."""
+    import random
+
+    rng = random.Random(3)
+    texts, groups = [], []
+    for k in range(60):
+        body = [f"t{k}w{rng.randrange(10**6)}" for _ in range(40)]
+        for copy in range(2):
+            texts.append(" ".join([*"this is the same boiler plate line for all".split(), *body, *(["more"] if copy else [])]))
+            groups.append(k)
+    rows = near_groups._sketch(spark.createDataFrame(list(enumerate(texts)), "id bigint, text string")).withColumn("node", F.col("id"))
+    links = near_groups.text_links(rows, shard=8).collect()
+    up = list(range(len(texts)))
+    for r in links:
+        a, b = r.u, r.v
+        while up[a] != a:
+            a = up[a]
+        while up[b] != b:
+            b = up[b]
+        up[max(a, b)] = min(a, b)
+    for k in range(60):
+        a, b = 2 * k, 2 * k + 1
+        while up[a] != a:
+            a = up[a]
+        while up[b] != b:
+            b = up[b]
+        assert a == b
