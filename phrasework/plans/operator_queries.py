@@ -404,6 +404,33 @@ def op_udf_count(spark, folder):
     return W.benchmark(spark, folder).select("string_id", lz77_count("text").alias("phrases"))
 
 
+@query(
+    f"SELECT string_id, d.phrases AS two_way, a.phrases AS lz77, c.phrases AS lex FROM ({O.phrase_counts(O.PART_NAMES, 'prev_len')}) a JOIN ({O.phrase_counts(O.PART_NAMES, 'lcp')}) c USING (string_id) "
+    f"JOIN (SELECT string_id, count(*) AS phrases FROM ({O.two_way(O.PART_NAMES)}) GROUP BY 1) d USING (string_id)"
+)
+def op_sql_counts(spark, folder):
+    register(spark)
+    W.part_names(spark, folder).createOrReplaceTempView("counted_strings")
+    return spark.sql("SELECT string_id, two_way_count(text) AS two_way, lz77_count(text) AS lz77, lex_count(text) AS lex FROM counted_strings")
+
+
+@query(
+    " UNION ALL ".join(f"SELECT '{m}' AS method, string_id, start, length FROM ({O.starts(O.PART_NAMES, jump)})" for m, jump in (("lex", "lcp"), ("lz_next", "next_len")))
+    + f" UNION ALL SELECT 'two_way', string_id, start, length FROM ({O.two_way(O.PART_NAMES)})"
+)
+def op_table_functions(spark, folder):
+    register(spark)
+    W.part_names(spark, folder).createOrReplaceTempView("parsed_strings")
+    return spark.sql(" UNION ALL ".join(f"SELECT '{m}' AS method, string_id, start, length FROM parsed_strings, LATERAL {m}_phrases(text)" for m in ("lex", "lz_next", "two_way")))
+
+
+@query(f"WITH {O.suffixes(O.PART_NAMES)} SELECT string_id, rank, pos, lcp FROM suf")
+def op_suffix_function(spark, folder):
+    register(spark)
+    W.part_names(spark, folder).createOrReplaceTempView("sorted_strings")
+    return spark.sql("SELECT string_id, rank, pos, lcp FROM sorted_strings, LATERAL suffix_rows(text)")
+
+
 @query("SELECT CAST(conv_id AS VARCHAR) AS string_id, CAST(length(string_agg(text, chr(10))) AS BIGINT) AS n, true AS fewer FROM conversations WHERE text IS NOT NULL GROUP BY 1")
 def op_udaf_group_parse(spark, folder):
     import pyarrow as pa
