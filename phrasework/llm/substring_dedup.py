@@ -36,6 +36,8 @@ from phrasework.shared import materialize, release
 WIDTH, ANCHOR = 35, 6
 #: Texts that a map task remembers having sent on.
 REMEMBERED = 1 << 18
+#: Most edges that count as hot, and least runs of one that does.
+HOT_EDGES, HOT_RUNS = 100_000, 1024
 
 
 class Spans:
@@ -277,6 +279,19 @@ def _cut(found: DataFrame, width: int) -> DataFrame:
     return found.select("k1", "k2", "text", "spans").mapInArrow(run, "k1 bigint, k2 bigint, n_removed bigint, kept string, kept_sha string")
 
 
+def _with_edges(runs: DataFrame, edges: DataFrame, total: int) -> DataFrame:
+    """``runs`` whose (m, r) is among ``edges``, with their ``inner``.
+
+    An edge of more than a ``HOT_EDGES``th of all ``total`` runs is hot; there are fewer than that many, so
+    they are broadcast, and their runs are spread over the join that the others go through.
+    """
+    least = max(HOT_RUNS, total // HOT_EDGES)
+    hot = edges.where(F.col("c") > least).select("m", "r", F.lit(True).alias("hot"), F.col("inner").alias("hot_inner"))
+    cold = edges.where(F.col("c") <= least).select(F.col("m").alias("key"), "r", F.lit(True).alias("cold"), F.col("inner").alias("cold_inner"))
+    keyed = runs.join(F.broadcast(hot), ["m", "r"], "left").withColumn("key", F.when(F.col("hot"), F.xxhash64("k1", "s")).otherwise(F.col("m")))
+    return keyed.join(cold, ["key", "r"], "left").where("hot or cold").select(*runs.columns, F.when(F.col("hot"), F.col("hot_inner")).otherwise(F.col("cold_inner")).alias("inner"))
+
+
 class RepeatedSpans:
     """What the search finds in ``docs`` (columns id, text): ``scan`` by row, ``changed`` by text."""
 
@@ -288,8 +303,9 @@ class RepeatedSpans:
         candidates = bloom.thin(runs, "m", bloom.build(repeated, "m"))
         contents = materialize(candidates.groupBy("m", "r").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("k1", "k2", "s", "n")).alias("one"), *_degrees()), "contents")
         again = contents.where("c > 1")
-        again = again.select("m", "r").join(_inner(again, ["m", "r"]).withColumn("inner", F.lit(True)), ["m", "r"], "left")
-        whole = candidates.join(again, ["m", "r"]).groupBy("k1", "k2", "s", "n", "r").agg(F.coalesce(F.first("inner"), F.lit(False)).alias("inner"), F.count(F.lit(1)).alias("copies"))
+        again = again.select("m", "r", "c").join(_inner(again, ["m", "r"]).withColumn("inner", F.lit(True)), ["m", "r"], "left")
+        whole = _with_edges(candidates, again, contents.agg(F.coalesce(F.sum("c"), F.lit(0))).first()[0])
+        whole = whole.groupBy("k1", "k2", "s", "n", "r").agg(F.coalesce(F.first("inner"), F.lit(False)).alias("inner"), F.count(F.lit(1)).alias("copies"))
         forks = contents.groupBy("m").agg(F.count(F.lit(1)).alias("ways")).where("ways > 1").select("m")
         asked = contents.join(forks, "m").select("one.*")
         edge = F.struct("s", "n", F.col("r").alias("edge"), "inner", "copies")

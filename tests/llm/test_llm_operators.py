@@ -170,7 +170,7 @@ def test_repeated_spans_of_regular_words_and_wide_windows(spark):
             assert got[i] == (n, gone, hashlib.sha256(kept.encode()).hexdigest()), (width, i)
 
 
-def test_forks_and_copies_of_spans(spark):
+def test_forks_and_copies_of_spans(spark, monkeypatch):
     """Blocks in many orders: paths that fork at every block end, copies, and blocks that one text repeats."""
     import random
 
@@ -179,7 +179,8 @@ def test_forks_and_copies_of_spans(spark):
     texts = [" ".join(w for _ in range(rng.randrange(1, 7)) for w in rng.choice(blocks)) for _ in range(80)]
     texts += texts[:10] + ["only words of its own here"]
     rows = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
-    for width in (8, 20):
+    for width, hot in ((8, 1), (20, 1024)):  # edges that count as hot go another way through the join
+        monkeypatch.setattr(substring_dedup, "HOT_RUNS", hot)
         got = {r.id: (r.n_removed, r.kept_sha256) for r in substring_dedup.removed_spans(rows, width=width, anchor=3).collect()}
         for i, (_, gone, kept) in enumerate(plain_spans(texts, width)):
             assert got[i] == (gone, hashlib.sha256(kept.encode()).hexdigest()), (width, i)
