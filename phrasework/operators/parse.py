@@ -36,13 +36,14 @@ METHODS: dict[str, Callable] = {
 }
 
 
-def balanced(S: DataFrame, chars_per_task: int = CHARS_PER_TASK) -> DataFrame:
+def balanced(S: DataFrame, chars_per_task: int = CHARS_PER_TASK, total: int | None = None) -> DataFrame:
     """Strings dealt by a hash of their key to tasks of about ``chars_per_task`` characters each.
 
     The shuffle moves each text once; one string is never split, so the longest one bounds the
-    longest task.
+    longest task. Without ``total``, the characters of all strings, one job counts them first.
     """
-    total = S.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
+    if total is None:
+        total = S.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
     tasks = max(-(-int(total) // chars_per_task), TASKS_PER_CORE * S.sparkSession.sparkContext.defaultParallelism)
     return S.repartition(tasks, F.xxhash64("string_id"))
 

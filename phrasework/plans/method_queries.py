@@ -19,6 +19,7 @@ from phrasework.operators.sharded import two_way_parse_sharded
 from phrasework.plans import oracles as O
 from phrasework.plans import workloads as W
 from phrasework.plans.registry import query
+from phrasework.plans.route import counts_any_size
 from phrasework.shared import materialize
 from phrasework.sources import generators
 
@@ -487,17 +488,17 @@ def w_mutated_counts(spark, folder):
 
 
 def _flags(S: DataFrame) -> DataFrame:
-    return M.bound_report(P.counts(S, ("lz77", "two_way")))
+    return M.bound_report(counts_any_size(S, ("lz77", "two_way")))
 
 
 @query("SELECT source AS string_id, CAST(length(string_agg(text, chr(10))) AS BIGINT) AS n, true AS bound_holds, true AS best_holds FROM documents WHERE text IS NOT NULL GROUP BY 1")
 def w_source_counts(spark, folder):
-    return _flags(P.balanced(W.by_source(spark, folder)))
+    return _flags(W.by_source(spark, folder))
 
 
 @query("SELECT lang AS string_id, CAST(length(string_agg(text, chr(10))) AS BIGINT) AS n, true AS bound_holds, true AS best_holds FROM documents WHERE text IS NOT NULL GROUP BY 1")
 def w_lang_counts(spark, folder):
-    return _flags(P.balanced(W.by_lang(spark, folder)))
+    return _flags(W.by_lang(spark, folder))
 
 
 @query("SELECT CAST(conv_id AS VARCHAR) AS string_id, CAST(length(string_agg(text, chr(10))) AS BIGINT) AS n, true AS bound_holds, true AS best_holds FROM conversations WHERE text IS NOT NULL GROUP BY 1")
@@ -507,7 +508,7 @@ def w_conversation_counts(spark, folder):
 
 @query("SELECT regexp_extract(url, '://([^/?#]*)', 1) AS string_id, CAST(length(string_agg(html, chr(10))) AS BIGINT) AS n, true AS bound_holds, true AS best_holds FROM pages WHERE html IS NOT NULL GROUP BY 1")
 def w_pages_counts(spark, folder):
-    return _flags(P.balanced(W.pages_by_host(spark, folder)))
+    return _flags(W.pages_by_host(spark, folder))
 
 
 def _exact(strings: str) -> str:
@@ -551,7 +552,7 @@ _MUTATED = f"SELECT string_id || '-' || kind || '-' || rate AS string_id, CAST({
 
 @query(f"SELECT string_id, n, true AS bound_holds, true AS best_holds FROM ({_MUTATED})")
 def w_mutated_bound(spark, folder):
-    return _flags(P.balanced(W.mutated(spark, folder)))
+    return _flags(W.mutated(spark, folder))
 
 
 def _groups(spark: SparkSession, folder: str) -> DataFrame:
@@ -566,12 +567,12 @@ def _groups(spark: SparkSession, folder: str) -> DataFrame:
 @query()
 def table_phrases(spark, folder):
     """Counts of the three methods, best of both directions, ratios, over all workload groups."""
-    return M.table(P.counts(P.balanced(materialize(_groups(spark, folder), "groups"))))
+    return M.table(counts_any_size(materialize(_groups(spark, folder), "groups")))
 
 
 @query()
 def table_winners(spark, folder):
-    return M.winners(P.counts(P.balanced(materialize(_groups(spark, folder), "groups"))))
+    return M.winners(counts_any_size(materialize(_groups(spark, folder), "groups")))
 
 
 @query(
@@ -579,7 +580,7 @@ def table_winners(spark, folder):
 )
 def table_claims(spark, folder):
     """On versioned prose the two-way parse beats the left parse of either direction by a few per cent, as reported."""
-    rows = M.table(P.counts(P.balanced(W.by_source(spark, folder)), ("lz77", "two_way")))
+    rows = M.table(counts_any_size(W.by_source(spark, folder), ("lz77", "two_way")))
     return rows.select(F.concat(F.lit("source:"), "string_id").alias("string_id"), "n", (F.col("two_way") <= F.col("lz77")).alias("within_lz77"), F.col("two_way_ratio").between(0.85, 0.99).alias("ratio_as_reported"))
 
 

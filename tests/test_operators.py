@@ -200,3 +200,13 @@ def test_common_prefixes_without_a_udf(spark):
     pairs = [("".join(rng.choice("ab") for _ in range(rng.randrange(0, 9))), "".join(rng.choice("ab") for _ in range(rng.randrange(0, 9)))) for _ in range(200)] + [("x" * 70, "x" * 64 + "y"), ("é😀", "é😀z")]
     rows = spark.createDataFrame(pairs, "x string, y string").select("x", "y", T.lcp_len(F.col("x"), F.col("y")).alias("k")).collect()
     assert all(r.k == next((i for i, (a, b) in enumerate(zip(r.x, r.y)) if a != b), min(len(r.x), len(r.y))) for r in rows)
+
+
+def test_counts_of_any_size(spark):
+    from phrasework.plans.route import counts_any_size
+
+    S = strings(spark, ("long", ("the cat sat on the mat and the cat ran " * 4)[:140]), ("short", "banana"))
+    methods = ("lz77", "lz_next", "lex", "two_way")
+    want = {(r.string_id, r.method, r.direction): (r.n, r.phrases) for r in P.counts(S, methods, ("reverse",)).collect()}
+    got = {(r.string_id, r.method, r.direction): (r.n, r.phrases) for r in counts_any_size(S, methods, ("reverse",), kernel_chars=50, shard_chars=1000).collect()}
+    assert got == want
