@@ -279,17 +279,20 @@ def _cut(found: DataFrame, width: int) -> DataFrame:
     return found.select("k1", "k2", "text", "spans").mapInArrow(run, "k1 bigint, k2 bigint, n_removed bigint, kept string, kept_sha string")
 
 
-def _with_edges(runs: DataFrame, edges: DataFrame, total: int) -> DataFrame:
-    """``runs`` whose (m, r) is among ``edges``, with their ``inner``.
+def _spread_join(rows: DataFrame, known: DataFrame, on: list[str], total: int, spread: list[str]) -> DataFrame:
+    """``rows`` with the further columns of ``known``, which has each key ``on`` once and its rows' number ``c``.
 
-    An edge of more than a ``HOT_EDGES``th of all ``total`` runs is hot; there are fewer than that many, so
-    they are broadcast, and their runs are spread over the join that the others go through.
+    A key of more than a ``HOT_EDGES``th of all ``total`` rows is hot; there are fewer than that many, so
+    they are broadcast, and their rows are spread by ``spread`` over the join that the others go through.
     """
     least = max(HOT_RUNS, total // HOT_EDGES)
-    hot = edges.where(F.col("c") > least).select("m", "r", F.lit(True).alias("hot"), F.col("inner").alias("hot_inner"))
-    cold = edges.where(F.col("c") <= least).select(F.col("m").alias("key"), "r", F.lit(True).alias("cold"), F.col("inner").alias("cold_inner"))
-    keyed = runs.join(F.broadcast(hot), ["m", "r"], "left").withColumn("key", F.when(F.col("hot"), F.xxhash64("k1", "s")).otherwise(F.col("m")))
-    return keyed.join(cold, ["key", "r"], "left").where("hot or cold").select(*runs.columns, F.when(F.col("hot"), F.col("hot_inner")).otherwise(F.col("cold_inner")).alias("inner"))
+    further = [c for c in known.columns if c not in (*on, "c")]
+    packed = F.struct(F.lit(True).alias("there"), *further)
+    hot = known.where(F.col("c") > least).select(*on, packed.alias("hot"))
+    cold = known.where(F.col("c") <= least).select(F.col(on[0]).alias("key"), *on[1:], packed.alias("cold"))
+    keyed = rows.join(F.broadcast(hot), on, "left").withColumn("key", F.when(F.col("hot").isNotNull(), F.xxhash64(*spread)).otherwise(F.col(on[0])))
+    found = keyed.join(cold, ["key", *on[1:]], "left").withColumn("found", F.coalesce("hot", "cold")).where("found is not null")
+    return found.select(*rows.columns, *(F.col(f"found.{c}").alias(c) for c in further))
 
 
 class RepeatedSpans:
@@ -304,7 +307,7 @@ class RepeatedSpans:
         contents = materialize(candidates.groupBy("m", "r").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("k1", "k2", "s", "n")).alias("one"), *_degrees()), "contents")
         again = contents.where("c > 1")
         again = again.select("m", "r", "c").join(_inner(again, ["m", "r"]).withColumn("inner", F.lit(True)), ["m", "r"], "left")
-        whole = _with_edges(candidates, again, contents.agg(F.coalesce(F.sum("c"), F.lit(0))).first()[0])
+        whole = _spread_join(candidates, again, ["m", "r"], contents.agg(F.coalesce(F.sum("c"), F.lit(0))).first()[0], ["k1", "s"])
         whole = whole.groupBy("k1", "k2", "s", "n", "r").agg(F.coalesce(F.first("inner"), F.lit(False)).alias("inner"), F.count(F.lit(1)).alias("copies"))
         forks = contents.groupBy("m").agg(F.count(F.lit(1)).alias("ways")).where("ways > 1").select("m")
         asked = contents.join(forks, "m").select("one.*")
@@ -326,8 +329,8 @@ class RepeatedSpans:
         path = ["path", "n", "digest"]
         occurrences = materialize(_paths(found.join(hits, ["k1", "k2"], "left").where("size(sure) > 0 or hits is not null"), width), "paths")
         release(windows, likely)
-        verified = occurrences.groupBy(*path).agg(F.sum("copies").alias("c")).where("c > 1").select(*path)
-        spans = occurrences.join(verified, path).groupBy("k1", "k2").agg(F.collect_list(F.struct("s", "n")).alias("spans"))
+        verified = occurrences.groupBy(*path).agg(F.sum("copies").alias("c")).where("c > 1").select(*path, "c")
+        spans = _spread_join(occurrences, verified, path, occurrences.agg(F.coalesce(F.sum("copies"), F.lit(0))).first()[0], ["k1", "s"]).groupBy("k1", "k2").agg(F.collect_list(F.struct("s", "n")).alias("spans"))
         #: One row for each text that loses words.
         self.changed = materialize(_cut(found.join(spans, ["k1", "k2"]), width), "changed")
         release(found, occurrences)
