@@ -92,9 +92,3 @@ def release(*tables: DataFrame) -> None:
         spark, path = table.sparkSession, table._materialized_at
         remove(spark, path)
         _written.remove((spark, path))
-
-
-def ensure_checkpoints(spark: SparkSession) -> None:
-    """Make ``DataFrame.checkpoint`` usable where the cluster has named no folder."""
-    if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(shared_dir(spark))
