@@ -56,3 +56,24 @@ def test_whole_benchmark_texts_are_parsed(name, spark, small, monkeypatch):
         monkeypatch.setattr(parse, f, seen)
     QUERIES[name](spark, small)
     assert longest and set(longest) == {whole}
+
+
+@pytest.mark.parametrize("name", ["smallest_part_names"])
+def test_equal_part_names_are_parsed_once(name, spark, small, tmp_path, monkeypatch):
+    from phrasework.operators import parse
+
+    rows = spark.read.parquet(f"{small}/part.parquet").limit(3).select("p_partkey", "p_name").collect()
+    many = [(r.p_partkey + 1000 * k, r.p_name) for r in rows for k in range(50)]
+    spark.createDataFrame(many, "p_partkey bigint, p_name string").write.parquet(f"{tmp_path}/part.parquet")
+    parsed = []
+    for f in ("counts", "two_way_parse"):
+
+        def seen(S, *args, original=getattr(parse, f), **options):
+            parsed.append(S.count())
+            return original(S, *args, **options)
+
+        monkeypatch.setattr(parse, f, seen)
+    got = QUERIES[name](spark, str(tmp_path)).collect()
+    short = [(key, text) for key, text in many if len(text) <= 10 or name.startswith(("two", "win", "tab"))]
+    assert parsed and all(n <= len({text for _, text in short}) for n in parsed)
+    assert {r.string_id for r in got} == {str(key) for key, _ in short}
