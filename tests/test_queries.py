@@ -58,7 +58,7 @@ def test_whole_benchmark_texts_are_parsed(name, spark, small, monkeypatch):
     assert longest and set(longest) == {whole}
 
 
-@pytest.mark.parametrize("name", ["smallest_part_names", "two_way_part_names", "table_part_names", "winners_part_names"])
+@pytest.mark.parametrize("name", ["smallest_part_names", "two_way_part_names", "table_part_names", "winners_part_names", "gap_part_names"])
 def test_equal_part_names_are_parsed_once(name, spark, small, tmp_path, monkeypatch):
     from phrasework.operators import parse
 
