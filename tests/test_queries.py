@@ -77,3 +77,11 @@ def test_equal_part_names_are_parsed_once(name, spark, small, tmp_path, monkeypa
     short = [(key, text) for key, text in many if len(text) <= 10 or name.startswith(("two", "win", "tab"))]
     assert parsed and all(n <= len({text for _, text in short}) for n in parsed)
     assert {r.string_id for r in got} == {str(key) for key, _ in short}
+
+
+@pytest.mark.parametrize("name", ["ex_arrays"])
+def test_worked_examples_read_a_given_table(name, spark, small):
+    table, key = ("customer", "c_custkey") if name == "ex_similarity" else ("orders", "o_custkey")
+    keys = {str(r[0]) for r in spark.read.parquet(f"{small}/{table}.parquet").select(key).collect()}
+    got = {r.string_id for r in QUERIES[name](spark, small).collect()}
+    assert len(got) > len(keys) // 2 and got <= keys
