@@ -79,7 +79,7 @@ def test_equal_part_names_are_parsed_once(name, spark, small, tmp_path, monkeypa
     assert {r.string_id for r in got} == {str(key) for key, _ in short}
 
 
-@pytest.mark.parametrize("name", ["ex_arrays", "ex_extension_profile", "ex_one_direction_excess", "ex_order_at_first", "ex_partial_source", "ex_partial_valid", "ex_similarity", "ex_source_classes", "ex_third_counts"])
+@pytest.mark.parametrize("name", ["ex_arrays", "ex_extension_profile", "ex_one_direction_excess", "ex_order_at_first", "ex_partial_source", "ex_partial_valid", "ex_similarity", "ex_source_classes", "ex_third_counts", "ex_tie_rules"])
 def test_worked_examples_read_a_given_table(name, spark, small):
     table, key = ("customer", "c_custkey") if name == "ex_similarity" else ("orders", "o_custkey")
     keys = {str(r[0]) for r in spark.read.parquet(f"{small}/{table}.parquet").select(key).collect()}
