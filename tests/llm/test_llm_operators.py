@@ -459,3 +459,19 @@ def test_texts_behind_one_boilerplate_shingle(spark):
         while up[b] != b:
             b = up[b]
         assert a == b
+
+
+def test_near_groups_search_fingerprints(spark):
+    fps = [0, 1, 3, 7 << 40, 6 << 40, 0, 1 << 62, 127 << 20]
+    rows = spark.createDataFrame(list(enumerate(fps)), "node bigint, fp bigint")
+    from phrasework.llm.components import connected_components
+
+    got = {(r.node, r.root) for r in connected_components(near_groups.print_links(rows)).collect()}
+    classes = {}
+    for node, root in got:
+        classes.setdefault(root, set()).add(node)
+    # 1 << 62 and 6 << 40 are one and two bits from zero, 127 << 20 is seven.
+    assert sorted(map(sorted, classes.values())) == [[0, 1, 2, 3, 4, 5, 6]]
+    texts = spark.createDataFrame([(0, "one two three four"), (1, None)], "id bigint, text string")
+    prints = {r.id: r.fp for r in simhash.fingerprints(texts, id_col="id").collect()}
+    assert {r.id: r.fp for r in near_groups._sketch(texts).collect()} == prints
